@@ -5,8 +5,9 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import best_fit
+from . import best_fit, superkmer
 from .common import table
 
 TOKENIZER = "word_bpe_49k.json"
@@ -18,11 +19,17 @@ def tokenizer_path() -> str:
     return public_tokenizers.path(TOKENIZER)
 
 
+def op6_super_kmer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kept = superkmer.without_repeats(table(spark, sf_dir, "documents"), width=20)
+    return kept.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
+
+
 def op8_best_two_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return best_fit.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=2048, separator=0)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op6_super_kmer": op6_super_kmer,
     "op8_best_two_fit": op8_best_two_fit,
 }
 
