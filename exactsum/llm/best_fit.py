@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 #: Pieces that are packed together.
 GROUP_PIECES = 65_536
 #: Distinct words whose ids a worker remembers; beyond it the memory starts anew.
-MEMO_WORDS = 1_000_000
+MEMO_WORDS = 1_500_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -37,6 +37,8 @@ class WordMemo:
     token's string need no care: those strings have no white space.
     """
 
+    MARK = "~"
+
     def __init__(self, path: str, limit: int = MEMO_WORDS):
         from tokenizers import Tokenizer
 
@@ -49,10 +51,28 @@ class WordMemo:
         self.lengths, self.begins, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), 0
         self.flat = np.zeros(1 << 18, np.uint32)
 
+    def _tokens(self, new: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """How many ids each chunk has, and all ids; many chunks go in one text, each closed by a
+        mark that is one token of its own."""
+        mark = self.tokenizer.encode(self.MARK, add_special_tokens=False).ids
+        ends = f" {self.MARK} ".encode()
+        texts = [(ends.join(new[i : i + 200]) + ends).decode() for i in range(0, len(new), 200)]
+        got = [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        ids = np.fromiter(itertools.chain.from_iterable(got), np.uint32, sum(map(len, got)))
+        closes = np.flatnonzero(ids == mark[0])
+        if len(mark) > 1 or len(closes) != len(new):
+            raise ValueError(f"{self.MARK!r} is no token of its own in this tokenizer")
+        return np.diff(closes, prepend=-1) - 1, np.delete(ids, closes)
+
     def _learn(self, new: list[bytes]) -> None:
-        got = [e.ids for e in self.tokenizer.encode_batch_fast([w.decode() for w in new], add_special_tokens=False)]
-        lengths = np.fromiter(map(len, got), np.int64, len(got))
-        flat = np.fromiter(itertools.chain.from_iterable(got), np.uint32, int(lengths.sum()))
+        marked = [w for w in new if self.MARK.encode() in w]
+        if marked:  # these can't be told apart by it
+            new = [w for w in new if self.MARK.encode() not in w]
+        lengths, flat = self._tokens(new) if new else (np.zeros(0, np.int64), np.zeros(0, np.uint32))
+        if marked:
+            got = [e.ids for e in self.tokenizer.encode_batch_fast([w.decode() for w in marked], add_special_tokens=False)]
+            new, lengths = new + marked, np.append(lengths, [len(x) for x in got])
+            flat = np.append(flat, np.fromiter(itertools.chain.from_iterable(got), np.uint32))
         have, end = len(self.index), self.used + len(flat)
         self.index.update(zip(new, range(have, have + len(new)), strict=True))
         while len(self.lengths) < len(self.index):
@@ -65,13 +85,15 @@ class WordMemo:
         self.used = end
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
-        split = [t.encode().split() for t in texts]
-        seen = set().union(*split)
         if len(self.index) > self.limit:
             self.clear()
-        if new := [w for w in seen if w not in self.index]:
-            self._learn(new)
-        at = np.fromiter(map(self.index.__getitem__, itertools.chain.from_iterable(split)), np.int64)
+        split = [t.encode().split() for t in texts]
+        chunks = list(itertools.chain.from_iterable(split))
+        at = np.fromiter(map(self.index.get, chunks, itertools.repeat(-1)), np.int64, len(chunks))
+        missing = np.flatnonzero(at < 0).tolist()
+        if missing:
+            self._learn(list(dict.fromkeys([chunks[i] for i in missing])))
+            at[missing] = [self.index[chunks[i]] for i in missing]
         lengths = self.lengths[at]
         ends = np.concatenate([[0], np.cumsum(lengths)])
         ids = self.flat[np.arange(ends[-1]) + np.repeat(self.begins[at] - ends[:-1], lengths)]
