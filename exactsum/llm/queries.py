@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import best_fit, superkmer
+from . import best_fit, jaccard_join, superkmer
 from .common import table
 
 TOKENIZER = "word_bpe_49k.json"
@@ -24,12 +24,17 @@ def op6_super_kmer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return kept.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
 
 
+def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.near_duplicates(table(spark, sf_dir, "documents"), width=5, near=75)
+
+
 def op8_best_two_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return best_fit.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=2048, separator=0)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op6_super_kmer": op6_super_kmer,
+    "op7_jaccard_join": op7_jaccard_join,
     "op8_best_two_fit": op8_best_two_fit,
 }
 
