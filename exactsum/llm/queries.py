@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import best_fit, jaccard_join, superkmer
+from . import best_fit, curriculum, jaccard_join, line_quality, superkmer
 from .common import table
 
 TOKENIZER = "word_bpe_49k.json"
@@ -19,6 +19,86 @@ def tokenizer_path() -> str:
     return public_tokenizers.path(TOKENIZER)
 
 
+def op2_line_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
+    d = line_quality.judged(table(spark, sf_dir, "documents"))
+    return d.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_removed")
+
+
+OP2_SQL = r"""
+WITH d AS (
+  SELECT doc_id, source AS host, text, coalesce(text, '') AS t,
+         regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w
+  FROM documents
+), spot AS (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM d WHERE len(w) >= 8
+), gram AS (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, array_to_string(w[i:i + 7], ' ')) AS c FROM spot
+), rep AS (SELECT doc_id, least(8, i - coalesce(lag(i) OVER (PARTITION BY doc_id ORDER BY i), -8)) AS n FROM gram WHERE c > 1
+), repeated AS (SELECT doc_id, sum(n) AS n FROM rep GROUP BY doc_id
+), lines AS (SELECT doc_id, host, text, unnest(string_split(t, chr(10))) AS l FROM d
+), line AS (
+  SELECT doc_id, host, text, l, lower(array_to_string(regexp_extract_all(l, '[^\x20\x09-\x0D]+'), ' ')) AS norm,
+         len(regexp_extract_all(l, '[^\x20\x09-\x0D]+')) AS n
+  FROM lines WHERE regexp_matches(l, '[^\x20\x09-\x0D]')
+), dup AS (SELECT doc_id, count(*) - count(DISTINCT l) AS n FROM line GROUP BY doc_id
+), hosts AS (SELECT host, count(DISTINCT text) AS texts FROM d WHERE text IS NOT NULL GROUP BY host
+), often AS (
+  SELECT host, norm FROM (SELECT host, norm, count(DISTINCT text) AS c FROM line GROUP BY host, norm)
+  JOIN (SELECT host AS host_, texts FROM hosts) ON host IS NOT DISTINCT FROM host_
+  WHERE c > greatest(20::DOUBLE, texts * 0.02::DOUBLE)
+), gone AS (
+  SELECT doc_id, sum(n) AS n FROM line JOIN (SELECT host AS host_, norm AS norm_ FROM often)
+  ON host IS NOT DISTINCT FROM host_ AND norm = norm_ GROUP BY doc_id
+), m AS (
+  SELECT d.doc_id, len(w)::BIGINT AS n_words, length(array_to_string(w, ''))::BIGINT AS word_chars,
+         (length(t) - length(translate(t, '#*$%&|<>', '')))::BIGINT AS n_symbols,
+         coalesce(dup.n, 0)::BIGINT AS n_dup_lines, coalesce(repeated.n, 0)::BIGINT AS n_repeat_words,
+         coalesce(gone.n, 0)::BIGINT AS n_removed
+  FROM d LEFT JOIN dup USING (doc_id) LEFT JOIN repeated USING (doc_id) LEFT JOIN gone USING (doc_id)
+)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
+       (n_words < 20 OR 100 * n_repeat_words > 30 * n_words) AS base_failed,
+       (NOT (n_words < 20 OR 100 * n_repeat_words > 30 * n_words) AND n_words - n_removed > n_words * 0.3::DOUBLE) AS kept,
+       n_removed
+FROM m
+"""
+
+
+def op5_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
+    p = curriculum.plan(table(spark, sf_dir, "documents"))
+    one = p.withColumn("copy__", F.explode(F.sequence(F.lit(1), F.col("rows"))))
+    return one.select("doc_id", "size", "source_size", "target", "taken", F.get("positions", 0).alias("first_position")).orderBy("first_position", "doc_id")
+
+
+OP5_SQL = r"""
+WITH d AS (
+  SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS size FROM documents
+), s0 AS (SELECT source, sum(size)::BIGINT AS source_size FROM d GROUP BY source
+), s1 AS (SELECT *, ((row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1)::DOUBLE AS weight FROM s0
+), s2 AS (
+  SELECT *, ((sum(source_size) OVER () - 3 * coalesce(sum(source_size) OVER (o ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0))::DOUBLE
+            / sum(weight) OVER (o ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING)) AS level, (source_size * 3)::DOUBLE / weight AS own
+  FROM s1 WINDOW o AS (ORDER BY source_size / weight, source NULLS LAST)
+), s AS (
+  SELECT source AS source_, source_size, weight,
+         least((source_size * 3)::DOUBLE, (min(CASE WHEN level <= own THEN level END) OVER ()) * weight) AS target
+  FROM s2
+), j AS (
+  SELECT d.*, s.*, coalesce(sum(size) OVER (PARTITION BY source ORDER BY md5(doc_id::VARCHAR), doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS before
+  FROM d JOIN s ON source IS NOT DISTINCT FROM source_
+), e AS (SELECT *, least(3, CASE WHEN source_size > 0 THEN floor(target / source_size) ELSE 0 END)::BIGINT AS whole FROM j
+), c AS (
+  SELECT *, whole + CASE WHEN whole < 3 AND before + size::DOUBLE / 2 < target - whole * source_size THEN 1 ELSE 0 END AS copies FROM e
+), p AS (
+  SELECT *, least(1.0::DOUBLE, (before + size::DOUBLE / 2) / target) * weight AS per,
+         weight * (1 - CASE weight WHEN 1 THEN -0.5 WHEN 2 THEN 0.0 ELSE 0.5 END)::DOUBLE AS w0,
+         weight * (1 + CASE weight WHEN 1 THEN -0.5 WHEN 2 THEN 0.0 ELSE 0.5 END)::DOUBLE AS w1
+  FROM c
+)
+SELECT doc_id, size, source_size, target, size * copies AS taken,
+       CASE WHEN copies > 0 THEN least(1.0::DOUBLE, 2 * per / (w0 + sqrt(greatest(0.0::DOUBLE, w0 * w0 + 2 * (w1 - w0) * per)))) END AS first_position
+FROM p
+"""
+
+
 def op6_super_kmer(spark: SparkSession, sf_dir: str) -> DataFrame:
     kept = superkmer.without_repeats(table(spark, sf_dir, "documents"), width=20)
     return kept.select("doc_id", "n_words", "n_removed", F.sha2("kept", 256).alias("kept_sha256"))
@@ -33,9 +113,14 @@ def op8_best_two_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_line_frequency": op2_line_frequency,
+    "op5_curriculum": op5_curriculum,
     "op6_super_kmer": op6_super_kmer,
     "op7_jaccard_join": op7_jaccard_join,
     "op8_best_two_fit": op8_best_two_fit,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op2_line_frequency": OP2_SQL,
+    "op5_curriculum": OP5_SQL,
+}
