@@ -23,7 +23,7 @@ pivots, regions around them and the triangle inequality:
 
 Equal sets of a map chunk are folded before anything is sent.  A head shingle that many documents
 of a chunk hold sends only its least document to the block; its other holders look the pivot up in
-a join, which AQE can split.  Regions beyond `region_docs` are settled as pairs of slices.
+a join of one row for each hash and chunk.  Regions beyond `region_docs` are settled as pairs of slices.
 """
 
 from __future__ import annotations
@@ -88,7 +88,7 @@ def _unblob(blob: bytes, columns: int) -> np.ndarray:
     return np.frombuffer(zstandard.decompress(blob), "<i8").reshape(columns, -1)
 
 
-def chunk_rows(ids: list[int], texts: list[bytes], width: int, buckets: int) -> Iterator[tuple]:
+def chunk_rows(ids: list[int], texts: list[bytes], width: int, buckets: int, hot_from: int = HOT_IN_CHUNK) -> Iterator[tuple]:
     """Rows (bucket, kind, blob): documents (id, n, equal document), postings (delta hash, document,
     n, looked up) and holders to look up (hash, document, n)."""
     order = sorted(range(len(ids)), key=ids.__getitem__)
@@ -108,7 +108,7 @@ def chunk_rows(ids: list[int], texts: list[bytes], width: int, buckets: int) ->
     opens = np.ones(len(hashes), bool)
     opens[1:] = hashes[1:] != hashes[:-1]
     group = np.cumsum(opens) - 1
-    hot = (np.bincount(group) >= HOT_IN_CHUNK)[group] if len(group) else np.zeros(0, bool)
+    hot = (np.bincount(group) >= hot_from)[group] if len(group) else np.zeros(0, bool)
     if hot.any():
         yield int(hashes[hot][0] % np.uint64(buckets)), 2, _blob(hashes[hot].view(np.int64), ids_[doc[hot]], n[doc[hot]])
     keep = ~hot | opens
@@ -133,12 +133,12 @@ def _postings(blob: bytes):
     return key, ids[local], n[local], np.frombuffer(body, bool, count, at + 12 * count)
 
 
-FOUND = "kind int, x long, n long, p long, m long"
+FOUND = "kind int, x long, n long, p long, m long, holders binary"
 
 
 def bucket_rows(group: pd.DataFrame) -> pd.DataFrame:
     """kind 0: a document, its set's size, an equal document; 1: document x, size, pivot p, blocks m
-    that x shares with others under p; 2: holder x, size, hash p; 3: hash x, pivot p."""
+    that x shares with others under p; 2: chunk x, hash p, its holders there and their sizes; 3: hash x, pivot p."""
     out = []
     for kind, blob in zip(group["kind"], group["blob"], strict=True):
         if kind == 0:
@@ -146,7 +146,9 @@ def bucket_rows(group: pd.DataFrame) -> pd.DataFrame:
             out.append(pd.DataFrame({"kind": 0, "x": x, "n": n, "p": p, "m": 0}))
         elif kind == 2:
             h, x, n = _unblob(blob, 3)
-            out.append(pd.DataFrame({"kind": 2, "x": x, "n": n, "p": h, "m": 0}))
+            chunk, cuts = x[0], np.flatnonzero(np.diff(h)) + 1
+            rows = [_blob(a, b) for a, b in zip(np.split(x, cuts), np.split(n, cuts), strict=True)]
+            out.append(pd.DataFrame({"kind": 2, "x": chunk, "n": 0, "p": h[np.append(0, cuts)], "m": 0, "holders": rows}))
     parts = [_postings(b) for k, b in zip(group["kind"], group["blob"], strict=True) if k == 1]
     if parts:
         key, x, n, hot = (np.concatenate(c) for c in zip(*parts, strict=True))
@@ -169,7 +171,15 @@ def bucket_rows(group: pd.DataFrame) -> pd.DataFrame:
         new[1:] = (x[1:] != x[:-1]) | (pivot[1:] != pivot[:-1])
         at = np.flatnonzero(new)
         out.append(pd.DataFrame({"kind": 1, "x": x[at], "n": n[at], "p": pivot[at], "m": np.diff(np.append(at, len(x)))}))
-    return pd.concat(out).astype({"kind": "int32"})
+    return pd.concat([pd.DataFrame({"kind": [], "holders": []}, dtype=object), *out]).astype({k: "int64" for k in "xnpm"} | {"kind": "int32"})[["kind", "x", "n", "p", "m", "holders"]]
+
+
+def looked_up_rows(chunk: pd.DataFrame) -> pd.DataFrame:
+    """(x, n, p, m) of the holders of a chunk, whose hashes have been given pivots."""
+    held = [_unblob(b, 2) for b in chunk["holders"]]
+    x, n = (np.concatenate([h[k] for h in held]) for k in (0, 1))
+    p = np.repeat(chunk["p"].to_numpy(), [h.shape[1] for h in held])
+    return pd.DataFrame({"x": x, "n": n, "p": p, "m": 1}).groupby(["x", "p"], as_index=False).agg({"n": "max", "m": "sum"})[["x", "n", "p", "m"]]
 
 
 class Region:
@@ -295,7 +305,7 @@ def components(edges: DataFrame) -> DataFrame:
         mark = now
 
 
-def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: int | None = None, region_docs: int = 6000) -> DataFrame:
+def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: int | None = None, region_docs: int = 6000, hot_from: int = HOT_IN_CHUNK) -> DataFrame:
     """(doc_id, n_shingles, component_id) for each row of docs.
 
     Null and empty texts have an empty set and link with nothing.  Rows with one doc_id count as one
@@ -313,7 +323,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: in
         ids, texts, held = [], [], 0
 
         def out() -> pd.DataFrame:
-            return pd.DataFrame(list(chunk_rows(ids, texts, width, buckets)) if ids else [], columns=["bucket", "kind", "blob"])
+            return pd.DataFrame(list(chunk_rows(ids, texts, width, buckets, hot_from)) if ids else [], columns=["bucket", "kind", "blob"])
 
         for batch in batches:
             for i, t in zip(batch["doc_id"].tolist(), batch["text"], strict=True):
@@ -328,9 +338,10 @@ def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: in
     sent = rows.mapInPandas(send, "bucket long, kind int, blob binary")
     found = checkpointed(sent.groupBy("bucket").applyInPandas(bucket_rows, FOUND))
     documents = found.where("kind = 0").select(F.col("x").alias("doc_id"), "n", F.col("p").alias("lead"))
-    looked_up = found.where("kind = 2").select("x", "n", F.col("p").alias("h"))
+    looked_up = found.where("kind = 2").select(F.col("x").alias("chunk"), F.col("p").alias("h"), "holders")
     pivots = found.where("kind = 3").select(F.col("x").alias("h"), "p")
-    shared = found.where("kind = 1").select("x", "n", "p", "m").unionByName(looked_up.join(pivots, "h").select("x", "n", "p", F.lit(1).cast("long").alias("m")))
+    looked_up = looked_up.join(pivots, "h").groupBy("chunk").applyInPandas(looked_up_rows, "x long, n long, p long, m long")
+    shared = found.where("kind = 1").select("x", "n", "p", "m").unionByName(looked_up)
     shared = shared.groupBy("x", "p").agg(F.max("n").alias("n"), F.sum("m").alias("m"))
     needed = F.lit(1) + F.floor(F.col("n") * 3 / 16)
     by_x = W.partitionBy("x")

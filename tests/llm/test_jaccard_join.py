@@ -49,11 +49,11 @@ def corpus(seed, n=120):
     return rows + [(2000, None), (2001, ""), (2002, " \t"), (2003, "one two"), (2004, "One  TWO"), rows[0], (2005, "z" * 50_000)]
 
 
-@pytest.mark.parametrize(("seed", "region_docs"), [(1, 6000), (2, 5)])
-def test_components_match_brute_force(spark, seed, region_docs):
+@pytest.mark.parametrize(("seed", "region_docs", "hot"), [(1, 6000, 64), (2, 5, 64), (3, 6000, 3)])
+def test_components_match_brute_force(spark, seed, region_docs, hot):
     rows = corpus(seed)
     docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 as n", "'x' as p", "doc_id as x", "2 as component_id").repartition(3)
-    got = jaccard_join.near_duplicates(docs, region_docs=region_docs)
+    got = jaccard_join.near_duplicates(docs, region_docs=region_docs, hot_from=hot)
     assert sorted(map(tuple, got.collect())) == brute(rows)
 
 
