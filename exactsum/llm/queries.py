@@ -7,18 +7,40 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import best_fit, curriculum, jaccard_join, line_quality, superkmer
+from . import best_fit, curriculum, hamming, jaccard_join, licenses, line_quality, preference, pseudonyms, superkmer
 from .common import table
 
 TOKENIZER = "word_bpe_49k.json"
 
 
+def op9_sentence_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    d = licenses.recognised(table(spark, sf_dir, "documents"))
+    line = F.concat(F.lit(","), F.array_join("sentence_ids", ","), F.lit(","))
+    return d.select("doc_id", F.size("sentence_ids").alias("n_sentences"), line.alias("sentence_ids"), F.array_join("licenses", "|").alias("licenses"))
+
+
 def tokenizer_path() -> str:
     import public_tokenizers
 
     return public_tokenizers.path(TOKENIZER)
 
 
+def op1_multi_index_hashing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    coded = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), hamming.sign_code(F.col("embedding")).alias("code"))
+    return hamming.nearest_codes(coded, coded.where("id % 20 = 0"), k=10, bits=64)
+
+
+OP1_SQL = """
+WITH bits AS (SELECT vec_id, embedding, unnest(range(1, 65)) AS i FROM embeddings),
+c AS (SELECT vec_id, string_agg(CASE WHEN embedding[i] > 0 THEN '1' ELSE '0' END, '' ORDER BY i)::BIT AS code FROM bits GROUP BY vec_id),
+p AS (
+  SELECT q.vec_id AS query_id, r.vec_id AS neighbor_id, bit_count(xor(q.code, r.code))::INTEGER AS distance
+  FROM c q, c r WHERE q.vec_id % 20 = 0
+), o AS (SELECT *, (row_number() OVER (PARTITION BY query_id ORDER BY distance, neighbor_id))::INTEGER AS rank FROM p)
+SELECT query_id, rank, neighbor_id, distance FROM o WHERE rank <= 10
+"""
+
+
 def op2_line_frequency(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = line_quality.judged(table(spark, sf_dir, "documents"))
     return d.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_removed")
@@ -62,6 +84,46 @@ FROM m
 """
 
 
+def op3_preference_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Conversations 2i and 2i + 1 stand for the chosen and the rejected side of pair i."""
+    c = table(spark, sf_dir, "conversations")
+    turns = c.select(F.floor(F.col("conv_id") / 2).alias("pair_id"), (F.col("conv_id") % 2 == 0).alias("chosen"), "turn", "role", "text")
+    spans = lambda name: F.array_join(F.transform(name, lambda s: F.concat_ws("-", s["start"].cast("string"), s["stop"].cast("string"))), ",").alias(name)
+    return preference.preference_pairs(turns).select("pair_id", "n_prompt_turns", "prompt", "chosen", "rejected", spans("chosen_spans"), spans("rejected_spans"))
+
+
+OP3_SQL = """
+WITH t AS (
+  SELECT conv_id // 2 AS pair_id, conv_id % 2 = 0 AS chosen, coalesce(role, '') AS role, coalesce(text, '') AS text,
+         row_number() OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, coalesce(role, ''), coalesce(text, '')) - 1 AS pos
+  FROM conversations WHERE conv_id IS NOT NULL
+), both_sides AS (SELECT pair_id FROM t GROUP BY pair_id HAVING count(DISTINCT chosen) = 2
+), side AS (SELECT * FROM t JOIN both_sides USING (pair_id)
+), pos AS (
+  SELECT pair_id, pos, count(*) = 2 AND count(DISTINCT role) = 1 AND count(DISTINCT text) = 1 AS same FROM side GROUP BY pair_id, pos
+), prefix AS (SELECT pair_id, coalesce(min(pos) FILTER (NOT same), max(pos) + 1) AS n FROM pos GROUP BY pair_id
+), r AS (
+  SELECT s.*, n, '<|' || role || '|>' || chr(10) AS head, text || '<|end|>' || chr(10) AS body FROM side s JOIN prefix USING (pair_id)
+), o AS (
+  SELECT *, coalesce(sum(length(head) + length(body)) OVER (PARTITION BY pair_id, chosen ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS at_
+  FROM r WHERE pos >= n
+), after AS (
+  SELECT pair_id, chosen, string_agg(head || body, '' ORDER BY pos) AS text,
+         string_agg((at_ + length(head))::BIGINT || '-' || (at_ + length(head) + length(body))::BIGINT, ',' ORDER BY pos) FILTER (role = 'assistant') AS spans
+  FROM o GROUP BY pair_id, chosen
+), prompt AS (SELECT pair_id, string_agg(head || body, '' ORDER BY pos) AS text FROM r WHERE chosen AND pos < n GROUP BY pair_id
+)
+SELECT p.pair_id, p.n::INTEGER AS n_prompt_turns, coalesce(prompt.text, '') AS prompt, coalesce(c.text, '') AS chosen, coalesce(j.text, '') AS rejected,
+       coalesce(c.spans, '') AS chosen_spans, coalesce(j.spans, '') AS rejected_spans
+FROM prefix p LEFT JOIN prompt USING (pair_id)
+LEFT JOIN (SELECT * FROM after WHERE chosen) c USING (pair_id) LEFT JOIN (SELECT * FROM after WHERE NOT chosen) j USING (pair_id)
+"""
+
+
+def op4_feistel_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pseudonyms.pseudonymised(table(spark, sf_dir, "documents"), key="corpus release key").select("doc_id", "text")
+
+
 def op5_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = curriculum.plan(table(spark, sf_dir, "documents"))
     one = p.withColumn("copy__", F.explode(F.sequence(F.lit(1), F.col("rows"))))
@@ -113,14 +175,21 @@ def op8_best_two_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_multi_index_hashing": op1_multi_index_hashing,
     "op2_line_frequency": op2_line_frequency,
+    "op3_preference_pairs": op3_preference_pairs,
+    "op4_feistel_pseudonyms": op4_feistel_pseudonyms,
     "op5_curriculum": op5_curriculum,
     "op6_super_kmer": op6_super_kmer,
     "op7_jaccard_join": op7_jaccard_join,
     "op8_best_two_fit": op8_best_two_fit,
+    "op9_sentence_rules": op9_sentence_rules,
 }
 
 ORACLES: dict[str, str] = {
+    "op1_multi_index_hashing": OP1_SQL,
+    "op3_preference_pairs": OP3_SQL,
+    "op9_sentence_rules": licenses.oracle(),
     "op2_line_frequency": OP2_SQL,
     "op5_curriculum": OP5_SQL,
 }
