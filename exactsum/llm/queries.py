@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import best_fit, curriculum, hamming, jaccard_join, licenses, line_quality, preference, pseudonyms, superkmer
+from . import best_fit, curriculum, hamming, jaccard_join, licenses, line_quality, preference, pseudonyms, pu_toxicity, superkmer
 from .common import table
 
 TOKENIZER = "word_bpe_49k.json"
@@ -19,6 +19,13 @@ def op9_sentence_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return d.select("doc_id", F.size("sentence_ids").alias("n_sentences"), line.alias("sentence_ids"), F.array_join("licenses", "|").alias("licenses"))
 
 
+def op10_nn_pu_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = pu_toxicity.train(docs, table(spark, sf_dir, "labels"))
+    s = pu_toxicity.scored(docs, model)
+    return s.select("doc_id", pu_toxicity.held_out(F.col("doc_id")).alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))
+
+
 def tokenizer_path() -> str:
     import public_tokenizers
 
@@ -184,6 +191,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_jaccard_join": op7_jaccard_join,
     "op8_best_two_fit": op8_best_two_fit,
     "op9_sentence_rules": op9_sentence_rules,
+    "op10_nn_pu_toxicity": op10_nn_pu_toxicity,
 }
 
 ORACLES: dict[str, str] = {
