@@ -7,7 +7,9 @@ radius grows until a query's k-th verified distance is within that bound; only q
 not there yet go on.  Segments have about log2(n) bits, so that a bucket holds few codes.
 
 Equal codes are one entry with their k least ids, and equal queries are searched once, so a vector
-that a third of all rows share costs no more than another.
+that a third of all rows share costs no more than another.  Distinct codes and distinct queries
+are dealt to blocks of bounded size by hash; each pair of blocks is searched by itself, gives at
+most k codes for each query, and the k best of all blocks remain.
 """
 
 from __future__ import annotations
@@ -15,12 +17,17 @@ from __future__ import annotations
 import itertools
 import math
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import checkpointed
 
+#: Distinct codes and distinct queries of a block.
+CODE_BLOCK, QUERY_BLOCK = 16_384, 1024
+
 
 def sign_code(vector: Column) -> Column:
     """One bit for each of up to 64 components: set where it is above zero; null for a null vector."""
@@ -28,20 +35,72 @@ def sign_code(vector: Column) -> Column:
     return F.aggregate(bits, F.lit(0).cast("long"), lambda a, b: a.bitwiseOR(b))
 
 
-def masks(bits: int, radius: int) -> Column:
-    """All segment masks with `radius` bits set."""
-    made = ",".join(str(sum(1 << i for i in c)) for c in itertools.combinations(range(bits), radius))
-    return F.transform(F.split(F.lit(made), ","), lambda x: x.cast("long"))
-
-
 def layout(bits: int, codes: int) -> list[tuple[int, int]]:
     """(shift, width) of each segment."""
-    m = max(1, round(bits / max(8, min(32, math.log2(max(codes, 2))))))
+    m = max(1, round(bits / max(8, min(24, math.log2(max(codes, 2))))))
     widths = [bits // m + (j < bits % m) for j in range(m)]
     return [(sum(widths[:j]), w) for j, w in enumerate(widths)]
 
 
-def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, bits: int = 64) -> DataFrame:
+def masks(width: int, radius: int) -> np.ndarray:
+    """All values of a segment with `radius` bits set."""
+    return np.array([sum(1 << i for i in c) for c in itertools.combinations(range(width), radius)], np.uint64)
+
+
+class MultiIndex:
+    """Segment indexes of one block of distinct codes."""
+
+    def __init__(self, codes: np.ndarray, least: np.ndarray, copies: np.ndarray, bits: int):
+        self.codes, self.least, self.copies, self.bits = codes.astype(np.uint64), least, copies, bits
+        self.segments = layout(bits, len(codes))
+        self.tables = []
+        for shift, width in self.segments:
+            value = self.part(self.codes, shift, width)
+            order = np.argsort(value, kind="stable")
+            self.tables.append((order, np.searchsorted(value[order], np.arange((1 << width) + 1, dtype=np.uint64))))
+        self.masks: dict[tuple[int, int], np.ndarray] = {}
+
+    @staticmethod
+    def part(code, shift: int, width: int):
+        return (code >> np.uint64(shift)) & np.uint64((1 << width) - 1)
+
+    def looked_up(self, query: np.uint64, j: int, radius: int) -> np.ndarray:
+        shift, width = self.segments[j]
+        if (width, radius) not in self.masks:
+            self.masks[width, radius] = masks(width, radius)
+        order, first = self.tables[j]
+        value = (self.part(query, shift, width) ^ self.masks[width, radius]).astype(np.int64)
+        begin, count = first[value], first[value + 1] - first[value]
+        begin, count = begin[count > 0], count[count > 0]
+        ends = np.cumsum(count)
+        return order[np.arange(ends[-1] if len(ends) else 0) + np.repeat(begin - (ends - count), count)]
+
+    def nearest(self, query: np.uint64, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Indexes and distances of the codes that hold the k nearest ids."""
+        m = len(self.segments)
+        seen = np.zeros(len(self.codes), bool)
+        found, distance = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        for radius in range(max(w for _, w in self.segments) + 1):
+            for j in range(m):
+                if radius <= self.segments[j][1]:
+                    new = self.looked_up(query, j, radius)
+                    new = np.unique(new[~seen[new]])
+                    if len(new):
+                        seen[new] = True
+                        found = np.append(found, new)
+                        distance = np.append(distance, np.bitwise_count(self.codes[new] ^ query).astype(np.int64))
+                        order = np.lexsort((self.least[found], distance))
+                        enough = int(np.searchsorted(np.cumsum(self.copies[found[order]]), k))
+                        found, distance = found[order[: max(k, enough + 1)]], distance[order[: max(k, enough + 1)]]
+                # segments 0..j are searched up to this radius, the others to one less
+                covered = m * radius + j
+                total = np.cumsum(self.copies[found])
+                if len(total) and total[-1] >= k and distance[int(np.searchsorted(total, k))] <= covered:
+                    return found[:k], distance[:k]
+        return found[:k], distance[:k]
+
+
+def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, bits: int = 64, code_block: int = CODE_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
     """(query_id, rank, neighbor_id, distance): the k rows nearest to each query, ties by id.
 
     rows and queries have (id, code).  Rows with a null id or code are left out of both; repeated
@@ -53,45 +112,26 @@ def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, bits: int =
     first = W.partitionBy("code").orderBy("id")
     ids = rows.distinct().withColumn("at", F.row_number().over(first)).where(F.col("at") <= k)
     codes = checkpointed(ids.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids")))
-    segments = layout(bits, codes.count())
-    m = len(segments)
-
-    def part(code: Column, shift: int, width: int) -> Column:
-        return F.shiftrightunsigned(code, shift).bitwiseAND(F.lit((1 << width) - 1))
-
-    entries = codes.select("code", F.get("ids", 0).alias("least"), F.size("ids").alias("copies"), F.posexplode(F.array(*[part(F.col("code"), s, w) for s, w in segments])).alias("segment", "value"))
-    entries = checkpointed(entries)
-    best = None
-    alive = asked.select("query").distinct()
-    done = []
-    for radius in range(max(w for _, w in segments) + 1):
-        probes = [alive.select("query", F.lit(j).alias("segment"), F.explode(masks(w, radius)).alias("mask")).select("query", "segment", part(F.col("query"), s, w).bitwiseXOR(F.col("mask")).alias("value")) for j, (s, w) in enumerate(segments) if radius <= w]
-        probes = probes[0] if len(probes) == 1 else _union(probes)
-        distance = F.bit_count(F.col("query").bitwiseXOR(F.col("code")))
-        met = probes.join(entries, ["segment", "value"]).select("query", "code", "least", "copies", distance.alias("distance"))
-        met = (met if best is None else met.unionByName(best)).dropDuplicates(["query", "code"])
-        near = W.partitionBy("query").orderBy("distance", "least")
-        top = met.withColumn("at", F.row_number().over(near)).where(F.col("at") <= k)
-        have = F.sum("copies").over(near.rowsBetween(W.unboundedPreceding, 0))
-        kth = F.min(F.when(F.col("have") >= k, F.col("distance"))).over(W.partitionBy("query"))
-        top = checkpointed(top.withColumn("have", have).withColumn("kth", kth).drop("at", "have"))
-        covered = m * (radius + 1) - 1 if radius < max(w for _, w in segments) else bits
-        settled = F.coalesce(F.col("kth") <= covered, F.lit(False)) if covered < bits else F.lit(True)
-        done.append(top.where(settled).drop("kth"))
-        best = top.where(~settled).drop("kth")
-        # a query without any candidate so far is still alive
-        alive = checkpointed(alive.join(top.where(settled).select("query").distinct(), "query", "left_anti"))
-        if alive.isEmpty():
-            break
-    found = _union(done).join(codes.select("code", "ids"), "code")
+    search = checkpointed(asked.select(F.col("query")).distinct())
+    code_blocks = max(1, math.ceil(codes.count() / code_block))
+    query_blocks = max(1, math.ceil(search.count() / query_block))
+    deal = lambda c, n: F.pmod(F.xxhash64(c), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = codes.select("code", F.get("ids", 0).alias("least"), F.size("ids").alias("copies"), deal("code", code_blocks).alias("cb"), every(query_blocks).alias("qb"))
+    right = search.select("query", every(code_blocks).alias("cb"), deal("query", query_blocks).alias("qb"))
+
+    def pair(held: pd.DataFrame, wanted: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        if len(held) and len(wanted):
+            index = MultiIndex(held["code"].to_numpy(), held["least"].to_numpy(), held["copies"].to_numpy(), bits)
+            for q in wanted["query"].tolist():
+                at, distance = index.nearest(np.int64(q).astype(np.uint64), k)
+                out += zip(itertools.repeat(q), held["code"].to_numpy()[at].tolist(), distance.tolist(), strict=False)
+        return pd.DataFrame(out, columns=["query", "code", "distance"]).astype({"query": "int64", "code": "int64", "distance": "int32"})
+
+    met = left.groupBy("cb", "qb").cogroup(right.groupBy("cb", "qb")).applyInPandas(pair, "query long, code long, distance int")
+    found = met.join(codes.select("code", "ids"), "code")
     flat = found.select("query", "distance", F.explode("ids").alias("id"))
     flat = flat.withColumn("rank", F.row_number().over(W.partitionBy("query").orderBy("distance", "id"))).where(F.col("rank") <= k)
     lists = flat.groupBy("query").agg(F.sort_array(F.collect_list(F.struct("rank", F.col("id").alias("neighbor_id"), "distance"))).alias("found"))
     return asked.join(lists, "query").select("query_id", F.inline("found"))
-
-
-def _union(frames: list[DataFrame]) -> DataFrame:
-    out = frames[0]
-    for f in frames[1:]:
-        out = out.unionByName(f)
-    return out
