@@ -17,6 +17,8 @@ from __future__ import annotations
 import itertools
 import math
 import re
+from array import array
+from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,6 +29,8 @@ from pyspark.sql import functions as F
 POSITIVES, UNLABELLED = 4000, 8000
 STEMS = range(4, 9)
 MAX_FEATURES = 4096
+#: Toxic texts that a feature must be in.
+LEAST_TEXTS = 4
 TOKEN = re.compile(r"\w+")
 
 
@@ -64,34 +68,34 @@ def nn_pu(rows: np.ndarray, cols: np.ndarray, values: np.ndarray, positive: np.n
     return theta[:width], float(theta[width])
 
 
-def fit(texts: list[set[str]], positive: np.ndarray, prior: float) -> tuple[dict[str, float], float]:
-    """Weights by feature, and the bias, from the words of each text."""
-    words = sorted(set().union(*texts))
-    number = {w: i for i, w in enumerate(words)}
-    name: dict[str, int] = {}
-    made = [[name.setdefault(f, len(name)) for f in features(w)] for w in words]
-    size = np.fromiter(map(len, made), np.int64, len(made))
-    flat = np.fromiter(itertools.chain.from_iterable(made), np.int64)
-    doc = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
-    word = np.fromiter((number[w] for t in texts for w in sorted(t)), np.int64, len(doc))
-    ends = np.cumsum(size)
-    pick = np.arange(size[word].sum()) + np.repeat((ends - size)[word] - (np.cumsum(size[word]) - size[word]), size[word])
-    key, count = np.unique(np.repeat(doc, size[word]) * len(name) + flat[pick], return_counts=True)
-    doc, feature = key // len(name), key % len(name)
-    in_p = np.bincount(feature[positive[doc]], minlength=len(name))
-    in_u = np.bincount(feature[~positive[doc]], minlength=len(name))
-    n_p, n_u = max(1, positive.sum()), max(1, (~positive).sum())
+def fit(texts: list[str], positive: np.ndarray, prior: float) -> tuple[dict[str, float], float]:
+    """Weights by feature, and the bias, from the distinct words of each text, joined by spaces."""
+    n_p, n_u = max(1, int(positive.sum())), max(1, int((~positive).sum()))
+    often: Counter[str] = Counter()
+    for text in itertools.compress(texts, positive.tolist()):
+        often.update({f for w in text.split() for f in features(w)})
+    names = sorted(f for f, n in often.items() if n >= LEAST_TEXTS)
+    del often
+    number = {f: i for i, f in enumerate(names)}
+    cols, counts, rows = array("l"), array("l"), array("l")
+    for i, text in enumerate(texts):
+        here = Counter(number[f] for w in text.split() for f in features(w) if f in number)
+        cols.extend(here.keys())
+        counts.extend(here.values())
+        rows.extend(itertools.repeat(i, len(here)))
+    cols, counts, rows = (np.frombuffer(x, np.int64) if len(x) else np.zeros(0, np.int64) for x in (cols, counts, rows))
+    in_p = np.bincount(cols[positive[rows]], minlength=len(names))
+    in_u = np.bincount(cols[~positive[rows]], minlength=len(names))
     lift = ((in_p + 0.1) / n_p) / ((in_u + 1) / n_u)
     # distance of the two shares, in standard deviations
     both = (in_p + in_u + 1) / (n_p + n_u)
     strength = (in_p / n_p - in_u / n_u) / np.sqrt(both * (1 - np.minimum(both, 0.999)) * (1 / n_p + 1 / n_u))
-    good = np.flatnonzero((lift >= 4) & (in_p >= 4) & (strength >= 5))
+    good = np.flatnonzero((lift >= 4) & (strength >= 5))
     good = good[np.argsort(-strength[good], kind="stable")][:MAX_FEATURES]
-    place = np.full(len(name), -1)
+    place = np.full(len(names) + 1, -1)
     place[good] = np.arange(len(good))
-    here = place[feature] >= 0
-    theta, bias = nn_pu(doc[here], place[feature[here]], count[here].astype(float), positive, len(good), prior)
-    names = list(name)
+    kept = place[cols] >= 0
+    theta, bias = nn_pu(rows[kept], place[cols[kept]], counts[kept].astype(float), positive, len(good), prior)
     return {names[f]: float(t) for f, t in zip(good.tolist(), theta, strict=True) if t != 0}, bias
 
 
@@ -119,13 +123,13 @@ def train(docs: DataFrame, labels: DataFrame, positives: int = POSITIVES, unlabe
 
     def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
-            yield pd.DataFrame({"id": b["id"], "positive": b["positive"], "words": [" ".join(tokens(t or "")) for t in b["text"]]})
+            yield pd.DataFrame({"id": b["id"], "positive": b["positive"], "words": [" ".join(sorted(tokens(t or ""))) for t in b["text"]]})
 
     rows = texts.mapInPandas(cut, "id long, positive boolean, words string").toPandas().drop_duplicates("id").sort_values("id")
     positive = rows["positive"].to_numpy(bool)
     if not positive.any():
         return {}, math.log(prior / (1 - prior))
-    return fit([set(w.split(" ")) - {""} for w in rows["words"]], positive, prior)
+    return fit(rows["words"].tolist(), positive, prior)
 
 
 def scored(docs: DataFrame, model: tuple[dict[str, float], float]) -> DataFrame:
