@@ -10,6 +10,8 @@ boilerplate; that also folds hot groups of copies before lines are exploded.
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -19,33 +21,51 @@ SYMBOLS = "#*$%&|<>"
 WINDOW = 8
 
 
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value) with `value` computed once, also where the optimizer moves the expression into a filter."""
+    return F.get(F.transform(F.array(value), use), 0)
+
+
+def repeat_words(found: Column) -> Column:
+    """How many of the words are covered by 8-word windows that occur twice or more."""
+
+    def windows(h):
+        made = F.transform(F.sequence(F.lit(0), F.size(h) - WINDOW), lambda i: F.xxhash64(*[F.get(h, i + k) for k in range(WINDOW)]))
+        return F.when(F.size(h) >= WINDOW, made).otherwise(F.array().cast("array<bigint>"))
+
+    def placed(g):
+        return F.array_sort(F.transform(g, lambda x, i: F.struct(x.alias("g"), i.alias("i"))))
+
+    def repeated(s):
+        same = lambda x, j: F.coalesce(F.get(s, j)["g"] == x["g"], F.lit(False))
+        return F.array_sort(F.transform(F.filter(s, lambda x, i: same(x, i - 1) | same(x, i + 1)), lambda x: x["i"]))
+
+    def covered(at):
+        start = F.struct(F.lit(0).cast("long").alias("n"), F.lit(-WINDOW).alias("last"))
+        return F.aggregate(at, start, lambda a, p: F.struct((a["n"] + F.least(F.lit(WINDOW), p - a["last"])).alias("n"), p.alias("last")), lambda a: a["n"])
+
+    def count(g):
+        return F.when(F.size(F.array_distinct(g)) < F.size(g), let(placed(g), lambda s: covered(repeated(s)))).otherwise(F.lit(0).cast("long"))
+
+    return let(F.transform(found, lambda x: F.xxhash64(x)), lambda h: let(windows(h), count))
+
+
 def base_measures(docs: DataFrame) -> DataFrame:
     """Adds n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words to (doc_id, host, text) rows."""
     text = F.coalesce("text", F.lit(""))
     lines = F.filter(F.split(text, "\n"), lambda x: x.rlike(WORD))
-    d = docs.withColumns({"w__": words(F.col("text")), "l__": lines})
-    d = d.select(
-        *docs.columns,
-        F.size("w__").cast("long").alias("n_words"),
-        F.aggregate("w__", F.lit(0).cast("long"), lambda a, x: a + F.length(x)).alias("word_chars"),
-        (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long").alias("n_symbols"),
-        (F.size("l__") - F.size(F.array_distinct("l__"))).cast("long").alias("n_dup_lines"),
-        F.transform("w__", lambda x: F.xxhash64(x)).alias("h__"),
+    of_words = let(
+        words(F.col("text")),
+        lambda w: F.struct(F.size(w).cast("long").alias("n_words"), F.aggregate(w, F.lit(0).cast("long"), lambda a, x: a + F.length(x)).alias("word_chars"), repeat_words(w).alias("n_repeat_words")),
     )
-    window = F.transform(F.sequence(F.lit(0), F.size("h__") - WINDOW), lambda i: F.xxhash64(*[F.get("h__", i + k) for k in range(WINDOW)]))
-    d = d.withColumn("g__", F.when(F.size("h__") >= WINDOW, window).otherwise(F.array().cast("array<bigint>"))).drop("h__")
-    again = F.size(F.array_distinct("g__")) < F.size("g__")
-    placed = F.array_sort(F.transform("g__", lambda x, i: F.struct(x.alias("g"), i.alias("i"))))
-    d = d.withColumn("s__", F.when(again, placed)).drop("g__")
-    found = F.filter("s__", lambda x, i: F.coalesce(F.get("s__", i - 1)["g"] == x["g"], F.lit(False)) | F.coalesce(F.get("s__", i + 1)["g"] == x["g"], F.lit(False)))
-    d = d.withColumn("p__", F.array_sort(F.transform(found, lambda x: x["i"]))).drop("s__")
-    covered = F.aggregate(
-        "p__",
-        F.struct(F.lit(0).cast("long").alias("n"), F.lit(-WINDOW).alias("last")),
-        lambda a, p: F.struct((a["n"] + F.least(F.lit(WINDOW), p - a["last"])).alias("n"), p.alias("last")),
-        lambda a: a["n"],
+    d = docs.withColumns(
+        {
+            "w__": of_words,
+            "n_symbols": (F.length(text) - F.length(F.translate(text, SYMBOLS, ""))).cast("long"),
+            "n_dup_lines": let(lines, lambda x: (F.size(x) - F.size(F.array_distinct(x))).cast("long")),
+        }
     )
-    return d.withColumn("n_repeat_words", F.coalesce(covered, F.lit(0).cast("long"))).drop("p__")
+    return d.withColumns({n: F.col(f"w__.{n}") for n in ("n_words", "word_chars", "n_repeat_words")}).drop("w__")
 
 
 def line_hash(line: Column) -> Column:
