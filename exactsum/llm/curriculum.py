@@ -45,7 +45,8 @@ def source_targets(sized: DataFrame, schedule: Callable[[Column], Column], cap:
     Targets share the sum of all sizes by weight; a target stops at cap times its source's size, and
     what it leaves is shared by the others in turn.  With sources in the order of size per weight,
     the first k are capped for the least k at which the rest's common level is below the next
-    source's own, so one pass over one row per source settles all rounds of resharing.
+    source's own, so one pass over one row per source settles all rounds of resharing: past that
+    source the level only falls, so it is the greatest one that fits.
     """
     s = sized.groupBy("source").agg(F.sum("size").alias("source_size"))
     s = s.withColumn("knots", schedule(F.row_number().over(W.orderBy(F.col("source").asc_nulls_last())) - 1))
@@ -58,7 +59,7 @@ def source_targets(sized: DataFrame, schedule: Callable[[Column], Column], cap:
     capped = F.coalesce(F.sum("source_size").over(order.rowsBetween(W.unboundedPreceding, -1)), F.lit(0)) * cap
     level = (F.sum("source_size").over(everything) - capped) / F.sum("weight").over(order.rowsBetween(0, W.unboundedFollowing))
     s = s.withColumn("level", level).withColumn("own", F.col("source_size") * cap / F.col("weight"))
-    s = s.withColumn("level", F.min(F.when(F.col("level") <= F.col("own"), F.col("level"))).over(everything))
+    s = s.withColumn("level", F.max(F.when(F.col("level") <= F.col("own"), F.col("level"))).over(everything))
     return s.withColumn("target", F.least((F.col("source_size") * cap).cast("double"), F.coalesce(F.col("level") * F.col("weight"), (F.col("source_size") * cap).cast("double"))))
 
 

@@ -11,6 +11,7 @@ from . import best_fit, curriculum, hamming, jaccard_join, licenses, line_qualit
 from .common import table
 
 TOKENIZER = "word_bpe_49k.json"
+PSEUDONYM_KEY = "corpus release key"
 
 
 def op9_sentence_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -128,7 +129,7 @@ LEFT JOIN (SELECT * FROM after WHERE chosen) c USING (pair_id) LEFT JOIN (SELECT
 
 
 def op4_feistel_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pseudonyms.pseudonymised(table(spark, sf_dir, "documents"), key="corpus release key").select("doc_id", "text")
+    return pseudonyms.pseudonymised(table(spark, sf_dir, "documents"), key=PSEUDONYM_KEY).select("doc_id", "text")
 
 
 def op5_curriculum(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -148,7 +149,7 @@ WITH d AS (
   FROM s1 WINDOW o AS (ORDER BY source_size / weight, source NULLS LAST)
 ), s AS (
   SELECT source AS source_, source_size, weight,
-         least((source_size * 3)::DOUBLE, (min(CASE WHEN level <= own THEN level END) OVER ()) * weight) AS target
+         least((source_size * 3)::DOUBLE, (max(CASE WHEN level <= own THEN level END) OVER ()) * weight) AS target
   FROM s2
 ), j AS (
   SELECT d.*, s.*, coalesce(sum(size) OVER (PARTITION BY source ORDER BY md5(doc_id::VARCHAR), doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS before
