@@ -23,8 +23,8 @@ from pyspark.sql import functions as F
 
 #: Pieces that are packed together.
 GROUP_PIECES = 65_536
-#: Distinct words whose ids a worker remembers; beyond it the memory starts anew.
-MEMO_WORDS = 1_500_000
+#: Distinct words whose ids a worker remembers; beyond it those met once only are forgotten.
+MEMO_WORDS = 800_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -50,6 +50,19 @@ class WordMemo:
         self.index: dict[bytes, int] = {}
         self.lengths, self.begins, self.used = np.zeros(1 << 16, np.int64), np.zeros(1 << 16, np.int64), 0
         self.flat = np.zeros(1 << 18, np.uint32)
+        self.met = np.zeros(1 << 16, np.int32)
+
+    def _forget(self) -> None:
+        """Keep the words met twice or more since the last time; all go if they are too many themselves."""
+        words = list(self.index)
+        keep = np.flatnonzero(self.met[: len(words)] > 1)
+        if 2 * len(keep) > self.limit:
+            return self.clear()
+        lengths, begins, flat = self.lengths[keep], self.begins[keep], self.flat
+        self.clear()
+        ends = np.cumsum(lengths)
+        ids = flat[np.arange(ends[-1] if len(ends) else 0) + np.repeat(begins - (ends - lengths), lengths)]
+        self._store([words[i] for i in keep.tolist()], lengths, ids)
 
     def _tokens(self, new: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """How many ids each chunk has, and all ids; many chunks go in one text, each closed by a
@@ -73,10 +86,13 @@ class WordMemo:
             got = [e.ids for e in self.tokenizer.encode_batch_fast([w.decode() for w in marked], add_special_tokens=False)]
             new, lengths = new + marked, np.append(lengths, [len(x) for x in got])
             flat = np.append(flat, np.fromiter(itertools.chain.from_iterable(got), np.uint32))
+        self._store(new, lengths, flat)
+
+    def _store(self, new: list[bytes], lengths: np.ndarray, flat: np.ndarray) -> None:
         have, end = len(self.index), self.used + len(flat)
         self.index.update(zip(new, range(have, have + len(new)), strict=True))
         while len(self.lengths) < len(self.index):
-            self.lengths, self.begins = (np.concatenate([x, np.zeros_like(x)]) for x in (self.lengths, self.begins))
+            self.lengths, self.begins, self.met = (np.concatenate([x, np.zeros_like(x)]) for x in (self.lengths, self.begins, self.met))
         while len(self.flat) < end:
             self.flat = np.concatenate([self.flat, np.zeros_like(self.flat)])
         self.lengths[have : len(self.index)] = lengths
@@ -86,7 +102,7 @@ class WordMemo:
 
     def encode(self, texts: list[str]) -> list[np.ndarray]:
         if len(self.index) > self.limit:
-            self.clear()
+            self._forget()
         split = [t.encode().split() for t in texts]
         chunks = list(itertools.chain.from_iterable(split))
         at = np.fromiter(map(self.index.get, chunks, itertools.repeat(-1)), np.int64, len(chunks))
@@ -94,6 +110,7 @@ class WordMemo:
         if missing:
             self._learn(list(dict.fromkeys([chunks[i] for i in missing])))
             at[missing] = [self.index[chunks[i]] for i in missing]
+        self.met[: len(self.index)] += np.bincount(at, minlength=len(self.index)).astype(np.int32)
         lengths = self.lengths[at]
         ends = np.concatenate([[0], np.cumsum(lengths)])
         ids = self.flat[np.arange(ends[-1]) + np.repeat(self.begins[at] - ends[:-1], lengths)]
