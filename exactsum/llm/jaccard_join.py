@@ -58,21 +58,22 @@ def shingle_sets(texts: list[bytes], width: int = 5) -> tuple[np.ndarray, np.nda
     index = dict(zip(words, range(len(words)), strict=True))
     at = np.fromiter(map(index.__getitem__, itertools.chain.from_iterable(split)), np.int64, int(sizes.sum()))
     value = np.fromiter(map(xxhash.xxh3_64_intdigest, words), np.uint64, len(words))[at]
+    few = np.flatnonzero((sizes > 0) & (sizes < width))
+    short = np.array([xxhash.xxh3_64_intdigest(b" ".join(split[i])) for i in few], np.uint64)
+    del split, words, index, at  # millions of small objects
     ends = np.cumsum(sizes)
     count = np.where(sizes >= width, sizes - width + 1, 0)
     begin = spread(ends - sizes, count)
     gram = np.zeros(len(begin), np.uint64)
     for k in range(width):
         gram = mixed(gram * ROOT + value[begin + k])
-    owner = np.repeat(np.arange(len(split)), count)
-    few = np.flatnonzero((sizes > 0) & (sizes < width))
-    short = np.array([xxhash.xxh3_64_intdigest(b" ".join(split[i])) for i in few], np.uint64)
+    owner = np.repeat(np.arange(len(sizes)), count)
     gram, owner = np.concatenate([gram, mixed(short ^ ROOT)]), np.concatenate([owner, few])
     order = np.lexsort((gram, owner))
     gram, owner = gram[order], owner[order]
     keep = np.ones(len(gram), bool)
     keep[1:] = (gram[1:] != gram[:-1]) | (owner[1:] != owner[:-1])
-    return gram[keep], np.bincount(owner[keep], minlength=len(split))
+    return gram[keep], np.bincount(owner[keep], minlength=len(sizes))
 
 
 def head_size(n):
