@@ -8,8 +8,10 @@ unique for a value, so equal sums have equal packed forms.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -146,8 +148,6 @@ def acc_round(acc: Column, fmt: str | FloatFormat = "double", mode: str = "neare
     fmt = FORMATS[fmt] if isinstance(fmt, str) else fmt
     if fmt == DOUBLE and mode in ("nearest_even", "faithful"):
         return hex_text(acc).cast("double")
-    import pandas as pd
-
     @F.pandas_udf("double")
     def rounded(text: pd.Series) -> pd.Series:
         def one(t):
@@ -157,8 +157,6 @@ def acc_round(acc: Column, fmt: str | FloatFormat = "double", mode: str = "neare
             r = round_integer(total, scale, fmt, mode)
             if isinstance(r, str):
                 return float(r)
-            import math
-
             return math.ldexp(r[0], r[1])
 
         return text.map(one)
@@ -171,8 +169,6 @@ def acc_round(acc: Column, fmt: str | FloatFormat = "double", mode: str = "neare
 def acc_round_parts(acc: Column, fmt: str | FloatFormat = "quad", mode: str = "nearest_even") -> Column:
     """struct(mant DECIMAL(38,0), exp INT, inf BOOLEAN) of the value rounded to any format of up to 126 bits."""
     fmt = FORMATS[fmt] if isinstance(fmt, str) else fmt
-    import pandas as pd
-
     @F.pandas_udf("struct<mant:string,exp:int,inf:boolean>")
     def rounded(text: pd.Series) -> pd.DataFrame:
         got = [round_integer(*parsed(t), fmt, mode) for t in text]
@@ -189,14 +185,18 @@ def parsed(text: str) -> tuple[int, int]:
 
 
 def acc_sign(acc: Column) -> Column:
-    return F.when(F.size(acc["digits"]) == 0, 0).when(acc["neg"], -1).otherwise(1)
+    return let(acc, lambda a: F.when(F.size(a["digits"]) == 0, 0).when(a["neg"], -1).otherwise(1))
 
 
 def dense_of(acc: Column, sign: int = 1) -> Column:
     """Packed to array<struct<top,s0,s1,s2>>, the input of `canonical`, so that operands can be concatenated."""
-    value = lambda d: F.when(acc["neg"], -sign * d).otherwise(sign * d)
     zero = F.lit(0).cast("bigint")
-    return F.transform(acc["digits"], lambda d, i: F.struct((acc["low"] + i).cast("int").alias("top"), value(d).cast("bigint").alias("s0"), zero.alias("s1"), zero.alias("s2")))
+
+    def entries(a):
+        value = lambda d: F.when(a["neg"], -sign * d).otherwise(sign * d)
+        return F.transform(a["digits"], lambda d, i: F.struct((a["low"] + i).cast("int").alias("top"), value(d).cast("bigint").alias("s0"), zero.alias("s1"), zero.alias("s2")))
+
+    return let(acc, entries)
 
 
 def acc_add(a: Column, b: Column) -> Column:
@@ -230,6 +230,10 @@ def acc_shift(a: Column, bits: int) -> Column:
 
 def acc_of(x: Column) -> Column:
     """The accumulator of one double."""
+    return let(x, _acc_of)
+
+
+def _acc_of(x: Column) -> Column:
     return canonical(F.filter(F.array(F.when(~is_special(x) & (x != 0), let(limbs(x), lambda v: F.struct(v["top"].alias("top"), v["d0"].alias("s0"), v["d1"].alias("s1"), v["d2"].alias("s2"))))), lambda e: e.isNotNull()))
 
 

@@ -233,7 +233,7 @@ def accurate(xs):
     v, passes, parts = np.asarray(xs, float), 0, []
     while len(v) and v.any() and passes < 64:
         passes += 1
-        m = np.frexp(np.abs(v).max())[1] + len(v).bit_length() + 1
+        m = int(np.frexp(np.abs(v).max())[1]) + len(v).bit_length() + 1
         if m > 1020:
             return rounded(exact(v)), passes
         sigma = math.ldexp(1.0, m)

@@ -70,9 +70,8 @@ def is_faithful(acc: Column, y: Column) -> Column:
     """No double lies strictly between y and the exact value."""
     from ..functions.decompose import next_down, next_up
 
-    side = A.acc_compare(A.acc_of(y), acc)
-    up, down = A.acc_compare(A.acc_of(next_up(y)), acc), A.acc_compare(A.acc_of(next_down(y)), acc)
-    return (side == 0) | ((side < 0) & (up > 0)) | ((side > 0) & (down < 0))
+    sides = F.array(*[A.acc_compare(A.acc_of(x), acc) for x in (y, next_up(y), next_down(y))])
+    return A.let(sides, lambda s: (s[0] == 0) | ((s[0] < 0) & (s[1] > 0)) | ((s[0] > 0) & (s[2] < 0)))
 
 
 def reproducibility(df: DataFrame, col: str | Column, partitions: Sequence[int] = (1, 2, 7, 64), exact: bool = True) -> DataFrame:
