@@ -23,8 +23,8 @@ from pyspark.sql import functions as F
 
 #: Pieces that are packed together.
 GROUP_PIECES = 65_536
-#: Distinct words whose ids a worker remembers; beyond it those met once only are forgotten.
-MEMO_WORDS = 800_000
+#: Distinct words whose ids a worker remembers; beyond it those of one batch only are forgotten.
+MEMO_WORDS = 1_000_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -53,7 +53,7 @@ class WordMemo:
         self.met = np.zeros(1 << 16, np.int32)
 
     def _forget(self) -> None:
-        """Keep the words met twice or more since the last time; all go if they are too many themselves."""
+        """Keep the words of two or more batches since the last time; all go if they are too many themselves."""
         words = list(self.index)
         keep = np.flatnonzero(self.met[: len(words)] > 1)
         if 2 * len(keep) > self.limit:
@@ -110,7 +110,7 @@ class WordMemo:
         if missing:
             self._learn(list(dict.fromkeys([chunks[i] for i in missing])))
             at[missing] = [self.index[chunks[i]] for i in missing]
-        self.met[: len(self.index)] += np.bincount(at, minlength=len(self.index)).astype(np.int32)
+        self.met[at] += 1  # once for each batch that has the word
         lengths = self.lengths[at]
         ends = np.concatenate([[0], np.cumsum(lengths)])
         ids = self.flat[np.arange(ends[-1]) + np.repeat(self.begins[at] - ends[:-1], lengths)]
