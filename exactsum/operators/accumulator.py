@@ -137,9 +137,13 @@ def pack(sums: DataFrame, keys: Sequence[str], carry: Sequence[Column] = ()) ->
 
 def hex_text(acc: Column) -> Column:
     """The exact value as a hexadecimal float literal."""
-    digits = F.array_join(F.transform(F.reverse(acc["digits"]), lambda d: F.lpad(F.hex(d), 8, "0")), "")
-    text = F.concat(F.when(acc["neg"], "-0x").otherwise("0x"), digits, F.lit("p"), (acc["low"] * W).cast("string"))
-    return F.when(F.size(acc["digits"]) == 0, F.lit("0x0p0")).otherwise(text)
+
+    def text(a):
+        digits = F.array_join(F.transform(F.reverse(a["digits"]), lambda d: F.lpad(F.hex(d), 8, "0")), "")
+        some = F.concat(F.when(a["neg"], "-0x").otherwise("0x"), digits, F.lit("p"), (a["low"] * W).cast("string"))
+        return F.when(F.size(a["digits"]) == 0, F.lit("0x0p0")).otherwise(some)
+
+    return let(acc, text)
 
 
 def acc_round(acc: Column, fmt: str | FloatFormat = "double", mode: str = "nearest_even") -> Column:
@@ -225,7 +229,7 @@ def acc_shift(a: Column, bits: int) -> Column:
     """The value times 2^bits."""
     limb, rest = divmod(bits, W)
     moved = acc_scale(a, 1 << rest) if rest < 30 else acc_scale(acc_scale(a, 1 << 16), 1 << (rest - 16))
-    return F.struct(moved["neg"].alias("neg"), (moved["low"] + limb).cast("int").alias("low"), moved["digits"].alias("digits"))
+    return let(moved, lambda m: F.struct(m["neg"].alias("neg"), (m["low"] + limb).cast("int").alias("low"), m["digits"].alias("digits")))
 
 
 def acc_of(x: Column) -> Column:
@@ -256,6 +260,11 @@ def sparse_add(a: Column, b: Column) -> Column:
     """
     zero = F.lit(0).cast("bigint")
     total = F.map_zip_with(a, b, lambda _, x, y: F.coalesce(x, zero) + F.coalesce(y, zero))
+    return let(total, _carried)
+
+
+def _carried(total: Column) -> Column:
+    zero = F.lit(0).cast("bigint")
     carry = lambda p: F.when(p >= R - 1, 1).when(p <= 1 - R, -1).otherwise(0).cast("bigint")
     stay = F.transform_values(total, lambda _, p: p - carry(p) * F.lit(R))
     up = F.map_from_entries(F.filter(F.transform(F.map_entries(total), lambda e: F.struct((e["key"] + 1).alias("key"), carry(e["value"]).alias("value"))), lambda e: e["value"] != 0))

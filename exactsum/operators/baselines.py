@@ -66,15 +66,13 @@ def sum_accurate_passes(df: DataFrame, col: str | Column, max_passes: int = 64)
     rows = df.select(x.alias("x")).where("x is not null")
     n, most = rows.agg(F.count("x"), F.max(F.abs("x"))).first()
     parts, passes = [], 0
-    rest = F.col("x")
     while n and most and passes < max_passes:
         m = math.frexp(most)[1] + n.bit_length() + 1
         if m > 1022:
             raise OverflowError("values too large to extract from")
         sigma = F.lit(math.ldexp(1.0, m))
-        q = (rest + sigma) - sigma
-        rest = rest - q
-        s, most = rows.agg(F.sum(q), F.max(F.abs(rest))).first()
+        rows = rows.select("x", ((F.col("x") + sigma) - sigma).alias("q")).select("q", (F.col("x") - F.col("q")).alias("x"))
+        s, most = rows.agg(F.sum("q"), F.max(F.abs("x"))).first()
         parts.append(s)
         passes += 1
         y = math.fsum(parts)
@@ -97,7 +95,7 @@ def sum_parallel_carry(df: DataFrame, col: str | Column, keys: Sequence[str] = (
         for t in f.sort_values("block__")["t"]:
             i, s = A.parsed(t)
             new = total + (i << (s - LOWEST * W))
-            changed, chain = (total ^ new) >> W, 0
+            changed, chain = abs(total ^ new) >> W, 0
             while changed:
                 chain += 1
                 changed >>= W
