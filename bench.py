@@ -14,6 +14,8 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 CPUS, SF = os.environ.get("BENCH_CPUS", "8"), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
+#: Values for the sequential competitor, which is a Python kernel.
+SEQUENTIAL = 60_000
 
 
 def session(cpus: str) -> SparkSession:
@@ -62,7 +64,10 @@ def main() -> None:
             sizes[kind] = w.count()
             for m, f in methods.items():
                 run(f"w_{kind}_{delta}_{m}", f(w))
-            run(f"w_{kind}_{delta}_distill", B.sequential(w, "x", "distill"), 1)
+            few = w.limit(SEQUENTIAL).cache()
+            run(f"w_{kind}_{delta}_distill_{few.count()}", B.sequential(few, "x", "distill"), 1)
+            run(f"w_{kind}_{delta}_sparse_{SEQUENTIAL}", M.exact_sum(few, "x"))
+            few.unpersist()
             w.unpersist()
     replicate = (1, 4, 16) if os.environ.get("BENCH_FULL") else (4,)
     for k in replicate:

@@ -16,7 +16,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.decompose import is_negative_zero, is_special, limbs
-from ..functions.formats import DOUBLE, FORMATS, R, W, FloatFormat, round_integer
+from ..functions.formats import DOUBLE, FORMATS, HIGHEST, LOWEST, R, W, FloatFormat, round_integer
 
 SUMS = ("s0", "s1", "s2")
 FLAGS = ("n", "n_nan", "n_pinf", "n_ninf", "n_nonnegzero")
@@ -35,7 +35,23 @@ def limb_rows(df: DataFrame, keys: Sequence[str], measures: dict[str, Column]) -
     else:
         each = F.array(*[F.struct(F.lit(n).alias("m"), x.cast("double").alias("x")) for n, x in measures.items()])
         d = df.select(*keys, F.inline(each))
-    return d.withColumn("l", limbs(F.col("x"))).select(*keys, "m", "x", "l.top", "l.d0", "l.d1", "l.d2")
+    return with_limbs(d).select(*keys, "m", "x", "top", "d0", "d1", "d2")
+
+
+def with_limbs(d: DataFrame) -> DataFrame:
+    """Adds top, d0, d1, d2 of column x: the split of functions.decompose.limbs, one step per projection.
+
+    Steps that use an earlier one twice stay separate projections of one generated stage, so each is
+    computed once; the power of two is looked up instead of raised.
+    """
+    x = F.col("x")
+    powers = F.array(*[F.lit(2.0 ** (-16 * k)) for k in range(LOWEST, HIGHEST + 1)])
+    d = d.withColumn("top", F.when((x != 0) & ~is_special(x), F.floor((F.floor(F.log2(F.abs(x))) + 1) / W).cast("int")))
+    d = d.withColumn("p__", F.get(powers, F.col("top") - LOWEST))
+    d = d.withColumn("m__", x * F.col("p__") * F.col("p__"))
+    d = d.withColumn("d0", F.col("m__").cast("bigint")).withColumn("r__", (F.col("m__") - F.col("d0")) * float(R))
+    d = d.withColumn("d1", F.col("r__").cast("bigint"))
+    return d.withColumn("d2", ((F.col("r__") - F.col("d1")) * float(R)).cast("bigint"))
 
 
 def flag_sums() -> list[Column]:
