@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 #: Pieces that are packed together.
 GROUP_PIECES = 65_536
 #: Distinct words whose ids a worker remembers; beyond it those of one batch only are forgotten.
-MEMO_WORDS = 1_000_000
+MEMO_WORDS = 500_000
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -119,12 +119,12 @@ class WordMemo:
 
 
 @functools.cache
-def memo_of(path: str) -> WordMemo:
-    """One memory for each Python worker, kept from task to task."""
-    return WordMemo(path)
+def memo_of(path: str, limit: int) -> WordMemo:
+    """One memory for each Python worker, kept from task to task; about 180 bytes a word."""
+    return WordMemo(path, limit)
 
 
-def tokenised(docs: DataFrame, path: str, capacity: int = 2048, separator: int = 0, with_ids: bool = False) -> DataFrame:
+def tokenised(docs: DataFrame, path: str, capacity: int = 2048, separator: int = 0, with_ids: bool = False, memo_words: int = MEMO_WORDS) -> DataFrame:
     """One row for each piece of each document; `with_ids` adds the piece's ids.
 
     A null or empty text yields the separator alone, repeated rows are kept as they are, and extra
@@ -132,7 +132,7 @@ def tokenised(docs: DataFrame, path: str, capacity: int = 2048, separator: int =
     """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        memo = memo_of(path)
+        memo = memo_of(path, memo_words)
         for batch in batches:
             for low in range(0, len(batch), 256):
                 part, rows = batch.iloc[low : low + 256], []
@@ -239,7 +239,10 @@ def packed(pieces: DataFrame, capacity: int = 2048, groups: int = 1) -> DataFram
     return pieces.withColumn("pack_group__", deal).groupBy("pack_group__").applyInPandas(run, schema + ", sequence_id long, offset long")
 
 
-def pack(docs: DataFrame, path: str, capacity: int = 2048, separator: int = 0, with_ids: bool = False) -> DataFrame:
-    """Tokenise and pack; the number of groups follows the number of documents."""
+def pack(docs: DataFrame, path: str, capacity: int = 2048, separator: int = 0, with_ids: bool = False, memo_words: int = MEMO_WORDS) -> DataFrame:
+    """Tokenise and pack; the number of groups follows the number of documents.
+
+    `memo_words` trades memory of the Python workers for time; results don't depend on it.
+    """
     groups = max(1, math.ceil(docs.count() / GROUP_PIECES))
-    return packed(tokenised(docs, path, capacity, separator, with_ids), capacity, groups)
+    return packed(tokenised(docs, path, capacity, separator, with_ids, memo_words), capacity, groups)

@@ -179,7 +179,7 @@ def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_best_two_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return best_fit.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=2048, separator=0)
+    return best_fit.pack(table(spark, sf_dir, "documents"), tokenizer_path(), capacity=2048, separator=0, memo_words=1_500_000)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
