@@ -288,6 +288,34 @@ def count_as_floats(spark, d):
     return spark.createDataFrame([(n, X.count_as_floats(n, "half"), X.count_as_floats(n, "single"))], "n bigint, halves array<double>, singles array<double>")
 
 
+@query("q_udf_exact_sum", f"SELECT c_mktsegment, {exact_sql('c_acctbal', 60)} AS value FROM customer GROUP BY 1")
+def udf_exact_sum(spark, d):
+    from .functions.sql import register_sql
+
+    register_sql(spark)
+    io.load(spark, d, "customer").createOrReplaceTempView("exact_customer")
+    return spark.sql("SELECT c_mktsegment, exact_sum(c_acctbal) AS value FROM exact_customer GROUP BY c_mktsegment")
+
+
+@query("q_udtf_limbs", DIGITS.format(keys="", rows="SELECT s_acctbal AS x FROM supplier"))
+def udtf_limbs(spark, d):
+    from .functions.sql import register_sql
+
+    register_sql(spark)
+    io.load(spark, d, "supplier").createOrReplaceTempView("exact_supplier")
+    return spark.sql("SELECT idx, sum(digit) AS digit FROM exact_supplier, LATERAL limbs_of(s_acctbal) GROUP BY idx HAVING sum(digit) <> 0")
+
+
+@query("q_sql_template", DIGITS.format(keys="", rows="SELECT l_tax AS x FROM lineitem"))
+def sql_template(spark, d):
+    from .functions.sql import exact_sql as template
+
+    io.load(spark, d, "lineitem").createOrReplaceTempView("exact_lineitem")
+    sums = spark.sql(template("exact_lineitem", "l_tax"))
+    parts = F.array(*[F.struct((F.col("top") - i).alias("idx"), F.col(f"s{i}").alias("digit")) for i in range(3)])
+    return sums.select(F.inline(parts)).groupBy("idx").agg(F.sum("digit").alias("digit")).where("digit <> 0")
+
+
 # streams
 def _stream(spark: SparkSession, d: str) -> DataFrame:
     schema = io.load(spark, d, "events").schema
