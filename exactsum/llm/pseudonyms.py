@@ -6,8 +6,9 @@ pseudonyms in every document, and the key's holder can undo it.  Each kind is it
 
   card   13-19 digits, single spaces or hyphens allowed, Luhn-valid: all digits but the last are
          permuted, and the last is computed anew
-  phone  +country and 7-12 more digits, or 3-3-4 digits in the usual punctuation: the digits after
-         the country code
+  phone  +country and 7-14 more digits, as many as its country has where that is one number, and
+         never the start of an address, card, date or other number after a space; or 3-3-4 digits in
+         the usual punctuation: the digits after the country code
   ssn    3-2-4 digits with hyphens
   ip     four octets up to 255: the 32-bit address
   date   yyyy-mm-dd, dd.mm.yyyy or dd/mm/yyyy that exists in the calendar: days of 1900-2099 among
@@ -28,12 +29,41 @@ ROUNDS = 8
 #: Day numbers count from 0001-01-01.  Fixed values of the proleptic Gregorian calendar.
 ALL_DAYS, MODERN_START, MODERN_DAYS = 3_652_059, 693_595, 73_049
 
+#: What starts another number than the one before it, after a space.
+IP = r"\d{1,3}(?:\.\d{1,3}){3}(?![\w]|\.\d)"
+OTHER = IP + r"|\d{3}-\d{2}-\d{4}(?![\w-])|\d{4}-\d{2}-\d{2}(?!\d|-)|\d{2}([./])\d{2}\{same}\d{4}(?![\w]|[./]\d)|\d{3}[.-]\d{3}[.-]\d{4}(?![\w-])"
+CARDS = r"\d{13,19}(?!\w)|\d{4}[ -]\d{4}[ -]\d{4}[ -]\d{1,7}(?!\w)|\d{4}[ -]\d{6}[ -]\d{4,5}(?!\w)"
+
+
+def _other(name: str) -> str:
+    """OTHER with its separator in a group of this name, so that patterns can be put together."""
+    return OTHER.replace("([./])", f"(?<{name}>[./])").replace(r"\{same}", rf"\k<{name}>")
+
+
+#: Digits after the country codes whose numbers have one length; fixed values of the national plans.
+LENGTHS = {10: "1|7|44|52|57|90|91|92", 9: "27|31|33|34|41|48|61|351|380|420", 8: "45|47|65|852"}
+
+
+def _phones() -> str:
+    """International layouts: in one piece, of a country with one length, or up to six groups.
+
+    A group after seven digits is not taken where another number starts.
+    """
+    known = [rf"(?<![\w+])\+(?:{codes})(?=[ .(-])(?:[ .-]?\(?\d\)?){{{n}}}(?![\w-])" for n, codes in LENGTHS.items()]
+    digit = r"[ .()-]{0,2}\d"
+    read = rf"\+\d{{1,3}}[ .(-]{digit * 7}{f'(?:{digit})?' * 7}", rf"\+\d{{4}}{digit * 4}{f'(?:{digit})?' * 7}"
+    enough, settled = f"(?<={read[0]}|{read[1]})", f"(?<={read[0]} |{read[1]} )"
+    more = rf"(?:[ .-]?(?!{settled}(?:{_other('p')}|{CARDS}))\d{{2,4}}){{1,5}}"
+    groups = rf"(?<![\w+])\+\d{{1,3}}(?:[ .-]?\(\d{{1,4}}\))?[ .-]?\d{{1,4}}{more}(?![\w-]){enough}"
+    return "|".join([r"(?<![\w+])\+\d{8,15}(?![\w-])", *known, groups])
+
+
 PATTERNS = {
     "email": r"[A-Za-z0-9][A-Za-z0-9._%+-]*@[A-Za-z0-9](?:[A-Za-z0-9-]*[A-Za-z0-9])?(?:\.[A-Za-z0-9-]*[A-Za-z0-9])*\.[A-Za-z]{2,}",
-    "phone": r"(?<![\w+])\+\d{1,3}(?:[ .-]?\(\d{1,4}\))?(?:[ .-]?\d{2,4}){2,4}(?![\w-])|(?<![\w(])\(\d{3}\) ?\d{3}[.-]\d{4}(?![\w-])|(?<![\w.-])\d{3}[.-]\d{3}[.-]\d{4}(?![\w-])",
+    "phone": _phones() + r"|(?<![\w(])\(\d{3}\) ?\d{3}[.-]\d{4}(?![\w-])|(?<![\w.-])\d{3}[.-]\d{3}[.-]\d{4}(?![\w-])",
     "ssn": r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])",
-    "ip": r"(?<![\w.])\d{1,3}(?:\.\d{1,3}){3}(?![\w]|\.\d)",
-    "date": r"(?<![\w-])\d{4}-\d{2}-\d{2}(?![\w-])|(?<![\w./])\d{2}([./])\d{2}\1\d{4}(?![\w]|[./]\d)",
+    "ip": r"(?<![\w.])" + IP,
+    "date": r"(?<![\w-])\d{4}-\d{2}-\d{2}(?![\w-])|(?<![\w./])\d{2}(?<s>[./])\d{2}\k<s>\d{4}(?![\w]|[./]\d)",
     "card": r"(?<![\w-])\d(?:[ -]?\d){12,18}(?![\w])",
 }
 #: Number patterns in the order in which they are tried at a place.

@@ -91,3 +91,25 @@ def test_every_modern_day_has_its_own_pseudonym(spark):
 
 def test_empty_table(spark):
     assert P.pseudonymised(frame(spark, TEXTS).limit(0), "k").count() == 0
+
+
+def hidden_parts(spark, texts, kept):
+    """Pseudonymised texts, after checking that they can be undone and that `kept` matches each."""
+    docs = frame(spark, texts)
+    hidden = P.pseudonymised(docs, "k")
+    assert {r.doc_id: r.text for r in P.pseudonymised(hidden, "k", inverse=True).collect()} == dict(enumerate(texts))
+    got = [r.text for r in hidden.orderBy("doc_id").collect()]
+    for text, pattern in zip(got, kept):
+        assert re.fullmatch(pattern, text), text
+    return got
+
+
+def test_phone_leaves_the_number_after_it(spark):
+    phone, ip, card = r"\+1 \(\d{3}\) \d{3}-\d{4}", r"\d+\.\d+\.\d+\.\d+", r"\d{4} \d{4} \d{4} \d{4}"
+    texts = ["+1 (826) 555-4081 190.137.223.204", "+1 (843) 555-7672 170.106.47.218", "+1 (826) 555-4081 4539 5787 6362 1460", "+1 (826) 555-4081 12 apples"]
+    texts += ["+49 30 9018 2012 190.137.223.204", "+49 30 9018 2012 4539 5787 6362 1460", "+33 1 23 45 67 89 2020-03-25", "+15555550123 12 apples", "+44 20 7946 0958 12 pears", "190.137.223.204 4539 5787 6362 1460"]
+    kept = [f"{phone} {ip}", f"{phone} {ip}", f"{phone} {card}", rf"{phone} 12 apples", rf"\+49 \d\d \d{{4}} \d{{4}} {ip}", rf"\+49 \d\d \d{{4}} \d{{4}} {card}", r"\+33 \d( \d\d){4} \d{4}-\d\d-\d\d", r"\+\d{11} 12 apples", r"\+44 \d\d \d{4} \d{4} 12 pears", f"{ip} {card}"]
+    got = hidden_parts(spark, texts, kept)
+    for secret in ("555-4081", "555-7672", "190.137.223.204", "170.106.47.218", "4539 5787", "9018 2012", "23 45 67", "2020-03-25", "5555550123", "7946 0958"):
+        assert not any(secret in t for t in got), secret
+    assert got[2].split(" ", 3)[-1] == got[5].split(" ", 4)[-1] == got[9].split(" ", 1)[-1]
