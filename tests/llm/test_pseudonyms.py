@@ -113,3 +113,15 @@ def test_phone_leaves_the_number_after_it(spark):
     for secret in ("555-4081", "555-7672", "190.137.223.204", "170.106.47.218", "4539 5787", "9018 2012", "23 45 67", "2020-03-25", "5555550123", "7946 0958"):
         assert not any(secret in t for t in got), secret
     assert got[2].split(" ", 3)[-1] == got[5].split(" ", 4)[-1] == got[9].split(" ", 1)[-1]
+
+
+def test_cards_in_runs_and_dates_in_timestamps(spark):
+    c, date = r"\d{4} \d{4} \d{4} \d{4}", r"\d{4}-\d\d-\d\d"
+    texts = ["card 4539 5787 6362 1460 123", "4539 5787 6362 1460 12/27", "12 4539 5787 6362 1460", "4539 5787 6362 1460 4315 7260 9571 2222 7", "4539 5787 6362 1460 190.137.223.204"]
+    texts += ["at 2024-03-01T12:00:00Z", "03/25/2020 and 25/03/2020", "1234 5678 9012 3456 78", " ".join(f"{k * 7919 % 9973}" for k in range(1, 60))]
+    kept = [f"card {c} 123", f"{c} 12/27", f"12 {c}", f"{c} {c} 7", rf"{c} \d+\.\d+\.\d+\.\d+", f"at {date}T12:00:00Z", r"(0\d|1[0-2])/(1[3-9]|2\d|3[01])/\d{4} and \d\d/\d\d/\d{4}", r"1234 5678 9012 3456 78", r"[\d ]+"]
+    got = hidden_parts(spark, texts, kept)
+    for secret in ("4539 5787", "4315 7260", "190.137.223.204", "2024-03-01", "03/25/2020", "25/03/2020"):
+        assert not any(secret in t for t in got), secret
+    assert luhn("".join(re.findall(r"\d", got[2][3:])))
+    assert got[0][5:24] == got[1][:19] == got[2][3:] == got[3][:19] == got[4][:19]
