@@ -24,17 +24,58 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut the lineage with a reliable checkpoint in the shared folder of the session.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share; local masters, as in tests, may go without."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    if not spark.sparkContext.master.startswith("local"):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors can reach")
+    return "/tmp/checkpoints"
 
-    Only where the session names none (local tests) a folder is set here.
-    """
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Cut the lineage with a reliable checkpoint in the shared folder of the session."""
     sc = df.sparkSession.sparkContext
     if not sc.getCheckpointDir():
-        shared = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-        sc.setCheckpointDir(shared or f"/tmp/checkpoints/{uuid.uuid4().hex}")
+        sc.setCheckpointDir(f"{shared_folder(df.sparkSession)}/{uuid.uuid4().hex}")
     return df.checkpoint(eager=True)
 
 
+#: Stands for a null doc_id, before all others.
+NO_ID = -(1 << 63)
+
+
+def numbered(docs: DataFrame) -> tuple[DataFrame, DataFrame | None, bool]:
+    """Rows (node, doc_id, text), the doc_id of each node where that isn't the node itself, and whether rows repeat.
+
+    Rows of equal doc_id and text are one node, others are different ones, and nodes are in the order
+    of doc_id, nulls first.  Where no doc_id has two texts, the doc_id is the node.
+    """
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    h = F.xxhash64(F.coalesce("text", F.lit("")))
+    seen = rows.groupBy("doc_id").agg(F.min(h).alias("a"), F.max(h).alias("b"), F.count("*").alias("n"))
+    clash, most = seen.agg(F.coalesce(F.bool_or(F.col("a") != F.col("b")), F.lit(False)), F.coalesce(F.max("n"), F.lit(0))).first()
+    if not clash:
+        return rows.select(F.coalesce("doc_id", F.lit(NO_ID)).alias("node"), "doc_id", "text"), None, most > 1
+    key = F.md5(F.coalesce("text", F.lit("")).cast("binary"))
+    texts = rows.select("doc_id", key.alias("key_")).distinct().repartitionByRange("doc_id", "key_").sortWithinPartitions("doc_id", "key_")
+    names = checkpointed(texts.select(F.col("doc_id").alias("id_"), "key_", F.monotonically_increasing_id().alias("node")))
+    named = rows.withColumn("key__", key).join(names, F.col("doc_id").eqNullSafe(F.col("id_")) & (F.col("key__") == F.col("key_")))
+    return named.select("node", "doc_id", "text"), names.select("node", F.col("id_").alias("doc_id")), most > 1
+
+
+def hub_join(facts: DataFrame, sums: DataFrame, key: str, count: str, total: int) -> DataFrame:
+    """facts with the row of `sums` that has their key, where sums.count says how many of `total` facts have it.
+
+    Keys of over a thousandth of all facts are at most a thousand, whatever the size, so they are
+    broadcast and their facts stay where they are; all others are shuffled.
+    """
+    limit = max(32, total // 1000)
+    hot = F.broadcast(sums.where(F.col(count) > limit))
+    rest = facts.join(hot.select(key), key, "left_anti").join(sums.where(F.col(count) <= limit), key)
+    return facts.join(hot, key).unionByName(rest)
+
+
 def shuffle_partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))

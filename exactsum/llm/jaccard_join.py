@@ -23,7 +23,7 @@ pivots, regions around them and the triangle inequality:
 
 Equal sets of a map chunk are folded before anything is sent.  A head shingle that many documents
 of a chunk hold sends only its least document to the block; its other holders look the pivot up in
-a join of one row for each hash and chunk.  Regions beyond `region_docs` are settled as pairs of slices.
+a join of one row for each hash and chunk.  Regions beyond `region_docs` are cut into slices.
 """
 
 from __future__ import annotations
@@ -40,8 +40,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import checkpointed
-from .superkmer import NO_ID, ROOT, mixed, spread
+from .common import NO_ID, checkpointed, hub_join, numbered
+from .superkmer import ROOT, mixed, spread
 
 CHUNK_BYTES, BUCKET_BYTES = 8 << 20, 16 << 20
 #: Holders of a head shingle in a chunk from which it is looked up instead of sent.
@@ -290,32 +290,117 @@ def region_links(sets: list[np.ndarray], ids: np.ndarray, near: int) -> tuple[np
 
 
 def components(edges: DataFrame) -> DataFrame:
-    """(node, root) for each node that isn't the least of its component; edges are (u, v), u > v."""
+    """(node, root) for each node that isn't the least of its component; edges are (u, v), u > v.
+
+    Nodes with many edges are joined by broadcast, at most a thousand of them in each step.
+    """
     edges = checkpointed(edges.distinct())
-    mark = None
+    total, mark = edges.count(), None
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(least, "u").where("v <> m").select(F.greatest("v", "m").alias("u"), F.least("v", "m").alias("v"))
+        least = both.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("degree"))
+        large = hub_join(both, least, "u", "degree", 2 * total).where("v > u").select(F.col("v").alias("u"), F.least("m", "u").alias("v")).distinct()
+        least = large.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("degree"))
+        small = hub_join(large, least, "u", "degree", 2 * total).where("v <> m").select(F.greatest("v", "m").alias("u"), F.least("v", "m").alias("v"))
         edges = checkpointed(small.unionByName(least.select("u", F.col("m").alias("v"))).distinct())
         now = edges.agg(F.count("*"), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0))).first()
         if now == mark:
             return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        mark = now
+        total, mark = now[0], now
+
+
+LINKS = "p long, slices int, out boolean, u long, v long"
+
+
+def region_solver(near: int):
+    def solve(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        """Links of a group, and of a slice also the documents outside its pivot's component."""
+        p, slices = int(key[0]), int(key[1])
+        group = group.drop_duplicates("x").sort_values("x")
+        ids = group["x"].to_numpy()
+        u, v = region_links([np.frombuffer(b, np.uint64) for b in group["grams"]], ids, near)
+        out = pd.DataFrame({"out": False, "u": u, "v": v})
+        if slices > 1:
+            root = dict(zip(u.tolist(), v.tolist(), strict=True))
+            home = root.get(p, p)
+            far = [x for x in ids.tolist() if root.get(x, x) != home]
+            out = pd.concat([out, pd.DataFrame({"out": True, "u": far, "v": far}, dtype="int64")])
+        return pd.DataFrame({"p": p, "slices": slices, "out": out["out"].astype(bool), "u": out["u"].astype("int64"), "v": out["v"].astype("int64")})
+
+    return solve
+
+
+def grouped_links(rows: DataFrame, placed: DataFrame, width: int, near: int) -> DataFrame:
+    """Solve the groups (p, slices, a, b) that `placed` puts documents x in."""
+    by_doc = placed.groupBy("x").agg(F.collect_list(F.struct("p", "slices", "a", "b")).alias("gs"))
+    members = rows.join(by_doc, F.col("node") == F.col("x")).select("node", "text", "gs")
+
+    def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for low in range(0, len(batch), 1000):
+                part = batch.iloc[low : low + 1000]
+                gram, n = shingle_sets([t.encode() for t in part["text"]], width)
+                ends = np.cumsum(n)
+                out = [(g["p"], g["slices"], g["a"], g["b"], i, gram[e - k : e].tobytes()) for i, gs, e, k in zip(part["node"], part["gs"], ends.tolist(), n.tolist(), strict=True) for g in gs]
+                yield pd.DataFrame(out, columns=["p", "slices", "a", "b", "x", "grams"])
+
+    held = members.mapInPandas(sets, "p long, slices int, a int, b int, x long, grams binary")
+    return held.groupBy("p", "slices", "a", "b").applyInPandas(region_solver(near), LINKS)
 
 
-def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: int | None = None, region_docs: int = 6000, hot_from: int = HOT_IN_CHUNK) -> DataFrame:
+def links_of_regions(rows: DataFrame, regions: DataFrame, width: int, near: int, region_docs: int) -> DataFrame:
+    """(u, v) of all pairs within regions (x, p), as links that connect the same components.
+
+    A region of up to `region_docs` documents is one group.  A larger one is cut into slices by hash,
+    each with a copy of the pivot: what links to the pivot in its slice needs no further comparison
+    with others that do.  Only the documents outside then go to every slice, in blocks of up to
+    `region_docs`, so no group holds more than about twice that.
+    """
+    size = regions.groupBy("p").agg(F.count("*").alias("docs"))
+    total = regions.count()
+    slices = F.ceil(F.col("docs") / F.lit(region_docs)).cast("int")
+    one = F.lit(0)
+    cut = hub_join(regions, size, "p", "docs", total).where("docs > 1").withColumn("slices", slices)
+    cut = cut.select("x", "p", "slices", F.pmod(F.xxhash64("x"), F.col("slices")).cast("int").alias("a"))
+    large = size.withColumn("slices", slices).where("slices > 1")
+    pivots = large.select(F.col("p").alias("x"), "p", "slices", F.explode(F.sequence(one, F.col("slices") - 1)).alias("a"))
+    placed = checkpointed(cut.unionByName(pivots))
+    found = checkpointed(grouped_links(rows, placed.withColumn("b", one), width, near))
+    links = found.where("not out").select("u", "v")
+    outside = found.where("out").select(F.col("u").alias("x"), "p", "slices").distinct()
+    blocks = outside.groupBy("p").agg(F.ceil(F.count("*") / F.lit(region_docs)).cast("int").alias("blocks"))
+    blocks = checkpointed(blocks)
+    if blocks.isEmpty():
+        return links
+    # few rows: regions that are large and hold documents outside their pivot's component
+    wanted = outside.join(blocks, "p").withColumn("b", F.pmod(F.xxhash64(F.lit("block"), "x"), F.col("blocks")).cast("int"))
+    wanted = wanted.select("x", "p", "slices", F.explode(F.sequence(one, F.col("slices") - 1)).alias("a"), "b")
+    held = placed.where("slices > 1").join(blocks, "p").select("x", "p", "slices", "a", F.explode(F.sequence(one, F.col("blocks") - 1)).alias("b"))
+    again = grouped_links(rows, wanted.unionByName(held).distinct(), width, near)
+    return links.unionByName(again.where("not out").select("u", "v"))
+
+
+def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: int | None = None, region_docs: int = 1000, hot_from: int = HOT_IN_CHUNK) -> DataFrame:
     """(doc_id, n_shingles, component_id) for each row of docs.
 
-    Null and empty texts have an empty set and link with nothing.  Rows with one doc_id count as one
-    document.  A null doc_id is kept and is less than all others.  Extra columns are ignored.  The
-    proof of the regions needs `near` of 75 or more.
+    Null and empty texts have an empty set and link with nothing.  Rows of equal doc_id and text are
+    one document; rows of one doc_id and different texts are different documents.  A null doc_id is
+    kept and is less than all others.  Extra columns are ignored.  Shingles are equal when their
+    64-bit hashes are.  The proof of the regions needs `near` of 75 or more.
     """
+    found, names = nodes_with_components(*numbered(docs), width, near, buckets, region_docs, hot_from)
+    if names is None:
+        null = F.lit(NO_ID)
+        return found.select(F.nullif("node", null).alias("doc_id"), F.col("n").alias("n_shingles"), F.nullif("component", null).alias("component_id"))
+    own = names.select("node", "doc_id")
+    least = names.select(F.col("node").alias("component"), F.col("doc_id").alias("component_id"))
+    return found.join(own, "node").join(least, "component").select("doc_id", F.col("n").alias("n_shingles"), "component_id")
+
+
+def nodes_with_components(rows: DataFrame, names: DataFrame | None, repeats: bool, width: int, near: int, buckets: int | None = None, region_docs: int = 1000, hot_from: int = HOT_IN_CHUNK) -> tuple[DataFrame, DataFrame | None]:
+    """(node, n, component) for each of the numbered rows, and the names of nodes as given."""
     if near < 75:
         raise ValueError("similarities of 75 % or more are supported")
-    rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)).alias("doc_id"), F.col("text").cast("string").alias("text"))
     if buckets is None:
         total = rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0
         buckets = max(8, math.ceil(total / BUCKET_BYTES))
@@ -327,7 +412,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: in
             return pd.DataFrame(list(chunk_rows(ids, texts, width, buckets, hot_from)) if ids else [], columns=["bucket", "kind", "blob"])
 
         for batch in batches:
-            for i, t in zip(batch["doc_id"].tolist(), batch["text"], strict=True):
+            for i, t in zip(batch["node"].tolist(), batch["text"], strict=True):
                 ids.append(i)
                 texts.append((t or "").encode())
                 held += len(texts[-1]) + 64
@@ -336,9 +421,9 @@ def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: in
                     ids, texts, held = [], [], 0
         yield out()
 
-    sent = rows.mapInPandas(send, "bucket long, kind int, blob binary")
+    sent = rows.select("node", "text").mapInPandas(send, "bucket long, kind int, blob binary")
     found = checkpointed(sent.groupBy("bucket").applyInPandas(bucket_rows, FOUND))
-    documents = found.where("kind = 0").select(F.col("x").alias("doc_id"), "n", F.col("p").alias("lead"))
+    documents = found.where("kind = 0").select(F.col("x").alias("node_"), "n", F.col("p").alias("lead"))
     looked_up = found.where("kind = 2").select(F.col("x").alias("chunk"), F.col("p").alias("h"), "holders")
     pivots = found.where("kind = 3").select(F.col("x").alias("h"), "p")
     looked_up = looked_up.join(pivots, "h").groupBy("chunk").applyInPandas(looked_up_rows, "x long, n long, p long, m long")
@@ -349,40 +434,29 @@ def near_duplicates(docs: DataFrame, width: int = 5, near: int = 75, buckets: in
     before = F.sum("m").over(by_x.orderBy(F.desc("m"), "p").rowsBetween(W.unboundedPreceding, -1))
     regions = shared.withColumn("total", F.sum("m").over(by_x)).withColumn("rest", F.col("total") - F.coalesce(before, F.lit(0)))
     regions = checkpointed(regions.where((F.col("total") >= needed) & (2 * F.col("rest") > needed - 1)).select("x", "p"))
-    size = regions.groupBy("p").agg(F.count("*").alias("docs")).where("docs > 1")
-    slices = F.ceil(F.col("docs") / F.lit(region_docs)).cast("int")
-    placed = regions.join(size.select("p", slices.alias("slices")), "p")
-    # a region of one slice is one group; else each pair of its slices is
-    own = F.pmod(F.xxhash64("x"), F.col("slices")).cast("int")
-    other = F.sequence(F.lit(0), F.col("slices") - 1)
-    placed = placed.withColumn("own", own).withColumn("other", F.explode(other))
-    placed = placed.where("slices < 3 or own <> other").select("x", F.struct("p", F.when(F.col("slices") < 3, 0).otherwise(F.least("own", "other")).alias("a"), F.when(F.col("slices") < 3, 0).otherwise(F.greatest("own", "other")).alias("b")).alias("g")).distinct()
-    by_doc = placed.groupBy("x").agg(F.collect_list("g").alias("gs"))
-    members = rows.join(by_doc, F.col("doc_id") == F.col("x")).select("doc_id", "text", "gs")
-
-    def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for batch in batches:
-            for low in range(0, len(batch), 1000):
-                part = batch.iloc[low : low + 1000]
-                gram, n = shingle_sets([t.encode() for t in part["text"]], width)
-                ends = np.cumsum(n)
-                out = [(g["p"], g["a"], g["b"], i, gram[e - k : e].tobytes()) for i, gs, e, k in zip(part["doc_id"], part["gs"], ends.tolist(), n.tolist(), strict=True) for g in gs]
-                yield pd.DataFrame(out, columns=["p", "a", "b", "x", "grams"])
-
-    def solve(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.drop_duplicates("x").sort_values("x")
-        u, v = region_links([np.frombuffer(b, np.uint64) for b in group["grams"]], group["x"].to_numpy(), near)
-        return pd.DataFrame({"u": u, "v": v})
-
-    links = members.mapInPandas(sets, "p long, a int, b int, x long, grams binary").groupBy("p", "a", "b").applyInPandas(solve, "u long, v long")
-    roots = components(links)
+    once = rows.select("node", "text")
+    once = once.dropDuplicates(["node"]) if repeats else once
+    roots = components(links_of_regions(once, regions, width, near, region_docs))
     joined = documents.join(roots, F.col("lead") == F.col("node"), "left")
-    component = F.coalesce("root", "lead")
-    null = F.lit(NO_ID)
-    return joined.select(F.nullif("doc_id", null).alias("doc_id"), F.col("n").alias("n_shingles"), F.nullif(component, null).alias("component_id"))
+    return joined.select(F.col("node_").alias("node"), "n", F.coalesce("root", "lead").alias("component")), names
 
 
 def one_of_each(docs: DataFrame, width: int = 5, near: int = 75) -> DataFrame:
-    """The rows of docs whose doc_id is the least of its component, with all their columns."""
-    kept = near_duplicates(docs, width, near).where("doc_id <=> component_id").select(F.col("doc_id").alias("kept__")).distinct()
-    return docs.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("kept__")), "left_semi")
+    """One row of docs for each component, with all its columns: that of the least doc_id.
+
+    Of repeated rows one stays; of different texts with one doc_id the one with the least hash stays.
+    """
+    rows, names, repeats = numbered(docs)
+    found, _ = nodes_with_components(rows, names, repeats, width, near)
+    kept = found.where("node = component").select(F.col("node").alias("kept__"))
+    kept = kept.distinct() if repeats else kept
+    if names is None:
+        d = docs.withColumn("node__", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
+        d = d.dropDuplicates(["node__"]) if repeats else d
+        return d.join(kept, F.col("node__") == F.col("kept__"), "left_semi").select(*docs.columns)
+    text = F.md5(F.coalesce(F.col("text").cast("string"), F.lit("")).cast("binary"))
+    d = docs.withColumns({"id__": F.col("doc_id").cast("long"), "text__": text}).dropDuplicates(["id__", "text__"])
+    keys = names.join(kept, F.col("node") == F.col("kept__"), "left_semi")
+    of = rows.select("node", F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("key_")).distinct()
+    keys = keys.join(of, "node").select(F.col("doc_id").alias("kept_id__"), F.col("key_").alias("kept_text__"))
+    return d.join(keys, F.col("id__").eqNullSafe(F.col("kept_id__")) & (F.col("text__") == F.col("kept_text__")), "left_semi").select(*docs.columns)

@@ -1,3 +1,4 @@
+import hashlib
 import random
 
 import numpy as np
@@ -8,34 +9,50 @@ from exactsum.llm import best_fit, curriculum, hamming, licenses, line_quality,
 
 
 def brute_removed(rows, width):
-    first, words = {}, {i: (t or "").encode().split() for i, t in rows}
-    for i in sorted(words):
-        for s in range(len(words[i]) - width + 1):
-            first.setdefault(tuple(words[i][s : s + width]), (i, s))
-    out = {}
-    for i, w in words.items():
+    """Rows are documents in the order given, each (id, text)."""
+    first, words = {}, [(t or "").encode().split() for _, t in rows]
+    for i, w in enumerate(words):
+        for s in range(len(w) - width + 1):
+            first.setdefault(tuple(w[s : s + width]), (i, s))
+    out = []
+    for i, w in enumerate(words):
         gone = set()
         for s in range(len(w) - width + 1):
             if first[tuple(w[s : s + width])] < (i, s):
                 gone |= set(range(s, s + width))
-        out[i] = (len(w), len(gone), b" ".join(x for k, x in enumerate(w) if k not in gone).decode())
+        out.append((rows[i][0], len(w), len(gone), b" ".join(x for k, x in enumerate(w) if k not in gone).decode()))
     return out
 
 
-@pytest.mark.parametrize("seed", [1, 2])
-def test_super_kmers_match_brute_force(spark, seed):
+def removed(docs, **how):
+    return [(r.doc_id, r.n_words, r.n_removed, r.kept) for r in superkmer.without_repeats(docs, 20, **how).collect()]
+
+
+@pytest.mark.parametrize(("seed", "frequent_from"), [(1, 10_000), (2, 10_000), (3, 3), (4, 8)])
+def test_super_kmers_match_brute_force(spark, seed, frequent_from):
     rng = random.Random(seed)
     v = [f"w{k}" for k in range(rng.choice([3, 60]))] + ["Ä|"]
     passages = [" ".join(rng.choices(v, k=rng.randint(5, 60))) for _ in range(6)]
     rows = [(i * 7 % 101, "\n".join(rng.choice(passages) if rng.random() < 0.6 else " ".join(rng.choices(v, k=9)) for _ in range(rng.randint(0, 6)))) for i in range(60)]
     rows += [(500, None), (501, ""), (502, "same " * 3000), (503, " ".join(["word"] * 25))]
-    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 as start", "'x' as bucket").repartition(4)
-    got = {r.doc_id: (r.n_words, r.n_removed, r.kept) for r in superkmer.without_repeats(docs, 20, buckets=5).collect()}
-    assert got == brute_removed(rows, 20)
+    docs = spark.createDataFrame(rows, "doc_id long, text string").selectExpr("*", "1 as start", "'x' as bucket", "2 as node", "3 as spans").repartition(4)
+    want = sorted(brute_removed(sorted(rows, key=lambda r: r[0]), 20))
+    assert sorted(removed(docs, buckets=5, frequent_from=frequent_from)) == want
     assert superkmer.without_repeats(docs.limit(0)).count() == 0
-    twice = superkmer.without_repeats(docs.unionByName(docs), 20)
-    assert {r.doc_id: (r.n_words, r.n_removed, r.kept) for r in twice.collect()} == got
-    assert superkmer.without_repeats(spark.createDataFrame([(None, "a b")], "doc_id long, text string")).first().doc_id is None
+    assert sorted(removed(docs.unionByName(docs))) == sorted(want * 2)
+
+
+def test_super_kmers_with_null_and_clashing_ids(spark):
+    rng = random.Random(9)
+    words = [f"w{k}" for k in range(50)]
+    shared = " ".join(rng.choices(words, k=30))
+    texts = [f"{' '.join(rng.choices(words, k=7))} {shared} {' '.join(rng.choices(words, k=k))}" for k in (0, 3, 6, 9)]
+    key = lambda t: hashlib.md5((t or "").encode()).hexdigest()
+    rows = sorted([(None, texts[0]), (None, texts[1]), (4, texts[2]), (4, texts[3]), (7, None), (7, shared)], key=lambda r: (r[0] is not None, r[0] or 0, key(r[1])))
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(removed(docs), key=repr) == sorted(brute_removed(rows, 20), key=repr)
+    alone = spark.createDataFrame([(None, "a b")], "doc_id long, text string")
+    assert removed(alone) == [(None, 2, 0, "a b")]
 
 
 def test_hamming_matches_brute_force(spark):
