@@ -1,21 +1,25 @@
 """Exact top-k search for binary codes by incremental multi-index hashing.
 
-A code is cut into m segments, and each segment has an index of its values.  If all values within
-radius r of a query's segment are looked up in every segment, every code within Hamming distance
-m (r + 1) - 1 has been met: otherwise all m segments would differ in r + 1 bits or more.  The
-radius grows until a query's k-th verified distance is within that bound; only queries that are
-not there yet go on.  Segments have about log2(n) bits, so that a bucket holds few codes.
-
-Equal codes are one entry with their k least ids, and equal queries are searched once, so a vector
-that a third of all rows share costs no more than another.  Distinct codes and distinct queries
-are dealt to blocks of bounded size by hash; each pair of blocks is searched by itself, gives at
-most k codes for each query, and the k best of all blocks remain.
+A code is cut into m segments of about log2(n) bits.  One index, built once, has an entry for each
+code in each segment; its cells are a segment and the first bits of the segment's value.  If all
+values within radius r of a query's segment have been looked up in every segment, every code within
+Hamming distance m (r + 1) - 1 has been met: otherwise all m segments would differ in r + 1 bits or
+more.  The radius grows by one from round to round.  In a round each open query is sent to the cells
+whose prefix can hold a value at exactly that radius, the values are looked up there among the
+cell's sorted entries, and the best k codes of all cells join those of earlier rounds.  A query is
+closed, and asks no more, once its k-th verified distance is within the bound.
+
+Equal codes are one entry with their k least ids, and equal queries are asked once, so a vector
+that a third of all rows share costs no more than another.  A cell with many entries is cut into
+slices by hash, and the queries of a slice into blocks, so a segment value that a third of all codes
+share is spread over as many tasks as it needs.
 """
 
 from __future__ import annotations
 
 import itertools
 import math
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -23,16 +27,22 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, hub_join
 
-#: Distinct codes and distinct queries of a block.
-CODE_BLOCK, QUERY_BLOCK = 16_384, 1024
+#: Entries of an index cell's slice, and queries that are sent to it together.
+CELL_CODES, QUERY_BLOCK = 2048, 512
+#: Lookups of a batch of queries in a cell at a time.
+LOOKUPS = 1 << 20
+BEST = "array<struct<distance:int,least:bigint,code:bigint,copies:int>>"
+#: Bits of a cell's number that hold the prefix.
+SPOT = 40
 
 
 def sign_code(vector: Column) -> Column:
-    """One bit for each of up to 64 components: set where it is above zero; null for a null vector."""
+    """One bit for each of up to 64 components: set where it is above zero (a null one isn't); null for a null vector."""
     bits = F.transform(vector, lambda x, i: F.when(x > 0, F.call_function("shiftleft", F.lit(1).cast("long"), i)).otherwise(F.lit(0).cast("long")))
-    return F.aggregate(bits, F.lit(0).cast("long"), lambda a, b: a.bitwiseOR(b))
+    code = F.aggregate(bits, F.lit(0).cast("long"), lambda a, b: a.bitwiseOR(b))
+    return F.when(F.size(vector) > 64, F.raise_error(F.lit("sign codes have at most 64 components"))).otherwise(code)
 
 
 def layout(bits: int, codes: int) -> list[tuple[int, int]]:
@@ -42,96 +52,164 @@ def layout(bits: int, codes: int) -> list[tuple[int, int]]:
     return [(sum(widths[:j]), w) for j, w in enumerate(widths)]
 
 
-def masks(width: int, radius: int) -> np.ndarray:
-    """All values of a segment with `radius` bits set."""
-    return np.array([sum(1 << i for i in c) for c in itertools.combinations(range(width), radius)], np.uint64)
-
-
-class MultiIndex:
-    """Segment indexes of one block of distinct codes."""
-
-    def __init__(self, codes: np.ndarray, least: np.ndarray, copies: np.ndarray, bits: int):
-        self.codes, self.least, self.copies, self.bits = codes.astype(np.uint64), least, copies, bits
-        self.segments = layout(bits, len(codes))
-        self.tables = []
-        for shift, width in self.segments:
-            value = self.part(self.codes, shift, width)
-            order = np.argsort(value, kind="stable")
-            self.tables.append((order, np.searchsorted(value[order], np.arange((1 << width) + 1, dtype=np.uint64))))
-        self.masks: dict[tuple[int, int], np.ndarray] = {}
-
-    @staticmethod
-    def part(code, shift: int, width: int):
-        return (code >> np.uint64(shift)) & np.uint64((1 << width) - 1)
-
-    def looked_up(self, query: np.uint64, j: int, radius: int) -> np.ndarray:
-        shift, width = self.segments[j]
-        if (width, radius) not in self.masks:
-            self.masks[width, radius] = masks(width, radius)
-        order, first = self.tables[j]
-        value = (self.part(query, shift, width) ^ self.masks[width, radius]).astype(np.int64)
-        begin, count = first[value], first[value + 1] - first[value]
-        begin, count = begin[count > 0], count[count > 0]
-        ends = np.cumsum(count)
-        return order[np.arange(ends[-1] if len(ends) else 0) + np.repeat(begin - (ends - count), count)]
-
-    def nearest(self, query: np.uint64, k: int) -> tuple[np.ndarray, np.ndarray]:
-        """Indexes and distances of the codes that hold the k nearest ids."""
-        m = len(self.segments)
-        seen = np.zeros(len(self.codes), bool)
-        found, distance = np.zeros(0, np.int64), np.zeros(0, np.int64)
-        for radius in range(max(w for _, w in self.segments) + 1):
-            for j in range(m):
-                if radius <= self.segments[j][1]:
-                    new = self.looked_up(query, j, radius)
-                    new = np.unique(new[~seen[new]])
-                    if len(new):
-                        seen[new] = True
-                        found = np.append(found, new)
-                        distance = np.append(distance, np.bitwise_count(self.codes[new] ^ query).astype(np.int64))
-                        order = np.lexsort((self.least[found], distance))
-                        enough = int(np.searchsorted(np.cumsum(self.copies[found[order]]), k))
-                        found, distance = found[order[: max(k, enough + 1)]], distance[order[: max(k, enough + 1)]]
-                # segments 0..j are searched up to this radius, the others to one less
-                covered = m * radius + j
-                total = np.cumsum(self.copies[found])
-                if len(total) and total[-1] >= k and distance[int(np.searchsorted(total, k))] <= covered:
-                    return found[:k], distance[:k]
-        return found[:k], distance[:k]
-
-
-def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, bits: int = 64, code_block: int = CODE_BLOCK, query_block: int = QUERY_BLOCK) -> DataFrame:
+def masks(width: int, radius: int) -> list[int]:
+    """All values of `width` bits with `radius` of them set."""
+    return [sum(1 << i for i in c) for c in itertools.combinations(range(width), radius)]
+
+
+def _spots(code: Column, segments: list[tuple[int, int]], prefix: int) -> list[Column]:
+    """For each segment the number of its cell: the segment, then the first `prefix` bits of its value."""
+    cut = lambda shift, w: F.shiftrightunsigned(code, shift + w - min(prefix, w)).bitwiseAND(F.lit((1 << min(prefix, w)) - 1))
+    return [cut(shift, w).bitwiseOR(F.lit(j << SPOT)) for j, (shift, w) in enumerate(segments)]
+
+
+def ring(codes: np.ndarray, queries: np.ndarray, apart: np.ndarray, shift: int, free: int, radius: int, bound: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(query, code, distance) of a cell's codes at segment radius `radius`; queries and codes as indexes.
+
+    `codes` are sorted by the `free` last bits of their segment; `apart` is how many bits of the
+    cell's prefix differ from each query's.  Distances over a query's bound are left out.
+    """
+    low = (codes >> np.uint64(shift)) & np.uint64((1 << free) - 1)
+    out = []
+    for rest in np.unique(radius - apart):
+        if rest > free:
+            continue
+        flips = np.array(masks(free, int(rest)), np.uint64)
+        all_here = np.flatnonzero(radius - apart == rest)
+        step = max(1, LOOKUPS // len(flips))
+        for begin in range(0, len(all_here), step):
+            here = all_here[begin : begin + step]
+            value = (((queries[here] >> np.uint64(shift)) & np.uint64((1 << free) - 1))[:, None] ^ flips[None, :]).ravel()
+            first = np.searchsorted(low, value, "left")
+            count = np.searchsorted(low, value, "right") - first
+            hit = np.flatnonzero(count)
+            count, first = count[hit], first[hit]
+            ends = np.cumsum(count)
+            at = np.arange(ends[-1] if len(ends) else 0) + np.repeat(first - (ends - count), count)
+            q = np.repeat(here[hit // len(flips)], count)
+            distance = np.bitwise_count(codes[at] ^ queries[q]).astype(np.int64)
+            near = distance <= bound[q]
+            out.append((q[near], at[near], distance[near]))
+    if not out:
+        return (np.zeros(0, np.int64),) * 3
+    q, at, distance = (np.concatenate(x) for x in zip(*out, strict=True))
+    return q, at, distance
+
+
+def best_of(q: np.ndarray, distance: np.ndarray, least: np.ndarray, k: int) -> np.ndarray:
+    """Places of the k entries of each query that are least by (distance, least id)."""
+    order = np.lexsort((least, distance, q))
+    opens = np.ones(len(q), bool)
+    opens[1:] = q[order][1:] != q[order][:-1]
+    rank = np.arange(len(q)) - np.maximum.accumulate(np.where(opens, np.arange(len(q)), 0))
+    return order[rank < k]
+
+
+def nearest_codes(rows: DataFrame, queries: DataFrame, k: int = 10, bits: int = 64, cell_codes: int = CELL_CODES, query_block: int = QUERY_BLOCK) -> DataFrame:
     """(query_id, rank, neighbor_id, distance): the k rows nearest to each query, ties by id.
 
     rows and queries have (id, code).  Rows with a null id or code are left out of both; repeated
     (id, code) rows count once; fewer than k rows give fewer ranks.  A query that is itself a row
-    finds itself.
+    finds itself.  Other columns are ignored.
     """
     rows = rows.select(F.col("id").cast("long").alias("id"), F.col("code").cast("long").alias("code")).dropna()
     asked = queries.select(F.col("id").cast("long").alias("query_id"), F.col("code").cast("long").alias("query")).dropna().distinct()
-    first = W.partitionBy("code").orderBy("id")
-    ids = rows.distinct().withColumn("at", F.row_number().over(first)).where(F.col("at") <= k)
-    codes = checkpointed(ids.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids")))
-    search = checkpointed(asked.select(F.col("query")).distinct())
-    code_blocks = max(1, math.ceil(codes.count() / code_block))
-    query_blocks = max(1, math.ceil(search.count() / query_block))
-    deal = lambda c, n: F.pmod(F.xxhash64(c), F.lit(n)).cast("int")
-    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    left = codes.select("code", F.get("ids", 0).alias("least"), F.size("ids").alias("copies"), deal("code", code_blocks).alias("cb"), every(query_blocks).alias("qb"))
-    right = search.select("query", every(code_blocks).alias("cb"), deal("query", query_blocks).alias("qb"))
-
-    def pair(held: pd.DataFrame, wanted: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        if len(held) and len(wanted):
-            index = MultiIndex(held["code"].to_numpy(), held["least"].to_numpy(), held["copies"].to_numpy(), bits)
-            for q in wanted["query"].tolist():
-                at, distance = index.nearest(np.int64(q).astype(np.uint64), k)
-                out += zip(itertools.repeat(q), held["code"].to_numpy()[at].tolist(), distance.tolist(), strict=False)
-        return pd.DataFrame(out, columns=["query", "code", "distance"]).astype({"query": "int64", "code": "int64", "distance": "int32"})
-
-    met = left.groupBy("cb", "qb").cogroup(right.groupBy("cb", "qb")).applyInPandas(pair, "query long, code long, distance int")
-    found = met.join(codes.select("code", "ids"), "code")
-    flat = found.select("query", "distance", F.explode("ids").alias("id"))
-    flat = flat.withColumn("rank", F.row_number().over(W.partitionBy("query").orderBy("distance", "id"))).where(F.col("rank") <= k)
-    lists = flat.groupBy("query").agg(F.sort_array(F.collect_list(F.struct("rank", F.col("id").alias("neighbor_id"), "distance"))).alias("found"))
+    codes = checkpointed(_folded(rows, k))
+    n = codes.count()
+    segments = layout(bits, n)
+    m, widest, prefix = len(segments), max(w for _, w in segments), max(0, math.ceil(math.log2(max(1, n / cell_codes))))
+    index = checkpointed(_index(codes, n, segments, prefix, cell_codes))
+    sizes = index.groupBy("spot").agg(F.count("*").cast("int").alias("slices"))
+    open_ = checkpointed(asked.select("query").distinct().select("query", F.lit(bits).alias("bound"), F.array().cast(BEST).alias("best")))
+    closed = open_.select("query", "best").limit(0)
+    for radius in range(widest + 1):
+        left = open_.count()
+        if not left:
+            break
+        met = _round(open_, left, index, sizes, segments, prefix, radius, k, query_block)
+        now = checkpointed(_merged(open_, met, k, bits, n, m * (radius + 1) - 1, radius == widest))
+        closed = closed.unionByName(now.where("done").select("query", "best"))
+        open_ = now.where("not done").select("query", "bound", "best")
+    flat = closed.select("query", F.explode("best").alias("b")).select("query", "b.distance", "b.code")
+    ids = flat.join(codes.select("code", "ids"), "code").select("query", "distance", F.explode("ids").alias("id"))
+    ranked = ids.withColumn("rank", F.row_number().over(W.partitionBy("query").orderBy("distance", "id"))).where(F.col("rank") <= k)
+    lists = ranked.groupBy("query").agg(F.sort_array(F.collect_list(F.struct("rank", F.col("id").alias("neighbor_id"), "distance"))).alias("found"))
     return asked.join(lists, "query").select("query_id", F.inline("found"))
+
+
+def _folded(rows: DataFrame, k: int) -> DataFrame:
+    """(code, ids): each distinct code with its k least ids; a code that many rows share is met in parts first."""
+    part = F.pmod(F.xxhash64("id"), F.lit(64)).cast("int")
+    first = lambda *by: F.row_number().over(W.partitionBy(*by).orderBy("id"))
+    some = rows.distinct().withColumn("part", part).withColumn("at", first("code", "part")).where(F.col("at") <= k)
+    least = some.withColumn("at", first("code")).where(F.col("at") <= k)
+    return least.groupBy("code").agg(F.sort_array(F.collect_list("id")).alias("ids"))
+
+
+def _field(structs: str, name: str) -> Column:
+    return F.transform(structs, lambda e: e[name]).alias(name)
+
+
+def _flipped(spot: Column, flips: Column, apart: int) -> Column:
+    return F.transform(flips, lambda x: F.struct(spot.bitwiseXOR(x).alias("spot"), F.lit(apart).alias("apart")))
+
+
+def _index(codes: DataFrame, n: int, segments: list[tuple[int, int]], prefix: int, cell_codes: int) -> DataFrame:
+    """(spot, slice, code, least, copies): arrays with the codes of each slice, their least ids and numbers of copies."""
+    entry = F.struct("code", F.get("ids", 0).alias("least"), F.size("ids").alias("copies"))
+    flat = codes.select(entry.alias("e"), F.explode(F.array(*_spots(F.col("code"), segments, prefix))).alias("spot"))
+    size = flat.groupBy("spot").agg(F.count("*").alias("codes"))
+    piece = F.pmod(F.xxhash64("e.code"), F.ceil(F.col("codes") / F.lit(2 * cell_codes))).cast("int")
+    placed = hub_join(flat, size, "spot", "codes", n * len(segments))
+    cells = placed.groupBy("spot", piece.alias("slice")).agg(F.collect_list("e").alias("e"))
+    return cells.select("spot", "slice", *[_field("e", c) for c in ("code", "least", "copies")])
+
+
+def _round(open_: DataFrame, left: int, index: DataFrame, sizes: DataFrame, segments: list[tuple[int, int]], prefix: int, radius: int, k: int, query_block: int) -> DataFrame:
+    """(query, distance, least, code, copies) at exactly this segment radius, up to k for each query and slice."""
+    flips, number = [], 0
+    for spot, (_, w) in zip(_spots(F.col("query"), segments, prefix), segments, strict=True):
+        p = min(prefix, w)
+        for apart in range(max(0, radius - (w - p)), min(radius, p) + 1):
+            values = masks(p, apart)
+            number += len(values)
+            literal = F.split(F.lit(",".join(map(str, values))), ",").cast("array<bigint>")  # folded to one literal
+            flips.append(_flipped(spot, literal, apart))
+    probes = open_.select("query", "bound", F.inline(F.flatten(F.array(*flips))))
+    load = probes.groupBy("spot").agg(F.count("*").alias("asked")).join(sizes, "spot")
+    probes = hub_join(probes, load, "spot", "asked", left * number)
+    block = F.pmod(F.xxhash64("query"), F.ceil(F.col("asked") / F.lit(query_block))).cast("int")
+    probes = probes.select("spot", "query", "bound", "apart", block.alias("block"), F.explode(F.sequence(F.lit(0), F.col("slices") - 1)).alias("slice"))
+    sent = probes.groupBy("spot", "slice", "block").agg(F.collect_list(F.struct("query", "bound", "apart")).alias("q"))
+    sent = sent.select("spot", "slice", *[_field("q", c) for c in ("query", "bound", "apart")])
+    both = sent.join(index, ["spot", "slice"])
+
+    def search(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for row in batch.itertuples(index=False):
+                shift, width = segments[row.spot >> SPOT]
+                free = width - min(prefix, width)
+                code = row.code.view(np.uint64)
+                order = np.argsort((code >> np.uint64(shift)) & np.uint64((1 << free) - 1), kind="stable")
+                code, least, copies = code[order], row.least[order], row.copies[order]
+                query = row.query.view(np.uint64)
+                q, at, distance = ring(code, query, row.apart.astype(np.int64), shift, free, radius, row.bound)
+                best = best_of(q, distance, least[at], k)
+                q, at, distance = q[best], at[best], distance[best]
+                yield pd.DataFrame({"query": query[q].view(np.int64), "distance": distance.astype("int32"), "least": least[at], "code": code[at].view(np.int64), "copies": copies[at].astype("int32")})
+
+    return both.select("spot", "code", "least", "copies", "query", "bound", "apart").mapInPandas(search, "query long, distance int, least long, code long, copies int")
+
+
+def _merged(open_: DataFrame, met: DataFrame, k: int, bits: int, codes: int, covered: int, last: bool) -> DataFrame:
+    """(query, best, bound, done): the k best codes so far; done where they hold k ids within the covered distance, or are all."""
+    # a code can be met in several segments of a round
+    few = met.distinct().withColumn("at", F.row_number().over(W.partitionBy("query").orderBy("distance", "least"))).where(F.col("at") <= k)
+    new = few.groupBy("query").agg(F.collect_list(F.struct("distance", "least", "code", "copies")).alias("new"))
+    all_ = F.array_distinct(F.concat("best", F.coalesce("new", F.array().cast(BEST))))
+    both = open_.join(new, "query", "left").select("query", F.slice(F.array_sort(all_), 1, k).alias("best"))
+    start = F.struct(F.lit(0).alias("n"), F.lit(None).cast("int").alias("at"))
+    step = lambda s, e: F.struct((s["n"] + e["copies"]).alias("n"), F.when(s["at"].isNull() & (s["n"] + e["copies"] >= k), e["distance"]).otherwise(s["at"]).alias("at"))
+    both = both.withColumn("kth", F.aggregate("best", start, step, lambda s: s["at"]))
+    done = F.lit(last) | (F.size("best") >= codes) | F.coalesce(F.col("kth") <= covered, F.lit(False))
+    return both.select("query", "best", F.coalesce("kth", F.lit(bits)).alias("bound"), done.alias("done"))

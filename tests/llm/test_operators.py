@@ -61,17 +61,26 @@ def test_hamming_matches_brute_force(spark):
     codes = [int(base[k % 12]) ^ sum(1 << int(b) for b in rng.integers(0, 62, rng.integers(0, 6))) for k in range(400)] + [int(base[0])] * 40
     rows = spark.createDataFrame([*enumerate(codes), (None, 1), (9999, None)], "id long, code long")
     got = {}
-    for r in hamming.nearest_codes(rows, rows.where("id % 20 = 0"), k=7, code_block=100, query_block=9).collect():
+    for r in hamming.nearest_codes(rows, rows.where("id % 20 = 0"), k=7, cell_codes=20, query_block=9).collect():
         got.setdefault(r.query_id, []).append((r["rank"], r.distance, r.neighbor_id))
     for q in range(0, len(codes), 20):
         want = sorted((bin((codes[q] ^ c) & (1 << 64) - 1).count("1"), i) for i, c in enumerate(codes))[:7]
         assert [(d, i) for _, d, i in sorted(got[q])] == want
     assert len(got) == len(range(0, len(codes), 20))
+    wide = rows.withColumns({"spot": F.lit(1), "query": F.lit("x"), "best": F.lit(2)})
+    assert sorted(map(tuple, hamming.nearest_codes(wide, wide.where("id = 40"), k=3).collect())) == [(40, d, n, s) for d, s, n in sorted(got[40])[:3]]
     few = rows.where("id < 3")
     assert hamming.nearest_codes(few, few, k=5).count() == 9
     assert hamming.nearest_codes(rows.limit(0), rows.limit(0)).count() == 0
 
 
+def test_sign_codes(spark):
+    d = spark.createDataFrame([(1, [1.0, -1.0, None, 2.0]), (2, None), (3, []), (4, [0.0] * 63 + [5.0])], "id long, v array<double>")
+    assert {r.id: r.c for r in d.select("id", hamming.sign_code(F.col("v")).alias("c")).collect()} == {1: 9, 2: None, 3: 0, 4: -(1 << 63)}
+    with pytest.raises(Exception, match="at most 64"):
+        spark.createDataFrame([(1, [1.0] * 65)], "id long, v array<double>").select(hamming.sign_code(F.col("v"))).collect()
+
+
 def test_best_two_fit_is_valid_and_tight():
     rng = np.random.default_rng(5)
     for sizes in (rng.integers(1, 2049, 3000), np.full(50, 2048), rng.choice([700, 1349, 683, 5], 2000), np.array([1]), np.zeros(0, int)):
