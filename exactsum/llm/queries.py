@@ -16,7 +16,7 @@ PSEUDONYM_KEY = "corpus release key"
 
 def op9_sentence_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     d = licenses.recognised(table(spark, sf_dir, "documents"))
-    line = F.concat(F.lit(","), F.array_join("sentence_ids", ","), F.lit(","))
+    line = F.array_join(F.transform("sentence_ids", lambda i: F.concat(F.lit("<"), i, F.lit(">"))), "")
     return d.select("doc_id", F.size("sentence_ids").alias("n_sentences"), line.alias("sentence_ids"), F.array_join("licenses", "|").alias("licenses"))
 
 

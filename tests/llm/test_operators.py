@@ -1,5 +1,6 @@
 import hashlib
 import random
+import textwrap
 
 import numpy as np
 import pytest
@@ -113,13 +114,55 @@ def test_preference_pairs(spark):
     assert preference.preference_pairs(d.limit(0)).count() == 0
 
 
+def said(*names):
+    """The first known sentence of each identifier."""
+    return [next(s for n, s in licenses.SENTENCES if n == name) for name in names]
+
+
+def wrapped(text, width=70, leader=""):
+    return "\n".join(leader + x for x in textwrap.wrap(text, width))
+
+
 def test_licenses(spark):
-    texts = ["Some words. Released under the MIT License. More.", "Licensed under CC BY-NC 4.0.\nAll rights reserved.", "a license plate", None, "", "x" * 100_000]
-    bsd = "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met:\n" + "\n".join(s for n, s in licenses.SENTENCES if n in ("bsd-source", "bsd-binary", "bsd-names"))
-    d = spark.createDataFrame(list(enumerate([*texts, bsd, "\n".join(bsd.split("\n")[::-1])])), "doc_id long, text string").withColumn("licenses", F.lit(1))
-    got = {r.doc_id: r.licenses for r in licenses.recognised(d).collect()}
-    assert got == {0: ["MIT"], 1: ["CC-BY-NC-4.0", "Proprietary"], 2: [], 3: [], 4: [], 5: [], 6: ["BSD-3-Clause"], 7: []}
+    bsd = said("bsd-grant", "bsd-source", "bsd-binary", "bsd-names")
+    gpl2 = "\n\n".join(wrapped(s, 60, " * ") for s in said("gpl2-free", "gpl-hope"))
+    cases = {
+        "Some words. Released under the MIT License. More.": ["MIT"],
+        "Licensed under CC BY-NC 4.0.\nAll rights reserved.": ["CC-BY-NC-4.0"],
+        "words\nAll rights reserved.\nwords": ["Proprietary"],
+        "a license plate": [],
+        "": [],
+        "x" * 100_000: [],
+        "\n".join(bsd): ["BSD-3-Clause"],
+        "\n".join(bsd[::-1]): [],
+        "Copyright (c) 2020 X\nAll rights reserved.\n\n" + "\n\n".join(wrapped(s, 72, "# ") for s in bsd[:3]): ["BSD-2-Clause"],
+        "\r\n".join(f"// {k + 1}. {s}" for k, s in enumerate(bsd)): ["BSD-3-Clause"],
+        gpl2: ["GPL-2.0-or-later"],
+        "# SPDX-License-Identifier: MPL-2.0\nimport os": ["MPL-2.0"],
+        "/* SPDX-License-Identifier: LGPL-2.1-or-later */": ["LGPL-2.1-or-later"],
+        " ".join(said("mpl2-notice", "mpl2-copy")): ["MPL-2.0"],
+        wrapped(" ".join(said("epl1-notice")), 50): ["EPL-1.0"],
+        wrapped(" ".join(said("mit-grant", "mit-keep", "as-is-software"))) + "\nSPDX-License-Identifier: MIT": ["MIT"],
+        "\n".join(said("apache2-notice", "gpl3-notice", "apache2-notice")): ["Apache-2.0", "GPL-3.0-only"],
+        "not released under the MIT License nor licensed": [],
+        "public domain words\n" * 3000: [],
+    }
+    texts = [*cases, None]
+    rows = [*enumerate(texts), (0, texts[0])]
+    d = spark.createDataFrame(rows, "doc_id long, text string").withColumn("known", F.lit(1))
+    got = licenses.recognised(d)
+    assert {r.doc_id: r.licenses for r in got.collect()} == {i: cases.get(t, []) for i, t in enumerate(texts)}
+    assert got.count() == len(rows) and got.columns[:3] == ["doc_id", "text", "known"]
     assert licenses.recognised(d.limit(0)).count() == 0
+    with pytest.raises(ValueError, match="prefix"):
+        licenses.recognised(d.withColumn("licenses", F.lit(1)))
+    assert "own_licenses" in licenses.recognised(d.withColumn("licenses", F.lit(1)), prefix="own_").columns
+
+
+def test_license_rules_take_what_they_match(spark):
+    lines = [("bsd-grant", "bsd-source", "bsd-binary", "bsd-names", "mit-notice", "bsd-grant", "bsd-source", "bsd-binary"), ("all-rights", "all-rights"), ("gpl-hope",), ("gpl3-free", "apache2-notice", "apache2-may")]
+    d = spark.createDataFrame([(list(x),) for x in lines], "ids array<string>")
+    assert [r.m for r in d.select(licenses.matched(F.col("ids")).alias("m")).collect()] == [["BSD-2-Clause", "BSD-3-Clause", "MIT"], ["Proprietary"], [], ["Apache-2.0", "GPL-3.0-or-later"]]
 
 
 def test_toxicity_learns_held_out_rows(spark):
