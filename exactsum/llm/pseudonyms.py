@@ -9,8 +9,12 @@ pseudonyms in every document, and the key's holder can undo it.  Each kind is it
          last is computed anew
   phone  +country and 7-14 more digits, as many as its country has where that is one number, and
          never the start of an address, card, date or other number after a space; or 3-3-4 digits in
-         the usual punctuation: the digits after the country code
-  ssn    3-2-4 digits with hyphens
+         the usual punctuation: the digits after the country code.  Ten digits of country 1 whose area
+         and exchange can be dialled (200-999 without those that end in 11) move among such numbers,
+         other ten digits among the others; a national number that starts with a digit above zero
+         keeps doing so, and a leading zero stays
+  ssn    3-2-4 digits with hyphens, with an area of 001-899 but 666, a group from 01 and a serial from
+         0001: among these, and anything else stays
   ip     four octets up to 255: the 32-bit address
   date   yyyy-mm-dd (also before T and a time), dd.mm.yyyy or dd/mm/yyyy that exists in the
          calendar, or else mm.dd.yyyy or mm/dd/yyyy: days of 1900-2099 among themselves, all other
@@ -201,15 +205,77 @@ def cards(text: Column, key: str, inverse: bool = False) -> Column:
     return _let(search(digits, windows(F.split(text, "[ -]"))), lambda s: F.when(F.size(s["cards"]) > 0, filled(text, changed(digits, s))).otherwise(text))
 
 
+#: Three-digit codes that can be dialled: 2-9, then two digits that aren't 11.  Fixed values of the numbering plan.
+CODES = 8 * 99
+
+
+def _dialled(code: Column) -> Column:
+    return code.rlike("^[2-9](?!11)[0-9]{2}$")
+
+
+def _code_rank(code: Column) -> Column:
+    low = code.cast("long") % 100
+    return (F.substring(code, 1, 1).cast("long") - 2) * 99 + low - (low > 11).cast("long")
+
+
+def _code(rank: Column) -> Column:
+    low = rank % 99
+    return F.concat((_div(rank, F.lit(99).cast("long")) + 2).cast("string"), F.lpad((low + (low >= 11).cast("long")).cast("string"), 2, "0"))
+
+
+def _ten_digits(digits: Column, key: str, inverse: bool) -> Column:
+    """Numbers that can be dialled among themselves, by rank; the others among themselves, by walking past the former."""
+    valid = lambda d: _dialled(F.substring(d, 1, 3)) & _dialled(F.substring(d, 4, 3))
+    tail = F.lit(10_000).cast("long")
+    rank = (_code_rank(F.substring(digits, 1, 3)) * CODES + _code_rank(F.substring(digits, 4, 3))) * tail + F.substring(digits, 7, 4).cast("long")
+
+    def number(x):
+        head = _div(x, tail)
+        codes = F.lit(CODES).cast("long")
+        return F.concat(_code(_div(head, codes)), _code(head % codes), F.lpad((x % tail).cast("string"), 4, "0"))
+
+    inside = _let(feistel(rank, F.lit(CODES * CODES).cast("long"), tail, key, "dialled", inverse), number)
+    moved = lambda d: permuted_digits(d, key, "phone", inverse)
+    # two of three numbers can be dialled; a hundred steps in a row are never
+    outside = F.aggregate(F.sequence(F.lit(1), F.lit(100)), moved(digits), lambda d, _: F.when(valid(d), moved(d)).otherwise(d))
+    return F.when(valid(digits), inside).otherwise(outside)
+
+
+def _national(digits: Column, key: str, inverse: bool) -> Column:
+    """7 to 15 digits; the first is zero before and after, or neither."""
+    n = F.length(digits)
+    half = (n / 2).cast("int")
+    least = F.rpad(F.lit("1"), n, "0").cast("long")
+    above = feistel(digits.cast("long") - least, 9 * _power(n - 1 - half), _power(half), key, "national", inverse) + least
+    zero = F.concat(F.lit("0"), permuted_digits(F.substr(digits, F.lit(2), n - 1), key, "national", inverse))
+    return F.when(digits.startswith("0"), zero).otherwise(above.cast("string"))
+
+
 def phone(text: Column, key: str, inverse: bool = False) -> Column:
-    code = F.regexp_extract(text, r"^\+\d{1,3}(?=[ .(-])", 0)
+    code = F.regexp_extract(text, r"^\+\d{1,3}(?=[ .(-])|^\+1(?=\d{10}$)", 0)
     rest = F.substr(text, F.length(code) + 1, F.length(text))
-    digits = only_digits(rest)
-    return F.when(F.length(digits).between(7, 15), F.concat(code, filled(rest, permuted_digits(digits, key, "phone", inverse)))).otherwise(text)
+
+    def changed(digits):
+        ten = code.isin("", "+1") & ~rest.startswith("+") & (F.length(digits) == 10)
+        return F.when(ten, _ten_digits(digits, key, inverse)).otherwise(_national(digits, key, inverse))
+
+    return _let(only_digits(rest), lambda d: F.when(F.length(d).between(7, 15), F.concat(code, filled(rest, changed(d)))).otherwise(text))
 
 
 def ssn(text: Column, key: str, inverse: bool = False) -> Column:
-    return filled(text, permuted_digits(only_digits(text), key, "ssn", inverse))
+    area, group, serial = (F.substring(text, at, n).cast("long") for at, n in ((1, 3), (5, 2), (8, 4)))
+    valid = area.between(1, 899) & (area != 666) & (group > 0) & (serial > 0)
+    serials, groups = F.lit(9999).cast("long"), F.lit(99).cast("long")
+    rank = ((area - 1 - (area > 666).cast("long")) * groups + group - 1) * serials + serial - 1
+
+    def written(x):
+        head = _div(x, serials)
+        place = _div(head, groups)
+        parts = (place + 1 + (place >= 665).cast("long"), 3), (head % groups + 1, 2), (x % serials + 1, 4)
+        return F.concat_ws("-", *[F.lpad(v.cast("string"), n, "0") for v, n in parts])
+
+    moved = _let(feistel(rank, F.lit(898 * 99).cast("long"), serials, key, "ssn", inverse), written)
+    return F.when(valid, moved).otherwise(text)
 
 
 def ip(text: Column, key: str, inverse: bool = False) -> Column:

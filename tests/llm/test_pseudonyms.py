@@ -125,3 +125,33 @@ def test_cards_in_runs_and_dates_in_timestamps(spark):
         assert not any(secret in t for t in got), secret
     assert luhn("".join(re.findall(r"\d", got[2][3:])))
     assert got[0][5:24] == got[1][:19] == got[2][3:] == got[3][:19] == got[4][:19]
+
+
+def test_national_numbers_stay_valid(spark):
+    bad = ["000-12-3456", "666-12-3456", "900-12-3456", "123-00-4567", "123-45-0000"]
+    assert hidden_parts(spark, bad, [re.escape(t) for t in bad]) == bad
+    good = [f"{a:03d}-{g:02d}-{s:04d}" for a in (1, 77, 665, 667, 899) for g in (1, 50, 99) for s in (1, 1234, 9999)]
+    got = hidden_parts(spark, good, [r"(?!000|666|9)\d{3}-(?!00)\d\d-(?!0000)\d{4}"] * len(good))
+    assert len(set(got)) == len(good) and not set(got) & set(good)
+    for text, moved in zip(good, got):
+        a, g, s = map(int, text.split("-"))
+        x = slow_feistel(((a - 1 - (a > 666)) * 99 + g - 1) * 9999 + s - 1, 898 * 99, 9999, "k", "ssn")
+        head, tail = divmod(x, 9999)
+        place = head // 99
+        assert moved == f"{place + 1 + (place >= 665):03d}-{head % 99 + 1:02d}-{tail + 1:04d}"
+
+
+def test_phones_stay_in_their_class(spark):
+    dialled = lambda t: re.fullmatch(r"([2-9](?!11)\d\d){2}\d{4}", re.sub(r"\D", "", t)[-10:]) is not None
+    texts = [f"({a:03d}) {e:03d}-{n:04d}" for a in (200, 212, 310, 910, 999, 911, 117, 23) for e in (555, 200, 411, 12) for n in (0, 4081)]
+    got = hidden_parts(spark, texts, [r"\(\d{3}\) \d{3}-\d{4}"] * len(texts))
+    assert all(dialled(a) == dialled(b) and a != b for a, b in zip(texts, got)) and len(set(got)) == len(texts)
+    same = hidden_parts(spark, ["+1 (826) 555-4081", "(826) 555-4081", "826-555-4081", "+18265554081"], [r".*"] * 4)
+    assert len({re.sub(r"\D", "", t)[-10:] for t in same}) == 1 and same[3].startswith("+1")
+    world = hidden_parts(spark, ["+44 20 7946 0958", "+39 06 1234 5678", "+49 30 901820"], [r"\+44 [1-9]\d \d{4} \d{4}", r"\+39 0\d \d{4} \d{4}", r"\+49 [1-9]\d \d{6}"])
+    assert "7946" not in world[0] and "1234" not in world[1]
+
+
+def test_repeated_rows_and_ties_stay_linked(spark):
+    docs = spark.createDataFrame([(1, "ssn 123-45-6789"), (1, "ssn 123-45-6789"), (None, "ssn 123-45-6789")], "doc_id long, text string")
+    assert P.pseudonymised(docs, "k").select("text").distinct().count() == 1
