@@ -1,11 +1,12 @@
 """Quality rules with cross-document line frequency, in DataFrame functions only.
 
 Base rules look at one document: its length and the share of words in repeated 8-word windows.
-The corpus rule hashes normalised lines, counts for each host in how many distinct texts a line
+The corpus rule hashes normalised lines, counts for each host in how many distinct documents a line
 stands, removes lines above the host's limit, and rejects a document when too little is left.
 
-Exact copies of a text in one host count once, so being copied doesn't make a document
-boilerplate; that also folds hot groups of copies before lines are exploded.
+A document is a doc_id with a text: repeated rows count once, copies under other ids count each.
+Copies are folded to one row with their number before lines are exploded, so a large group of
+copies costs no more than one text.
 """
 
 from __future__ import annotations
@@ -15,7 +16,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD, words
+from .common import WORD, checkpointed, words
 
 SYMBOLS = "#*$%&|<>"
 WINDOW = 8
@@ -74,20 +75,20 @@ def line_hash(line: Column) -> Column:
 
 
 def line_frequency(docs: DataFrame, share: float, least: int) -> tuple[DataFrame, DataFrame]:
-    """From (host, text) rows: (host, text_id, removed words, total words) and (host, line, texts) above the limits.
+    """From (doc_id, host, text_id, text) rows: (host, text_id, removed words, removed lines) and (host, line, documents) above the limits.
 
-    A line's limit in a host is `share` of its distinct texts, but at least `least`.
+    A line's limit in a host is `share` of its distinct documents, but at least `least`.
     """
-    text_id = F.unhex(F.md5("text"))
     line = F.transform(F.filter(F.split("text", "\n"), lambda x: x.rlike(WORD)), lambda x: F.struct(line_hash(x).alias("line"), F.regexp_count(x, F.lit(WORD)).alias("n")))
-    texts = docs.where("text is not null").select("host", text_id.alias("text_id"), line.alias("lines"))
-    texts = texts.groupBy("host", "text_id").agg(F.first("lines").alias("lines"))
-    hosts = texts.groupBy("host").agg(F.count("*").alias("texts"))
-    limit = F.greatest(F.lit(least).cast("double"), F.col("texts") * F.lit(share))
+    own = docs.where("text is not null").select("host", "text_id", "doc_id", line.alias("lines"))
+    own = own.groupBy("host", "text_id", "doc_id").agg(F.first("lines").alias("lines"))
+    texts = checkpointed(own.groupBy("host", "text_id").agg(F.first("lines").alias("lines"), F.count("*").alias("docs")))
+    hosts = texts.groupBy("host").agg(F.sum("docs").alias("docs"))
+    limit = F.greatest(F.lit(least).cast("double"), F.col("docs") * F.lit(share))
     hosts = hosts.select(F.col("host").alias("host_"), limit.alias("limit"))
-    distinct = texts.select("host", F.explode(F.array_distinct(F.transform("lines", lambda x: x["line"]))).alias("line"))
-    counts = distinct.groupBy("host", "line").agg(F.count("*").alias("texts")).where(F.col("texts") > least)
-    often = counts.join(hosts, F.col("host").eqNullSafe(F.col("host_"))).where("texts > limit").select("host", "line", "texts")
+    distinct = texts.select("host", "docs", F.explode(F.array_distinct(F.transform("lines", lambda x: x["line"]))).alias("line"))
+    counts = distinct.groupBy("host", "line").agg(F.sum("docs").alias("docs")).where(F.col("docs") > least)
+    often = counts.join(hosts, F.col("host").eqNullSafe(F.col("host_"))).where("docs > limit").select("host", "line", "docs")
     every = texts.select("host", "text_id", F.inline("lines"))
     o = often.select(F.col("host").alias("host_"), F.col("line").alias("line_"))
     removed = every.join(o, F.col("host").eqNullSafe(F.col("host_")) & (F.col("line") == F.col("line_")))
@@ -95,19 +96,21 @@ def line_frequency(docs: DataFrame, share: float, least: int) -> tuple[DataFrame
     return removed, often
 
 
-def judged(docs: DataFrame, host: str = "source", share: float = 0.02, least: int = 20, left: float = 0.3, min_words: int = 20, repeat_percent: int = 30) -> DataFrame:
-    """(doc_id, text, host, base measures, base_failed, n_removed, removed_lines, kept) for each row.
+def judged(docs: DataFrame, host: str = "source", share: float = 0.02, least: int = 3, left: float = 0.3, min_words: int = 20, repeat_percent: int = 30) -> DataFrame:
+    """(doc_id, host, text_id, base measures, base_failed, n_removed, removed_lines, kept) for each row.
 
-    base_failed: fewer than min_words words, or over repeat_percent % of them in windows found
-    twice.  kept: not base_failed, and more than `left` of the words outside lines removed as too
-    frequent.  A null text has no words and fails.  A null host is a host of its own.  Repeated
-    rows and ids are judged row by row.
+    text_id is the text's md5.  base_failed: fewer than min_words words, or over repeat_percent % of
+    them in windows found twice.  A line goes where more than `share` of its host's documents, and
+    more than `least` of them, have it.  kept: not base_failed, and more than `left` of the words
+    outside lines that go.  A null text has no words and fails.  A null host is a host of its own.
+    Repeated rows and ids are judged row by row; other columns are ignored.
     """
     rows = docs.select(F.col("doc_id"), F.col("text").cast("string").alias("text"), F.col(host).cast("string").alias("host"))
-    removed, _ = line_frequency(rows.select("host", "text"), share, least)
+    rows = rows.withColumn("text_id", F.unhex(F.md5("text")))
+    removed, _ = line_frequency(rows, share, least)
     r = removed.withColumnsRenamed({"host": "host_", "text_id": "text_id_"})
-    measured = base_measures(rows).withColumn("text_id", F.unhex(F.md5("text")))
-    d = measured.join(r, F.col("host").eqNullSafe(F.col("host_")) & (F.col("text_id") == F.col("text_id_")), "left").drop("host_", "text_id_", "text_id")
+    d = base_measures(rows).drop("text")
+    d = d.join(r, F.col("host").eqNullSafe(F.col("host_")) & (F.col("text_id") == F.col("text_id_")), "left").drop("host_", "text_id_")
     gone = F.coalesce("n_removed", F.lit(0).cast("long"))
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > repeat_percent * F.col("n_words"))
     return d.withColumns({"n_removed": gone, "base_failed": failed}).withColumn("kept", ~F.col("base_failed") & (F.col("n_words") - F.col("n_removed") > F.col("n_words") * F.lit(left)))
@@ -122,7 +125,7 @@ def without_lines(text: Column, removed: Column) -> Column:
 def cleaned(docs: DataFrame, **rules) -> DataFrame:
     """The rows of docs that are kept, without their too frequent lines; n_chars follows the text."""
     key = F.struct(F.col("doc_id"), F.col("source").cast("string"), F.unhex(F.md5(F.col("text").cast("string"))))
-    verdict = judged(docs, **rules).where("kept").select(F.struct("doc_id", F.col("host"), F.unhex(F.md5("text"))).alias("key__"), "removed_lines").dropDuplicates(["key__"])
+    verdict = judged(docs, **rules).where("kept").select(F.struct("doc_id", "host", "text_id").alias("key__"), "removed_lines").dropDuplicates(["key__"])
     d = docs.withColumn("own_key__", key).join(verdict, F.col("own_key__").eqNullSafe(F.col("key__")))
     text = without_lines(F.col("text"), F.col("removed_lines"))
     out = {"text": text} | ({"n_chars": F.length(text).cast(docs.schema["n_chars"].dataType)} if "n_chars" in docs.columns else {})

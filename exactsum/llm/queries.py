@@ -69,11 +69,11 @@ WITH d AS (
          len(regexp_extract_all(l, '[^\x20\x09-\x0D]+')) AS n
   FROM lines WHERE regexp_matches(l, '[^\x20\x09-\x0D]')
 ), dup AS (SELECT doc_id, count(*) - count(DISTINCT l) AS n FROM line GROUP BY doc_id
-), hosts AS (SELECT host, count(DISTINCT text) AS texts FROM d WHERE text IS NOT NULL GROUP BY host
+), hosts AS (SELECT host, count(DISTINCT doc_id) AS docs FROM d WHERE text IS NOT NULL GROUP BY host
 ), often AS (
-  SELECT host, norm FROM (SELECT host, norm, count(DISTINCT text) AS c FROM line GROUP BY host, norm)
-  JOIN (SELECT host AS host_, texts FROM hosts) ON host IS NOT DISTINCT FROM host_
-  WHERE c > greatest(20::DOUBLE, texts * 0.02::DOUBLE)
+  SELECT host, norm FROM (SELECT host, norm, count(DISTINCT doc_id) AS c FROM line GROUP BY host, norm)
+  JOIN (SELECT host AS host_, docs FROM hosts) ON host IS NOT DISTINCT FROM host_
+  WHERE c > greatest(3::DOUBLE, docs * 0.02::DOUBLE)
 ), gone AS (
   SELECT doc_id, sum(n) AS n FROM line JOIN (SELECT host AS host_, norm AS norm_ FROM often)
   ON host IS NOT DISTINCT FROM host_ AND norm = norm_ GROUP BY doc_id

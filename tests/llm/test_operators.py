@@ -200,3 +200,25 @@ def test_base_measures(spark):
     d = spark.createDataFrame(rows, "doc_id long, text string")
     got = {r.doc_id: (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) for r in line_quality.base_measures(d).collect()}
     assert got == {1: (8, 8, 0, 1, 0), 2: (30, 30, 0, 0, 30), 3: (0, 0, 0, 0, 0), 4: (2, 8, 6, 0, 0), 5: (16, 16, 0, 0, 16)}
+
+
+def test_line_frequency_edges(spark):
+    body = lambda i: " ".join(f"a{i}b{k}" for k in range(25))
+    notice, tie = "Share this page with friends", "exactly three documents"
+    rows = [(i, f"{body(i)}\n  SHARE this  page with friends\t\n" + (tie if i < 3 else ""), "h", "x") for i in range(6)]
+    rows += [(i, f"{body(i)}\n{notice}", None, "x") for i in range(10, 15)]  # a null host is a host
+    rows += [(20, None, "h", "x"), (21, "", "h", "x"), (22, "\n \n", None, "x"), (23, body(23) + " " + "z" * 50_000, "h", "x")]
+    rows += [(30 + i, f"{notice}\n" * 8 + f"left{i} " * 3, "g", "x") for i in range(5)]  # depleted
+    d = spark.createDataFrame(rows, "doc_id long, text string, source string, n_removed string")
+    got = {r.doc_id: r for r in line_quality.judged(d).collect()}
+    assert all(got[i].n_removed == 5 and got[i].kept for i in range(6)) and all(got[i].n_removed == 5 for i in range(10, 15))
+    assert all(got[i].base_failed and not got[i].kept for i in (20, 21, 22)) and got[23].kept
+    assert all(got[i].n_removed == 40 and not got[i].kept for i in range(30, 35))
+    # copies under other ids count each; repeated rows and ids with other texts once for each text
+    copies = spark.createDataFrame([(i, f"{body(1)}\n{notice}", "h") for i in range(4)] + [(9, body(2), "h")], "doc_id long, text string, source string")
+    assert {r.n_removed for r in line_quality.judged(copies).where("doc_id < 9").collect()} == {30}
+    again = spark.createDataFrame([(1, f"{body(1)}\n{notice}", "h")] * 6 + [(1, body(3), "h")], "doc_id long, text string, source string")
+    assert [r.n_removed for r in line_quality.judged(again).collect()] == [0] * 7
+    assert line_quality.judged(d.limit(0)).count() == 0
+    clean = line_quality.cleaned(d.where("doc_id < 3")).collect()
+    assert len(clean) == 3 and line_quality.cleaned(d.where("doc_id < 6")).where("text like '%friends%'").count() == 0

@@ -38,15 +38,15 @@ def documents():
     return [(i, t, lang, s, None if t is None else len(t)) for i, t, lang, s in rows]
 
 
-def slow_quality(rows, share=0.02, least=20, left=0.3):
+def slow_quality(rows, share=0.02, least=3, left=0.3):
     norm = lambda line: " ".join(line.split()).lower()
     texts = defaultdict(set)
-    for _, t, _, s, _ in rows:
+    for i, t, _, s, _ in rows:
         if t is not None:
-            texts[s].add(t)
+            texts[s].add((i, t))
     often = {}
     for s, ts in texts.items():
-        c = Counter(x for t in ts for x in {norm(line) for line in t.split("\n") if line.split()})
+        c = Counter(x for _, t in ts for x in {norm(line) for line in t.split("\n") if line.split()})
         often[s] = {x for x, n in c.items() if n > max(least, share * len(ts))}
     out = []
     for i, t, lang, s, _ in rows:
@@ -166,7 +166,7 @@ def test_empty_and_odd_tables(spark, docs):
     assert P.packing(spark, docs.limit(0), "").count() == 0
     nulls = spark.createDataFrame([(None, None, None, None, None), (1, "a b", None, None, 3), (1, "a b", None, None, 3)], SCHEMA)
     assert P.quality(spark, nulls, "").count() == 0
-    assert P.near_duplicates(spark, nulls, "").count() == 3
+    assert P.near_duplicates(spark, nulls, "").count() == 2  # of repeated rows one stays
     assert P.personal_data(spark, nulls, "").count() == 3
     assert P.mixture(spark, nulls, "").count() >= 2
     assert sorted(p.length for p in P.packing(spark, nulls, "").collect()) == [1, 3, 3]
@@ -174,7 +174,7 @@ def test_empty_and_odd_tables(spark, docs):
 
 def test_identical_rows_and_pseudonym_key(spark, docs):
     twice = docs.unionByName(docs)
-    assert line_quality.cleaned(twice).count() == 2 * line_quality.cleaned(docs).count()
+    assert read(line_quality.cleaned(twice)) == sorted(2 * read(line_quality.cleaned(docs)), key=repr)
     plan = curriculum.plan(twice)
     assert plan.agg(F.max("rows")).first()[0] == 2 and plan.count() == docs.count()
     assert read(pseudonyms.pseudonymised(docs, PSEUDONYM_KEY)) == read(pseudonyms.pseudonymised(docs.repartition(7), PSEUDONYM_KEY))
