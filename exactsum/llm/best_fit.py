@@ -2,7 +2,7 @@
 
 Documents are tokenised, closed with a separator id and, only when longer than a sequence, cut
 into full-length pieces plus one remainder.  Pieces are then packed in independent groups of
-tens of thousands: a group loses at most its last, partly filled sequence, so grouping costs
+thousands: a group loses at most its last, partly filled sequence, so grouping costs
 well under one sequence in a thousand and needs no global state.  Within a group only the
 histogram of lengths matters (at most `capacity` distinct values), so the packer works on counts
 and its memory does not depend on how often a length occurs.
@@ -18,15 +18,16 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Pieces that are packed together.
-GROUP_PIECES = 65_536
+#: Pieces that are packed together, without and with their ids (up to 64 MB of them).
+GROUP_PIECES, GROUP_PIECES_WITH_IDS = 65_536, 8192
 #: Distinct words whose ids a worker remembers; beyond it those of one batch only are forgotten.
 MEMO_WORDS = 500_000
 
-PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
+PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, salt__ long"
 
 
 class WordMemo:
@@ -128,11 +129,12 @@ def tokenised(docs: DataFrame, path: str, capacity: int = 2048, separator: int =
     """One row for each piece of each document; `with_ids` adds the piece's ids.
 
     A null or empty text yields the separator alone, repeated rows are kept as they are, and extra
-    columns are ignored.
+    columns are ignored.  salt__ numbers the rows of a task, so that rows of one id can be dealt apart.
     """
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         memo = memo_of(path, memo_words)
+        task, met = TaskContext.get().partitionId(), 0
         for batch in batches:
             for low in range(0, len(batch), 256):
                 part, rows = batch.iloc[low : low + 256], []
@@ -140,15 +142,16 @@ def tokenised(docs: DataFrame, path: str, capacity: int = 2048, separator: int =
                     ids = np.append(ids, np.uint32(separator)).astype("<u4")
                     for piece, start in enumerate(range(0, len(ids), capacity)):
                         cut = ids[start : start + capacity]
-                        row = (doc_id, piece, start, len(cut), zlib.crc32(cut.tobytes()))
-                        rows.append((*row, cut.astype(np.int64)) if with_ids else row)
-                names = ["doc_id", "piece", "start", "length", "ids_crc32"] + ["ids"] * with_ids
+                        row = (doc_id, piece, start, len(cut), zlib.crc32(cut.tobytes()), (task << 40) + met)
+                        met += 1
+                        rows.append((*row, cut.astype(np.int32)) if with_ids else row)
+                names = ["doc_id", "piece", "start", "length", "ids_crc32", "salt__"] + ["ids"] * with_ids
                 out = pd.DataFrame(rows, columns=names)
                 out["doc_id"] = out["doc_id"].astype("Int64")
                 yield out
 
     narrow = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return narrow.mapInPandas(run, PIECES + (", ids array<long>" if with_ids else ""))
+    return narrow.mapInPandas(run, PIECES + (", ids array<int>" if with_ids else ""))
 
 
 def best_two_fit(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.ndarray]:
@@ -221,28 +224,32 @@ def best_two_fit(lengths: np.ndarray, capacity: int) -> tuple[np.ndarray, np.nda
 
 
 def packed(pieces: DataFrame, capacity: int = 2048, groups: int = 1) -> DataFrame:
-    """Adds sequence_id and offset to piece rows.
+    """Adds sequence_id and offset to piece rows (doc_id, piece, length, salt__ and any others but these).
 
-    Pieces are dealt to `groups` by a hash of (doc_id, piece); ties and repeated rows are packed
-    like any other.  A sequence's number is its group's number times 2^32 plus its rank there.
+    Pieces are dealt to `groups` by a hash of (doc_id, piece, salt__), so neither a repeated nor a null id
+    makes a group larger than others; ties and repeated rows are packed like any other.  A sequence's
+    number is its group's number times 2^32 plus its rank there.
     """
-    deal = F.pmod(F.xxhash64(F.lit("pack"), "doc_id", "piece"), F.lit(groups)).cast("int")
+    deal = F.pmod(F.xxhash64(F.lit("pack"), "doc_id", "piece", "salt__"), F.lit(groups)).cast("int")
 
     def run(group: pd.DataFrame) -> pd.DataFrame:
-        group = group.sort_values(["doc_id", "piece"], kind="stable")
+        group = group.sort_values(["doc_id", "piece", "salt__"], kind="stable")
         bins, offsets = best_two_fit(group["length"].to_numpy(), capacity)
         group["sequence_id"] = group["pack_group__"].astype("int64") * (1 << 32) + bins
         group["offset"] = offsets
-        return group.drop(columns="pack_group__")
+        return group.drop(columns=["pack_group__", "salt__"])
 
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pieces.schema.fields)
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in pieces.schema.fields if f.name != "salt__")
     return pieces.withColumn("pack_group__", deal).groupBy("pack_group__").applyInPandas(run, schema + ", sequence_id long, offset long")
 
 
 def pack(docs: DataFrame, path: str, capacity: int = 2048, separator: int = 0, with_ids: bool = False, memo_words: int = MEMO_WORDS) -> DataFrame:
-    """Tokenise and pack; the number of groups follows the number of documents.
+    """Tokenise and pack; `with_ids` keeps each piece's ids, so that sequences can be put together.
 
-    `memo_words` trades memory of the Python workers for time; results don't depend on it.
+    The number of groups follows the largest possible number of pieces: a document has one, and one
+    more for each `capacity` ids, of which it has no more than bytes.  `memo_words` trades memory of
+    the Python workers for time; results don't depend on it.
     """
-    groups = max(1, math.ceil(docs.count() / GROUP_PIECES))
+    rows, size = docs.agg(F.count("*"), F.coalesce(F.sum(F.octet_length(F.col("text").cast("string"))), F.lit(0))).first()
+    groups = max(1, math.ceil((rows + size / capacity) / (GROUP_PIECES_WITH_IDS if with_ids else GROUP_PIECES)))
     return packed(tokenised(docs, path, capacity, separator, with_ids, memo_words), capacity, groups)

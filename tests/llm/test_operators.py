@@ -1,12 +1,17 @@
 import hashlib
+import json
 import random
 import textwrap
+import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
 from exactsum.llm import best_fit, curriculum, hamming, licenses, line_quality, preference, pu_toxicity, superkmer
+from exactsum.llm.queries import tokenizer_path
 
 
 def brute_removed(rows, width):
@@ -96,6 +101,33 @@ def test_best_two_fit_is_valid_and_tight():
             assert len(fill) <= -(-sizes.sum() // 2048) * 1.02 + 1
 
 
+def test_packing_against_the_tokenizer(spark):
+    path = tokenizer_path()
+    tokenizer = Tokenizer.from_file(path)
+    texts = ["plain words here", "", None, " \t\n", "x" * 30_000, "a ~ b~c ~", "<|endoftext|> and <s>[CLS] <pad>", "Ünï\u200bcode 漢字 🙂 e\u0301", "tab\tnew\x0bline\x0c", "many words " * 3000]
+    texts += [t["content"] + " in" + t["content"] for t in json.loads(tokenizer.to_str()).get("added_tokens", [])[:8]]
+    rows = [*enumerate(texts), (None, "null id"), (None, "other null id"), (3, "same id"), (0, texts[0])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumns({"piece": F.lit("x"), "offset": F.lit(1)})
+    want = Counter()
+    for i, t in rows:
+        ids = np.array([*tokenizer.encode(t or "", add_special_tokens=False).ids, 0], "<u4")
+        for k, at in enumerate(range(0, len(ids), 2048)):
+            want[i, k, at, tuple(ids[at : at + 2048].tolist()), zlib.crc32(ids[at : at + 2048].tobytes())] += 1
+    got = best_fit.pack(docs, path, with_ids=True).collect()
+    assert Counter((r.doc_id, r.piece, r.start, tuple(r.ids), r.ids_crc32) for r in got) == want
+    short = best_fit.pack(docs, path)
+    assert short.columns == ["doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"] and short.count() == len(got)
+    many = best_fit.packed(best_fit.tokenised(docs.unionByName(docs), path), groups=4).collect()
+    assert len(many) == 2 * len(got)
+    for rows_ in (got, many):
+        at = {}
+        for r in sorted(rows_, key=lambda r: (r.sequence_id, r.offset)):
+            assert r.offset == at.get(r.sequence_id, 0)
+            at[r.sequence_id] = r.offset + r.length
+        assert max(at.values()) <= 2048
+    assert best_fit.pack(docs.limit(0), path).count() == 0
+
+
 def test_preference_pairs(spark):
     rows = [
         (1, True, 0, "user", "hi"), (1, True, 1, "assistant", "good"), (1, False, 0, "user", "hi"), (1, False, 1, "assistant", "bad"),
