@@ -11,6 +11,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from exactsum.llm import best_fit, curriculum, jaccard_join, line_quality, pseudonyms
+from exactsum.llm.common import shared_folder
 from exactsum.llm.queries import PSEUDONYM_KEY, tokenizer_path
 
 
@@ -34,7 +35,8 @@ def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return best_fit.pack(docs, tokenizer_path(), capacity=2048, separator=0)
+    """Pieces with their ids, sequence and place: sequences are the ids of their pieces in the order of offset."""
+    return best_fit.pack(docs, tokenizer_path(), capacity=2048, separator=0, with_ids=True)
 
 
 STAGES = [
@@ -49,14 +51,24 @@ STAGES = [
 ORACLE_SQL = None
 
 
+def removed(spark: SparkSession, folder: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; what lies between them is written below the shared checkpoint folder."""
-    shared = spark.conf.get("spark.checkpoint.dir", None) or "/tmp/checkpoints"
-    folder = f"{shared.rstrip('/')}/corpus-{uuid.uuid4().hex}"
+    """All stages over documents; what lies between them is written below the shared checkpoint folder.
+
+    A stage's output is removed once the next one's is complete.  That of the last but one stays, as
+    the result is read from it.
+    """
+    folder = f"{shared_folder(spark)}/corpus-{uuid.uuid4().hex}"
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
             docs.write.parquet(f"{folder}/{k}")
             docs = spark.read.parquet(f"{folder}/{k}")
+            if k:
+                removed(spark, f"{folder}/{k - 1}")
     return docs
