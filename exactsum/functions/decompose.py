@@ -53,8 +53,17 @@ def limbs(x: Column) -> Column:
 
 
 def to_fixed(x: Column, lowbit: int) -> Column:
-    """x / 2^lowbit as DECIMAL(38,0), for values that are whole multiples below 2^63."""
-    return scalb(x, F.lit(-lowbit)).cast("bigint").cast("decimal(38,0)")
+    """x / 2^lowbit as DECIMAL(38,0), for whole multiples of up to 2^126; an error for anything else."""
+    p = float_parts(x)
+    shift = p["exp"] - lowbit
+    # 2^shift as a product of two whole numbers below 2^63
+    up = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.least(F.greatest(shift, F.lit(0)), F.lit(62))).cast("decimal(19,0)")
+    more = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.greatest(shift - 62, F.lit(0))).cast("decimal(19,0)")
+    down = F.call_function("shiftright", p["mant"], F.least(F.greatest(-shift, F.lit(0)), F.lit(62)))
+    back = F.call_function("shiftleft", down, F.least(F.greatest(-shift, F.lit(0)), F.lit(62)))
+    size = F.when(shift >= 0, (p["mant"].cast("decimal(16,0)") * up * more).cast("decimal(38,0)")).when((back == p["mant"]) | (p["mant"] == 0), down.cast("decimal(38,0)"))
+    whole = F.coalesce(size, F.raise_error(F.lit(f"not a multiple of 2^{lowbit} in range")).cast("decimal(38,0)"))
+    return F.when(x.isNotNull(), F.when(p["neg"], -whole).otherwise(whole))
 
 
 def two_sum(a: Column, b: Column) -> Column:
@@ -84,6 +93,23 @@ def two_prod(a: Column, b: Column) -> Column:
     return F.struct(p.alias("p"), (((ah * bh - p) + ah * bl + al * bh) + al * bl).alias("e"))
 
 
+def unit_parts(x: Column) -> Column:
+    """struct(m, e) with x = m * 2^e and 1 <= |m| < 2; null for zero and special values."""
+    e = exponent(x)
+    return F.when(e.isNotNull(), F.struct(scalb(x, -e).alias("m"), e.alias("e")))
+
+
+def scaled_limbs(x: Column, k: Column) -> Column:
+    """limbs(x * 2^k) for 2^-120 <= |x| < 2^2, without ever forming the product; null for zero."""
+    e = exponent(x) + k
+    top = F.floor((e + 1) / W).cast("int")
+    m = x * F.pow(F.lit(2.0), (k - W * top).cast("double"))
+    d0 = m.cast("bigint")
+    r = (m - d0) * float(R)
+    d1 = r.cast("bigint")
+    return F.when(x != 0, F.struct(top.alias("top"), d0.alias("d0"), d1.alias("d1"), ((r - d1) * float(R)).cast("bigint").alias("d2")))
+
+
 def ulp(x: Column) -> Column:
     """Distance of the doubles at x's exponent."""
     e = F.greatest(F.coalesce(exponent(x), F.lit(-1022)), F.lit(-1022)) - 52
@@ -110,3 +136,16 @@ def hexfloat(x: Column) -> Column:
 
 def parse_hexfloat(text: Column) -> Column:
     return text.cast("double")
+
+
+def is_finite(x: Column) -> Column:
+    return ~is_special(x)
+
+
+def magnitude_at_least(x: Column, k: int) -> Column:
+    """|x| >= 2^k, as two comparisons that a Parquet scan can use."""
+    return (x >= 2.0**k) | (x <= -(2.0**k))
+
+
+def same_sign(x: Column, negative: bool = False) -> Column:
+    return x < 0 if negative else x > 0

@@ -54,16 +54,21 @@ def with_limbs(d: DataFrame) -> DataFrame:
     return d.withColumn("d2", ((F.col("r__") - F.col("d1")) * float(R)).cast("bigint"))
 
 
-def flag_sums() -> list[Column]:
+def flag_values() -> dict[str, Column]:
+    """What each value of column x adds to the counts that decide special results."""
     x = F.col("x")
-    one = lambda c: F.sum(F.when(c, 1).otherwise(0))
-    return [
-        F.count("x").alias("n"),
-        one(F.isnan(x)).alias("n_nan"),
-        one(x == float("inf")).alias("n_pinf"),
-        one(x == float("-inf")).alias("n_ninf"),
-        one(x.isNotNull() & ~is_negative_zero(x)).alias("n_nonnegzero"),
-    ]
+    one = lambda c: F.when(c, 1).otherwise(0)
+    return {
+        "n": one(x.isNotNull()),
+        "n_nan": one(F.isnan(x)),
+        "n_pinf": one(x == float("inf")),
+        "n_ninf": one(x == float("-inf")),
+        "n_nonnegzero": one(x.isNotNull() & ~is_negative_zero(x)),
+    }
+
+
+def flag_sums() -> list[Column]:
+    return [F.sum(c).alias(f) for f, c in flag_values().items()]
 
 
 def limb_sums(rows: DataFrame, keys: Sequence[str], wide: bool = False) -> DataFrame:
@@ -258,9 +263,82 @@ def _acc_of(x: Column) -> Column:
 
 
 def acc_truncate(a: Column, gamma: int) -> Column:
-    """The gamma most significant limbs; limbs that are zero keep their place."""
-    drop = F.greatest(F.size(a["digits"]) - gamma, F.lit(0))
-    return F.struct(a["neg"].alias("neg"), (a["low"] + drop).cast("int").alias("low"), F.slice(a["digits"], drop + 1, F.size(a["digits"])).alias("digits"))
+    """The gamma most significant active limbs: those that aren't zero, wherever they stand."""
+
+    def cut(x):
+        places = F.reverse(F.filter(F.transform(x["digits"], lambda d, i: F.when(d != 0, i)), lambda i: i.isNotNull()))
+        drop = F.coalesce(F.get(places, F.lit(gamma - 1)), F.lit(0))
+        return F.struct(x["neg"].alias("neg"), (x["low"] + drop).cast("int").alias("low"), F.slice(x["digits"], drop + 1, F.size(x["digits"])).alias("digits"))
+
+    return let(a, cut)
+
+
+def acc_balanced(a: Column) -> Column:
+    """The other unique form: struct(low, digits) of signed digits in [-R/2, R/2), trimmed at both ends.
+
+    One pass from the low end; a digit of R/2 or more becomes negative and carries one.
+    """
+
+    def signed(x):
+        value = F.transform(x["digits"], lambda d: F.when(x["neg"], -d).otherwise(d))
+        start = F.struct(F.lit(0).cast("bigint").alias("c"), F.array().cast("array<bigint>").alias("out"))
+
+        def step(s, d):
+            v = d + s["c"]
+            c = F.shiftright(v + (R >> 1), W)
+            return F.struct(c.alias("c"), F.concat(s["out"], F.array(v - c * R)).alias("out"))
+
+        out = F.aggregate(value, start, step, lambda s: F.when(s["c"] != 0, F.concat(s["out"], F.array(s["c"]))).otherwise(s["out"]))
+        return let(out, lambda o: trimmed(x["low"], o))
+
+    def trimmed(low, out):
+        used = F.filter(F.transform(out, lambda d, i: F.when(d != 0, i)), lambda i: i.isNotNull())
+        first, last = F.array_min(used), F.array_max(used)
+        some = F.struct((low + first).cast("int").alias("low"), F.slice(out, first + 1, last - first + 1).alias("digits"))
+        return F.when(F.size(used) > 0, some).otherwise(F.struct(F.lit(0).alias("low"), F.array().cast("array<bigint>").alias("digits")))
+
+    return let(a, signed)
+
+
+def acc_decimal(a: Column) -> Column:
+    """The exact value as a decimal text, all digits; an Arrow UDF over one row for each sum."""
+
+    @F.pandas_udf("string")
+    def text(literal: pd.Series) -> pd.Series:
+        return literal.map(lambda t: None if t is None else decimal_text(*parsed(t)))
+
+    return text(hex_text(a))
+
+
+def decimal_text(n: int, exp: int) -> str:
+    """n * 2^exp with all its decimal digits."""
+    while n and exp < 0 and not n & 1:
+        n, exp = n >> 1, exp + 1
+    if exp >= 0 or not n:
+        return str(n << max(exp, 0))
+    digits = str(abs(n) * 5**-exp).rjust(1 - exp, "0")
+    return f"{'-' if n < 0 else ''}{digits[:exp]}.{digits[exp:]}"
+
+
+def rounded_digits(d: DataFrame, digits: Sequence[str], low: int, name: str) -> DataFrame:
+    """Adds the rounded value of lazily added digit columns (the first has index `low`) to every row.
+
+    For sums that are rounded row by row: plain arithmetic of one projection for each step, with no
+    array or lambda, so it stays in the generated stage.  The sign is found by one pass of carries,
+    a second pass over the magnitude makes a hexadecimal literal, and the cast of that rounds once.
+    """
+    c, top = "c__", len(digits) - 1
+    keep = [F.col(x) for x in d.columns]
+    carry = F.lit(0).cast("bigint")
+    for x in digits:
+        d = d.withColumn(c, F.shiftright(F.col(x) + carry, W))
+        carry = F.col(c)
+    d = d.withColumn("sign__", F.when(F.col(c) < 0, -1).otherwise(1).cast("bigint")).withColumn(c, F.lit(0).cast("bigint"))
+    for k, x in enumerate(digits):
+        d = d.withColumn("v__", F.col(x) * F.col("sign__") + F.col(c))
+        d = d.withColumn(f"m{k}__", F.col("v__").bitwiseAND(F.lit(R - 1))).withColumn(c, F.shiftright("v__", W))
+    text = F.concat(F.when(F.col("sign__") < 0, "-0x").otherwise("0x"), F.hex(c), *[F.lpad(F.hex(f"m{k}__"), 8, "0") for k in range(top, -1, -1)], F.lit(f"p{low * W}"))
+    return d.select(*keep, text.cast("double").alias(name))
 
 
 def acc_map(a: Column) -> Column:
@@ -300,7 +378,7 @@ def acc_from_json(text: Column) -> Column:
     return F.from_json(text, PACKED)
 
 
-def finished(acc: Column, value: Column) -> Column:
+def finished(acc: Column | None, value: Column) -> Column:
     """SQL and IEEE semantics around the finite sum: null, NaN, infinities and the sign of zero."""
     n = F.col
     return (

@@ -8,6 +8,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.io import checkpointed
 from . import kernels
 from .mapreduce import as_column, packed_sums
 
@@ -20,13 +21,14 @@ COUNTERS = {
 
 
 def sequential(df: DataFrame, col: str | Column, method: str, keys: Sequence[str] = (), order: Sequence[str] = (), max_rows: int = 5_000_000) -> DataFrame:
-    """A one-core method on each key's values, in the order of `order` or else of the value.
+    """A one-core method on each key's values, in the order of `order` or else in that of arrival (partition, row).
 
     These methods are sequential by nature; a group over max_rows raises.  Nulls are skipped.
     """
     run = kernels.METHODS[method]
-    rows = df.select(*keys, *order, as_column(col).cast("double").alias("x")).where("x is not null")
-    by = [*order] or ["x"]
+    by = [f"place{k}__" for k in range(len(order) or 1)]
+    places = [F.col(o) for o in order] or [F.monotonically_increasing_id()]
+    rows = df.select(*keys, *[c.alias(b) for c, b in zip(places, by, strict=True)], as_column(col).cast("double").alias("x")).where("x is not null")
     schema = ", ".join([*[f"`{k}` {rows.schema[k].dataType.simpleString()}" for k in keys], "value double, counter double"])
 
     def group(key, f: pd.DataFrame) -> pd.DataFrame:
@@ -54,31 +56,65 @@ def sum_by_exponent(df: DataFrame, col: str | Column, keys: Sequence[str] = ())
     return sequential(df, col, "by_exponent", keys)
 
 
-def sum_accurate_passes(df: DataFrame, col: str | Column, max_passes: int = 64) -> DataFrame:
+def sum_accurate_passes(df: DataFrame, col: str | Column, max_passes: int = 256) -> DataFrame:
     """Extraction by falling thresholds, one aggregate per pass over the whole table: (value, passes).
 
     Each pass takes the part of every value above a power of two that makes the parts' sum exact in
-    any order, so the aggregate is Spark's plain one.
+    any order, so the aggregate is Spark's plain one.  Passes end when the rest is zero or cannot
+    change the rounded value; a double's bits run out long before `max_passes`, beyond which it is an error.
     """
     import math
 
     x = as_column(col).cast("double")
     rows = df.select(x.alias("x")).where("x is not null")
     n, most = rows.agg(F.count("x"), F.max(F.abs("x"))).first()
-    parts, passes = [], 0
-    while n and most and passes < max_passes:
+    sigmas, parts, passes, value = [], [], 0, None if not n else 0.0
+    while n and most:
+        if passes == max_passes:
+            raise RuntimeError(f"not settled after {max_passes} passes")
         m = math.frexp(most)[1] + n.bit_length() + 1
         if m > 1022:
             raise OverflowError("values too large to extract from")
-        sigma = F.lit(math.ldexp(1.0, m))
-        rows = rows.select("x", ((F.col("x") + sigma) - sigma).alias("q")).select("q", (F.col("x") - F.col("q")).alias("x"))
-        s, most = rows.agg(F.sum("q"), F.max(F.abs("x"))).first()
-        parts.append(s)
+        sigmas.append(math.ldexp(1.0, m))
+        # what earlier passes took is taken again row by row: a loop over the thresholds, not a growing plan
+        given = F.array(*[F.lit(s) for s in sigmas[:-1]]) if passes else F.array().cast("array<double>")
+        left = F.aggregate(given, F.col("x"), lambda a, s: a - ((a + s) - s))
+        taken = rows.select(left.alias("x")).select("x", ((F.col("x") + F.lit(sigmas[-1])) - F.lit(sigmas[-1])).alias("q"))
+        s, most = taken.agg(F.sum("q"), F.max(F.abs(F.col("x") - F.col("q")))).first()
+        parts = kernels.grown(parts, s)
         passes += 1
-        y = math.fsum(parts)
-        if y and most * n < math.ulp(y) / 8:
+        value = kernels.rounded_parts(parts)
+        if most and kernels.certain(parts, math.nextafter(most * n, math.inf)) is not None:
             break
-    return df.sparkSession.createDataFrame([(math.fsum(parts) if n else None, passes)], "value double, passes int")
+    return df.sparkSession.createDataFrame([(value, passes)], "value double, passes int")
+
+
+def sum_refine(df: DataFrame, col: str | Column) -> DataFrame:
+    """Iterative refinement over partitions: (value, passes).
+
+    In each round a partition adds its values by pairs, sends the rounded sum and keeps the errors
+    of its additions as its values for the next round.  The sums sent are added without loss, and
+    rounds go on until nothing is left or what is left cannot change the rounded value.
+    """
+    held = df.select(as_column(col).cast("double").alias("x")).where("x is not null").withColumn("sent", F.lit(False))
+    n, parts, passes = held.count(), [], 0
+
+    def sweep(batches):
+        import numpy as np
+
+        mine = [b.loc[~b["sent"], "x"].to_numpy(float) for b in batches]
+        s, errors = kernels.two_sum_tree(np.concatenate([*mine, np.zeros(0)]))
+        yield pd.DataFrame({"x": [s, *errors.tolist()], "sent": [True, *[False] * len(errors)]})
+
+    while n:
+        passes += 1
+        held = checkpointed(held.mapInPandas(sweep, "x double, sent boolean"))
+        for r in held.where("sent").toLocalIterator():  # one number for each partition
+            parts = kernels.grown(parts, r["x"])
+        left, rest = held.where("not sent").agg(F.count("x"), F.sum(F.abs("x"))).first()
+        if not left or kernels.certain(parts, rest * (1 + left * 2.0**-50)) is not None:
+            break
+    return df.sparkSession.createDataFrame([(kernels.rounded_parts(parts) if n else None, passes)], "value double, passes int")
 
 
 def sum_parallel_carry(df: DataFrame, col: str | Column, keys: Sequence[str] = (), blocks: int = 16) -> DataFrame:

@@ -2,79 +2,76 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.formats import FORMATS, R, W, FloatFormat
 from . import accumulator as A
-from .mapreduce import as_column, with_values
+from .mapreduce import as_column, sum_scan, with_values
 
 
 def sum_sorted(df: DataFrame, col: str | Column, keys: Sequence[str] = (), partitions: int | None = None, name: str = "value") -> DataFrame:
-    """Sort-based sum: digits are ranged by limb index (and a salt within it), sorted, and swept once.
+    """Sort-based sum: digits are dealt to ranges of (limb index, salt), sorted, and swept once.
 
-    The sweep keeps the running digit of the current index only and emits it when the index changes,
-    so memory doesn't depend on the number of active limbs.
+    The salt numbers rows, so equal values go to different ranges.  The sweep is the sorted partial
+    aggregation of each range; an index whose rows span range borders leaves several partial digits,
+    which a small second shuffle adds.  Special values and counts travel with the digits: one scan.
     """
     n = partitions or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = A.limb_rows(df, keys, {name: as_column(col)})
-    digits = F.array(*[F.struct((F.col("top") - i).alias("idx"), F.col(f"d{i}").alias("digit")) for i in range(3)])
-    long = rows.where("top is not null").select(*keys, F.xxhash64("x").alias("salt__"), F.inline(digits)).where("digit <> 0")
+    long = digit_rows(A.limb_rows(df, keys, {name: as_column(col)}), keys)
     order = [*keys, "idx"]
-    ranged = long.repartitionByRange(n, *order, "salt__").sortWithinPartitions(*order).drop("salt__")
-    schema = ", ".join([*[f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keys], "idx int, s bigint"])
-
-    def sweep(batches):
-        held = None
-        for b in batches:
-            f = b.groupby(order, sort=False, dropna=False)["digit"].sum().reset_index()
-            f.columns = [*order, "s"]
-            if held is not None and len(f):
-                same = all(held[k] == f[k].iloc[0] or (pd.isna(held[k]) and pd.isna(f[k].iloc[0])) for k in order)
-                if same:
-                    f.loc[f.index[0], "s"] += held["s"]
-                else:
-                    yield pd.DataFrame([held])
-            if len(f):
-                held = f.iloc[-1].to_dict()
-                yield f.iloc[:-1]
-        if held is not None:
-            yield pd.DataFrame([held])
-
-    finished = ranged.mapInPandas(sweep, schema)
+    ranged = long.withColumn("salt__", F.xxhash64(F.monotonically_increasing_id())).repartitionByRange(n, *order, "salt__").sortWithinPartitions(*order)
+    sums = ranged.groupBy(*order).agg(F.sum("digit").alias("s0"), *[F.sum(f).alias(f) for f in A.FLAGS])
     zero = F.lit(0).cast("bigint")
-    # an index whose rows span range borders has several partial digits; they are few
-    sums = finished.groupBy(*keys, "idx").agg(F.sum("s").alias("s0"))
-    sums = sums.select(*keys, F.lit(name).alias("m"), F.col("idx").alias("top"), "s0", zero.alias("s1"), zero.alias("s2"), *[zero.alias(f) for f in A.FLAGS])
-    flags = rows.groupBy(*keys, "m").agg(*A.flag_sums())
-    none = [F.lit(None).cast(t).alias(c) for c, t in (("top", "int"), ("s0", "bigint"), ("s1", "bigint"), ("s2", "bigint"))]
-    both = sums.unionByName(flags.select(*keys, "m", *none, *A.FLAGS))
-    return with_values(A.pack(both, keys)).select(*keys, F.col("value").alias(name))
+    sums = sums.select(*keys, F.lit(name).alias("m"), F.col("idx").alias("top"), "s0", zero.alias("s1"), zero.alias("s2"), *A.FLAGS)
+    return with_values(A.pack(sums, keys)).select(*keys, F.col("value").alias(name))
+
+
+def digit_rows(rows: DataFrame, keys: Sequence[str]) -> DataFrame:
+    """(keys, idx, digit, flags): a row for each digit that isn't zero, and one without index that counts the value."""
+    zero = F.lit(0).cast("bigint")
+    flag = {f: c.cast("bigint") for f, c in A.flag_values().items()}
+    own = F.struct(F.lit(None).cast("int").alias("idx"), zero.alias("digit"), *[c.alias(f) for f, c in flag.items()])
+    digits = [F.struct((F.col("top") - i).alias("idx"), F.col(f"d{i}").alias("digit"), *[zero.alias(f) for f in A.FLAGS]) for i in range(3)]
+    return rows.select(*keys, F.inline(F.array(own, *digits))).where("digit <> 0 or idx is null")
 
 
 def multiset_equal(a: DataFrame, x: str, b: DataFrame, y: str, bits: int = 40) -> DataFrame:
     """One row (equal, limbs_left): do integer columns x of a and y of b hold the same values equally often?
 
-    Value v of a adds 2^(bits v), of b subtracts it; with fewer than 2^(bits-1) copies of a value
-    no digit group overflows into the next, so the sum is zero exactly for equal multisets.
-    Exponents are unbounded: limb indexes are BIGINT, whatever a double's range.
+    Value v of a adds 2^(bits v), of b subtracts it.  With fewer than 2^(bits-1) rows, which is
+    checked, no value's copies reach the next value's bits, so the sum is zero for equal multisets
+    and for no others.  Exponents are unbounded: limb indexes are DECIMAL, whatever a double's range.
+    A sum that isn't zero has a digit that isn't zero however its carries stand, so none is settled.
+    Nulls are equal to each other, as in EXCEPT ALL.
     """
-    limb = lambda v: F.expr(f"({v} * {bits}) div {W}")
-    digit = lambda v: F.call_function("shiftleft", F.lit(1).cast("bigint"), F.expr(f"cast(pmod({v} * {bits}, {W}) as int)"))
-    one = a.select(F.col(x).cast("bigint").alias("v")).dropna().select(limb("v").alias("idx"), digit("v").alias("d"))
-    two = b.select(F.col(y).cast("bigint").alias("v")).dropna().select(limb("v").alias("idx"), (-digit("v")).alias("d"))
-    sums = one.unionByName(two).groupBy("idx").agg(F.sum("d").alias("p"))
-    # carries travel at most `bits` / W + 1 limbs: settle them by local rounds until digits are canonical
-    for _ in range(bits // W + 2):
-        c = F.shiftright(F.col("p") + (R >> 1), W)
-        parts = F.array(F.struct(F.col("idx").alias("idx"), (F.col("p") - c * R).alias("p")), F.struct((F.col("idx") + 1).alias("idx"), c.alias("p")))
-        sums = sums.select(F.inline(parts)).where("p <> 0").groupBy("idx").agg(F.sum("p").alias("p"))
-    left = sums.where("p <> 0").agg(F.count("*").alias("limbs_left"))
-    return left.select((F.col("limbs_left") == 0).alias("equal"), "limbs_left")
+    period = W // math.gcd(bits, W)  # values after which a limb's border is met again
+    v = F.col("v")
+    low = F.pmod(v, F.lit(period).cast("bigint"))
+    whole = (v.cast("decimal(38,0)") - low) / F.lit(period).cast("decimal(10,0)")
+    index = (whole.cast("decimal(38,0)") * F.lit(bits * period // W).cast("decimal(10,0)")).cast("decimal(38,0)") + F.floor(low * bits / W).cast("decimal(10,0)")
+    digit = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(low * bits, F.lit(W)).cast("int"))
+    split = lambda d, c, sign: d.select(F.col(c).cast("bigint").alias("v")).select(F.when(v.isNotNull(), index.cast("decimal(38,0)")).alias("idx"), F.coalesce(digit, F.lit(1).cast("bigint")).alias("d"), F.lit(sign).alias("sign"))
+    both = split(a, x, 1).unionByName(split(b, y, -1))
+    # at most 2^32 in a digit of one row, so 2^31 rows of an index can be added; decimal sums can't overflow
+    sums = both.groupBy("idx").agg(F.sum((F.col("d") * F.col("sign")).cast("decimal(20,0)")).alias("p"), F.count("*").alias("rows"))
+    left = sums.agg(F.count(F.when(F.col("p") != 0, 1)).alias("limbs_left"), F.coalesce(F.sum("rows"), F.lit(0)).alias("rows"))
+    fits = F.when(F.col("rows") >= F.lit(1 << (bits - 1)), F.raise_error(F.lit(f"2^{bits - 1} rows or more; give more bits")).cast("boolean"))
+    return left.select(F.coalesce(fits, F.col("limbs_left") == 0).alias("equal"), "limbs_left")
+
+
+def sum_external(df: DataFrame, col: str | Column, keys: Sequence[str] = (), memory_bytes: int = 1 << 26, name: str = "value") -> DataFrame:
+    """Scan-based where an accumulator of the active limbs fits a task's memory, else sort-based."""
+    from ..plans.metrics import sigma
+    from ..plans.planner import choose_external
+
+    most = sigma(df, col, keys).agg(F.max("sigma")).first()[0] or 0
+    run = sum_scan if choose_external(most, memory_bytes) == "scan" else sum_sorted
+    return run(df, col, keys, name=name)
 
 
 def count_as_floats(n: int, fmt: str | FloatFormat = "single") -> list[float]:

@@ -9,20 +9,27 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import accumulator as A
-from .mapreduce import as_column, exact_sum, packed_sums
+from .mapreduce import as_column, exact_sum, packed_sums, with_values
 
 
 def exact_sum_join(left: DataFrame, right: DataFrame, on, col: str | Column, keys: Sequence[str], how: str = "inner", hint: str | None = None, name: str = "value") -> DataFrame:
     return exact_sum(left.join(right.hint(hint) if hint else right, on, how), col, keys, name=name)
 
 
-def preagg_join(facts: DataFrame, col: str | Column, fact_key: str, dims: DataFrame, dim_key: str, keys: Sequence[str], name: str = "value") -> DataFrame:
-    """Sums the facts to accumulators per join key first: what is joined is one small row per key, not every fact."""
-    from ..sources.io import merge_acc
+def preagg_join(facts: DataFrame, col: str | Column, fact_key: str, dims: DataFrame, dim_key: str, keys: Sequence[str], name: str = "value", combine: bool | None = None) -> DataFrame:
+    """Sums the facts' digits per join key first: a key's few limb rows are joined, not every fact.
 
-    accs = packed_sums(facts, [fact_key], {"v": as_column(col)}).drop("sigma")
-    joined = accs.join(dims.select(F.col(dim_key).alias(fact_key), *keys), fact_key)
-    return merge_acc(joined, keys, name).drop("acc")
+    Where almost every fact has a key of its own (`combine` None: counted first) that saves nothing,
+    and the facts are joined as they are.
+    """
+    from ..plans.planner import choose_combine
+
+    named = dims.select(F.col(dim_key).alias(fact_key), *keys)
+    if not (choose_combine(facts, [fact_key], facts.count()) if combine is None else combine):
+        return exact_sum_join(facts, named, fact_key, col, keys, name=name)
+    sums = A.limb_sums(A.limb_rows(facts, [fact_key], {name: as_column(col)}), [fact_key])
+    joined = sums.join(named, fact_key).groupBy(*keys, "m", "top").agg(*[F.sum(s).alias(s) for s in (*A.SUMS, *A.FLAGS)])
+    return with_values(A.pack(joined, keys)).select(*keys, F.col("value").alias(name))
 
 
 def range_join(points: DataFrame, x: str, bands: DataFrame, low: str, high: str, width: float) -> DataFrame:

@@ -48,8 +48,10 @@ class BlockSum:
         top, *digits = split(x)
         for i, d in enumerate(digits):
             at = top - i - LOWEST
-            np.add.at(self.limbs, at, d)
-            self.used[np.unique(at[d != 0])] = True
+            # both halves are added exactly in doubles: fewer than 2^30 values of 16 bits at a time
+            high, low = np.bincount(at, d >> 16, SPAN), np.bincount(at, d & 0xFFFF, SPAN)
+            self.limbs += (high.astype(np.int64) << 16) + low.astype(np.int64)
+            self.used |= np.bincount(at, d != 0, SPAN) > 0
 
     def carry(self) -> None:
         for k in range(SPAN - 1):
@@ -62,6 +64,29 @@ class BlockSum:
         """The sum in units of R^LOWEST."""
         return sum(int(d) << (W * k) for k, d in enumerate(self.limbs.tolist()))
 
+    def value(self) -> float | None:
+        """The rounded sum, with SQL's null for nothing and IEEE's special values."""
+        if not self.n:
+            return None
+        if self.nan or (self.pinf and self.ninf):
+            return math.nan
+        if self.pinf or self.ninf:
+            return math.inf if self.pinf else -math.inf
+        return rounded(self.total()) if self.nonneg else -0.0
+
+    def saved(self) -> bytes:
+        self.carry()
+        return np.concatenate([self.limbs, [self.n, self.nan, self.pinf, self.ninf, self.nonneg], self.used]).astype("<i8").tobytes()
+
+    @classmethod
+    def restored(cls, held: bytes | None) -> BlockSum:
+        s = cls()
+        if held is not None:
+            a = np.frombuffer(held, "<i8")
+            s.limbs, s.used = a[:SPAN].copy(), a[SPAN + 5 :].astype(bool)
+            s.n, s.nan, s.pinf, s.ninf, s.nonneg = a[SPAN : SPAN + 5].tolist()
+        return s
+
     def rows(self):
         yield (None, None, None, None, self.n, self.nan, self.pinf, self.ninf, self.nonneg)
         for k in np.flatnonzero(self.used | (self.limbs != 0)).tolist():
@@ -143,26 +168,71 @@ def doubly_compensated(xs):
     return s, c
 
 
+def grown(parts: list[float], x: float) -> list[float]:
+    """A non-overlapping list of rising magnitudes, and x: their exact sum as such a list."""
+    out = []
+    for p in parts:
+        x, e = two_sum(x, p)
+        if e:
+            out.append(e)
+    if x - x != 0:
+        raise OverflowError("a partial sum is beyond the largest double")
+    return [*out, x] if x else out
+
+
+def rounded_parts(parts: Sequence[float]) -> float:
+    """The nearest double of a non-overlapping list of rising magnitudes.
+
+    Adding from the large end stays exact until one addition isn't; what is left below can only
+    decide a tie, by its sign.
+    """
+    total, k = 0.0, len(parts)
+    while k:
+        k -= 1
+        total, error = two_sum(total, parts[k])
+        if error:
+            if k and (error > 0) == (parts[k - 1] > 0):
+                twice = 2 * error
+                away = total + twice
+                if away - total == twice:
+                    return away
+            break
+    return total
+
+
+def certain(parts: list[float], rest: float) -> float | None:
+    """The rounded sum of the parts, if adding or taking away up to `rest` doesn't change it."""
+    y = rounded_parts(parts)
+    return y if rounded_parts(grown(parts, rest)) == y == rounded_parts(grown(parts, -rest)) else None
+
+
+def magnitude(v) -> float:
+    """No less than the sum of magnitudes."""
+    return math.nextafter(float(np.abs(np.asarray(v, float)).sum()) * (1 + len(v) * 2.0**-51), math.inf)
+
+
 def distill(xs):
-    """Error-free distillation: sweeps of two-sums until what is left cannot change the rounded total."""
-    v, sweeps = np.asarray(xs, float), 0
-    v = v[v != 0]
+    """Error-free distillation: sweeps of two-sums until what is left cannot change the rounded total.
+
+    A sweep that changes nothing leaves a non-overlapping list, which is rounded as it stands.
+    """
+    v, sweeps = [x for x in xs if x], 0
     while len(v) > 1:
         sweeps += 1
         left, total = [], 0.0
-        for x in v.tolist():
+        for x in v:
             total, e = two_sum(total, x)
             if e:
                 left.append(e)
-        if not left:
-            return total, sweeps
-        bound = len(left) * max(map(abs, left))
-        if total and bound < math.ulp(total) / 4 and total + bound == total and total - bound == total:
-            return total, sweeps
-        v = np.array([*left, total])
-        if sweeps > 40 and sweeps > len(v) + 8:
-            break
-    return (float(math.fsum(v.tolist())) if len(v) else 0.0), sweeps
+        if total - total != 0:
+            raise OverflowError("a partial sum is beyond the largest double")
+        new = [*left, total] if total else left
+        if not left or new == v:
+            return rounded_parts(new), sweeps
+        if total and (y := certain([total], magnitude(left))) is not None:
+            return y, sweeps
+        v = new
+    return (v[0] if v else 0.0), sweeps
 
 
 def superacc_carry(xs):
@@ -198,53 +268,60 @@ def expansion(xs):
     """A growing list of floats without overlap."""
     parts, longest = [], 0
     for x in xs:
-        kept = []
-        for p in parts:
-            x, e = two_sum(x, p)
-            if e:
-                kept.append(e)
-        parts = [*kept, x]
+        parts = grown(parts, x)
         longest = max(longest, len(parts))
-    return math.fsum(parts), longest
+    return rounded_parts(parts), longest
+
+
+def two_sum_tree(v: np.ndarray) -> tuple[float, np.ndarray]:
+    """The sum by pairs and all errors of its additions; nothing is lost."""
+    errors = []
+    while len(v) > 1:
+        if len(v) % 2:
+            v = np.append(v, 0.0)
+        a, b = v[::2], v[1::2]
+        s = a + b
+        t = s - a
+        e = (a - (s - t)) + (b - t)
+        errors.append(e[e != 0])
+        v = s
+    total = float(v[0]) if len(v) else 0.0
+    if not math.isfinite(total):
+        raise OverflowError("a partial sum is beyond the largest double")
+    return total, np.concatenate([*errors, np.zeros(0)])
 
 
 def refine(xs, blocks: int = 8):
-    """Rounds of block-wise two-sum sweeps; each round keeps the errors of the last."""
-    v, passes = list(xs), 0
-    while passes < 200:
+    """Rounds over blocks: each sends its block's rounded sum and keeps the errors for the next round."""
+    held, passes, parts = [np.asarray(xs[b::blocks], float) for b in range(blocks)], 0, []
+    while True:
         passes += 1
-        left = []
         for b in range(blocks):
-            s = 0.0
-            for x in v[b::blocks]:
-                s, e = two_sum(s, x)
-                if e:
-                    left.append(e)
-            if s:
-                left.append(s)
-        if len(left) <= blocks or sorted(left) == sorted(v):
-            return math.fsum(left), passes
-        v = left
-    return math.fsum(v), passes
+            s, held[b] = two_sum_tree(held[b])
+            parts = grown(parts, s)
+        rest = sum(map(magnitude, held)) if any(map(len, held)) else 0.0
+        if not rest:
+            return rounded_parts(parts), passes
+        if (y := certain(parts, rest * (1 + 2.0**-40))) is not None:
+            return y, passes
 
 
 def accurate(xs):
     """Extraction by falling powers of two; the number of passes follows the condition number."""
     v, passes, parts = np.asarray(xs, float), 0, []
-    while len(v) and v.any() and passes < 64:
+    while len(v):
         passes += 1
         m = int(np.frexp(np.abs(v).max())[1]) + len(v).bit_length() + 1
-        if m > 1020:
-            return rounded(exact(v)), passes
+        if m > 1022:
+            raise OverflowError("values too large to extract from")
         sigma = math.ldexp(1.0, m)
         q = (v + sigma) - sigma
-        parts.append(float(q.sum()))
+        parts = grown(parts, float(q.sum()))  # exact: the sum's bits lie between those of sigma and of its last place
         v = v - q
-        rest = len(v) * float(np.abs(v).max())
-        s = math.fsum(parts)
-        if s and rest < math.ulp(s) / 8:
-            break
-    return math.fsum([*parts, *v.tolist()]), passes
+        v = v[v != 0]
+        if len(v) and (y := certain(parts, magnitude(v))) is not None:
+            return y, passes
+    return rounded_parts(parts), passes
 
 
 def fixed(xs):
@@ -321,4 +398,4 @@ METHODS = {
     "accurate": accurate, "fixed": fixed, "bucketed": bucketed, "doubly_compensated": doubly_compensated, "reference": reference,
 }
 
-EXACT = ("distill", "superacc_carry", "small_acc", "expansion", "fixed", "bucketed", "reference")
+EXACT = ("distill", "superacc_carry", "small_acc", "expansion", "refine", "accurate", "fixed", "bucketed", "reference")

@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
+from fractions import Fraction
 from functools import reduce
 
 import numpy as np
@@ -11,8 +13,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.decompose import two_prod
-from ..functions.formats import DOUBLE, LAZY_ADDS, LOWEST, W, round_integer
+from ..functions.decompose import is_negative_zero, is_special, limbs, scaled_limbs, two_prod, unit_parts
+from ..functions.formats import DOUBLE, HIGHEST, LOWEST, W, round_integer
+from ..plans.planner import needs_wide
 from . import accumulator as A
 from . import kernels
 
@@ -37,7 +40,7 @@ def exact_sum(df: DataFrame, col: str | Column, keys: Sequence[str] = (), *, wid
     empty input gives one null row, as SQL's sum does.
     """
     if wide is None:
-        wide = df.count() >= LAZY_ADDS
+        wide = needs_wide(df.count())
     packed = packed_sums(df, keys, {name: as_column(col)}, wide)
     out = with_values(packed, fmt, mode)
     if not keys:
@@ -85,9 +88,6 @@ def exact_avg(df: DataFrame, col: str | Column, keys: Sequence[str] = (), name:
 
 def _ratio(total: int, scale: int, over: int, sign: int = 1, over_scale: int = 0) -> float:
     """total * 2^scale / (over * 2^over_scale), correctly rounded."""
-    import math
-    from fractions import Fraction
-
     q = Fraction(total) / Fraction(over)
     shift = scale - over_scale
     # 200 bits of quotient, and a sticky bit
@@ -100,50 +100,149 @@ def _ratio(total: int, scale: int, over: int, sign: int = 1, over_scale: int = 0
     return float(r) if isinstance(r, str) else math.ldexp(float(r[0]), r[1])
 
 
-def exact_var(df: DataFrame, col: str | Column, keys: Sequence[str] = (), name: str = "value") -> DataFrame:
-    """Sample variance (n sum x^2 - (sum x)^2) / (n (n - 1)): exact numerator, one rounding."""
+def product_rows(df: DataFrame, keys: Sequence[str], products: dict[str, tuple[Column, Column]]) -> DataFrame:
+    """Like limb_rows, for the exact products of pairs of doubles: two rows for each, of the rounded
+    product and of its error, both taken from mantissas, so neither over- nor underflows.
+
+    x is null in the second row; in the first it has the class and sign of the product.
+    """
+    each = F.array(*[F.struct(F.lit(m).alias("m"), a.cast("double").alias("a"), b.cast("double").alias("b")) for m, (a, b) in products.items()])
+    d = df.select(*keys, F.inline(each)) if len(products) > 1 else df.select(*keys, *[v for m, (a, b) in products.items() for v in (F.lit(m).alias("m"), a.cast("double").alias("a"), b.cast("double").alias("b"))])
+    a, b = F.col("a"), F.col("b")
+    plain = ~is_special(a) & ~is_special(b) & (a != 0) & (b != 0)
+    d = d.withColumn("x", F.when(plain, F.lit(1.0)).otherwise(a * b)).withColumns({"u": unit_parts(a), "v": unit_parts(b)})
+    d = d.withColumn("p", two_prod(F.col("u.m"), F.col("v.m"))).withColumn("k", F.col("u.e") + F.col("v.e"))
+    rows = F.array(F.struct(F.col("x"), F.col("p.p").alias("y")), F.struct(F.lit(None).cast("double").alias("x"), F.col("p.e").alias("y")))
+    d = d.select(*keys, "m", F.when(plain, F.col("k")).alias("k"), F.inline(rows))
+    limb = scaled_limbs(F.col("y"), F.col("k"))
+    d = d.withColumn("l", F.when(F.col("k").isNotNull(), limb)).where("x is not null or l is not null or k is null")
+    return d.select(*keys, "m", "x", "l.top", "l.d0", "l.d1", "l.d2")
+
+
+def _moments(df: DataFrame, keys: Sequence[str], sums: dict[str, Column], products: dict[str, tuple[Column, Column]]) -> DataFrame:
+    """(keys, n, special, one hexadecimal text for each exact sum); n counts the first of `sums`."""
+    rows = A.limb_rows(df, keys, sums).unionByName(product_rows(df, keys, products))
+    packed = A.pack(A.limb_sums(rows, keys), keys).withColumn("t", A.hex_text(F.col("acc")))
+    of = lambda m, c: F.max(F.when(F.col("m") == m, F.col(c)))
+    special = F.max((F.col("n_nan") > 0) | (F.col("n_pinf") > 0) | (F.col("n_ninf") > 0))
+    return packed.groupBy(*keys).agg(of(next(iter(sums)), "n").alias("n"), special.alias("special"), *[of(m, "t").alias(m) for m in (*sums, *products)])
+
+
+def _rational(names: Sequence[str], form) -> Column:
+    """A double from exact sums: form(n, *sums) gives a Fraction, a (sign, Fraction) whose root is meant, or None.
+
+    An Arrow UDF over one row per key.  NaN where special values took part.
+    """
+
+    @F.pandas_udf("string")  # a pandas result can't tell NaN from null
+    def run(row: pd.DataFrame) -> pd.Series:
+        out = []
+        for r in row.itertuples(index=False):
+            got = None if r.n is None or r.n != r.n else form(int(r.n), *[_fraction(getattr(r, m)) for m in names])
+            out.append(None if got is None else "NaN" if r.special else repr(_root(*got) if isinstance(got, tuple) else _nearest(got)))
+        return pd.Series(out, dtype=object)
+
+    return run(F.struct("n", "special", *names)).cast("double")
+
+
+def _fraction(text: str) -> Fraction:
+    n, exp = A.parsed(text)
+    return Fraction(n) * Fraction(2) ** exp
+
+
+def _nearest(q: Fraction) -> float:
+    return _ratio(q.numerator, 0, q.denominator)
+
+
+def _root(sign: int, q: Fraction) -> float:
+    """sign * sqrt(q), correctly rounded: 120 bits of the root and a sticky bit."""
+    k = max(0, 120 - (q.numerator.bit_length() - q.denominator.bit_length()) // 2)
+    whole, rest = divmod(q.numerator << (2 * k), q.denominator)
+    root = math.isqrt(whole)
+    sticky = (root << 1) | (rest != 0 or root * root != whole)
+    r = round_integer(sign * sticky, -k - 1, DOUBLE)
+    return float(r) if isinstance(r, str) else math.ldexp(float(r[0]), r[1])
+
+
+def _spread(n: int, sx: Fraction, sy: Fraction, sxy: Fraction) -> Fraction:
+    return (n * sxy - sx * sy) / (n * (n - 1))
+
+
+def exact_var(df: DataFrame, col: str | Column, keys: Sequence[str] = (), name: str = "value", root: bool = False) -> DataFrame:
+    """Sample variance (n sum x^2 - (sum x)^2) / (n (n - 1)), or its root: exact inside, one rounding.
+
+    Null for fewer than two values, NaN where a value is NaN or infinite.
+    """
     x = as_column(col).cast("double")
-    p = two_prod(x, x)
-    packed = packed_sums(df, keys, {"x": x, "p": p["p"], "e": p["e"]})
-    g = packed.groupBy(*keys).agg(*[F.max(F.when(F.col("m") == m, A.hex_text(F.col("acc")))).alias(m) for m in ("x", "p", "e")], F.max(F.when(F.col("m") == "x", F.col("n"))).alias("n"))
+    g = _moments(df, keys, {"x": x}, {"p": (x, x)})
+    q = lambda n, sx, sp: None if n < 2 else (1, _spread(n, sx, sx, sp)) if root else _spread(n, sx, sx, sp)
+    return g.select(*keys, _rational(["x", "p"], q).alias(name))
 
-    @F.pandas_udf("double")
-    def variance(sx: pd.Series, sp: pd.Series, se: pd.Series, n: pd.Series) -> pd.Series:
-        from fractions import Fraction
 
-        def value(t):
-            i, s = A.parsed(t)
-            return Fraction(i) * (Fraction(2) ** s)
+def exact_std(df: DataFrame, col: str | Column, keys: Sequence[str] = (), name: str = "value") -> DataFrame:
+    return exact_var(df, col, keys, name, root=True)
 
-        out = []
-        for a, b, c, k in zip(sx, sp, se, n, strict=True):
-            if k < 2:
-                out.append(None)
-                continue
-            q = (k * (value(b) + value(c)) - value(a) ** 2) / (k * (k - 1))
-            out.append(float(q))
-        return pd.Series(out)
 
-    return g.select(*keys, variance("x", "p", "e", "n").alias(name))
+def _pairs(df: DataFrame, a: str | Column, b: str | Column, keys: Sequence[str]) -> DataFrame:
+    return df.select(*keys, as_column(a).cast("double").alias("a__"), as_column(b).cast("double").alias("b__")).where("a__ is not null and b__ is not null")
+
+
+def exact_cov(df: DataFrame, a: str | Column, b: str | Column, keys: Sequence[str] = (), name: str = "value") -> DataFrame:
+    """Sample covariance over rows where both are given."""
+    x, y = F.col("a__"), F.col("b__")
+    g = _moments(_pairs(df, a, b, keys), keys, {"x": x, "y": y}, {"p": (x, y)})
+    return g.select(*keys, _rational(["x", "y", "p"], lambda n, sx, sy, sp: None if n < 2 else _spread(n, sx, sy, sp)).alias(name))
+
+
+def exact_corr(df: DataFrame, a: str | Column, b: str | Column, keys: Sequence[str] = (), name: str = "value") -> DataFrame:
+    """Pearson's correlation; null where a column doesn't vary."""
+    x, y = F.col("a__"), F.col("b__")
+    g = _moments(_pairs(df, a, b, keys), keys, {"x": x, "y": y}, {"p": (x, y), "xx": (x, x), "yy": (y, y)})
+
+    def form(n, sx, sy, sp, sxx, syy):
+        u, v, w = n * sxx - sx * sx, n * syy - sy * sy, n * sp - sx * sy
+        return None if not u or not v else ((w > 0) - (w < 0), w * w / (u * v))
+
+    return g.select(*keys, _rational(["x", "y", "p", "xx", "yy"], form).alias(name))
+
+
+def exact_weighted_avg(df: DataFrame, col: str | Column, weight: str | Column, keys: Sequence[str] = (), name: str = "value") -> DataFrame:
+    """sum w x / sum w over rows where both are given; null where the weights add up to zero."""
+    x, w = F.col("a__"), F.col("b__")
+    g = _moments(_pairs(df, col, weight, keys), keys, {"w": w}, {"p": (x, w)})
+    return g.select(*keys, _rational(["w", "p"], lambda n, sw, sp: sp / sw if sw else None).alias(name))
 
 
 def exact_dot(df: DataFrame, a: str | Column, b: str | Column, keys: Sequence[str] = (), name: str = "value") -> DataFrame:
-    """Sum of products of two double columns, each product split without error."""
-    p = two_prod(as_column(a).cast("double"), as_column(b).cast("double"))
-    both = df.select(*keys, F.explode(F.array(p["p"], p["e"])).alias("x"))
-    return exact_sum(both, "x", keys, name=name)
+    """Sum of products of two double columns, each product split without error whatever its size."""
+    rows = product_rows(df, keys, {name: (as_column(a), as_column(b))})
+    out = with_values(A.pack(A.limb_sums(rows, keys), keys))
+    if not keys:
+        out = df.sparkSession.range(1).select().join(out, F.lit(True), "left")
+    return out.select(*keys, F.col("value").alias(name))
 
 
 def array_exact_sum(xs: Column) -> Column:
-    """Exact sum of the elements of an array column, without any shuffle."""
-    entries = F.transform(F.filter(xs, lambda x: x.isNotNull() & (x != 0)), lambda x: A.let(_limbs(x.cast("double")), lambda v: F.struct(v["top"].alias("top"), v["d0"].alias("s0"), v["d1"].alias("s1"), v["d2"].alias("s2"))))
-    return A.hex_text(A.canonical(entries)).cast("double")
+    """Exact sum of the elements of an array column, without any shuffle.
 
+    Null for a null array and for one without values; NaN, infinities and negative zeros as in IEEE sums.
+    """
 
-def _limbs(x: Column) -> Column:
-    from ..functions.decompose import limbs
+    def total(v):
+        finite = F.filter(v, lambda x: (x != 0) & ~is_special(x))
+        entries = F.transform(finite, lambda x: A.let(limbs(x), lambda l: F.struct(l["top"].alias("top"), l["d0"].alias("s0"), l["d1"].alias("s1"), l["d2"].alias("s2"))))
+        up, down = F.exists(v, lambda x: x == float("inf")), F.exists(v, lambda x: x == float("-inf"))
+        return (
+            F.when(F.size(v) == 0, F.lit(None).cast("double"))
+            .when(F.exists(v, F.isnan) | (up & down), F.lit(float("nan")))
+            .when(up, F.lit(float("inf")))
+            .when(down, F.lit(float("-inf")))
+            .when(F.forall(v, is_negative_zero), F.lit(-0.0))
+            .otherwise(A.hex_text(A.canonical(entries)).cast("double"))
+        )
 
-    return limbs(x)
+    given = F.transform(F.filter(xs, lambda x: x.isNotNull()), lambda x: x.cast("double"))
+    return F.when(xs.isNotNull(), A.let(given, total))
 
 
 def array_exact_dot(a: Column, b: Column) -> Column:
@@ -158,19 +257,22 @@ def array_exact_norm(a: Column) -> Column:
 def sum_mapreduce(df: DataFrame, col: str | Column, keys: Sequence[str] = (), *, p: int = 8, placement: str = "salt", acc: str = "sparse", combine: bool = True, finalize: str = "executor", name: str = "value") -> DataFrame:
     """The one-round method with its choices spelt out.
 
-    placement  which reducer gets a value or a block's accumulator: 'salt' (hash of the value),
-               'hash:c' (hash of column c), 'range:idx' (by limb index) or 'partition' (by block)
+    placement  which reducer gets a value or a block's accumulator: 'salt' (any, by the row's number),
+               'hash:c' (hash of column c), 'range:idx' (by range of limb index) or 'partition' (by block)
     combine    True: one accumulator for each block is sent; False: every value is
-    acc        'sparse' (active limbs) or 'dense' (all limbs as columns)
+    acc        'sparse' (active limbs as rows), 'dense' (all limbs in one array of a block, see sum_scan)
+               or 'dense_sql' (all limbs as columns of a SQL aggregation)
     finalize   'executor' merges the p accumulators in a second aggregation; 'driver' collects them
     """
     x = as_column(col).cast("double")
-    rows = A.limb_rows(df.withColumn("salt__", _salt(placement, x, p)), [*keys, "salt__"], {name: x})
+    if acc == "dense" and combine:
+        return sum_scan(df, col, keys, name)
+    rows = A.limb_rows(df.withColumn("salt__", _salt(placement, p)), [*keys, "salt__"], {name: x})
     if placement == "range:idx":
-        rows = rows.withColumn("salt__", F.pmod(F.coalesce("top", F.lit(0)), F.lit(p)).cast("int"))
+        rows = rows.withColumn("salt__", F.floor((F.coalesce("top", F.lit(0)) - LOWEST) * p / (HIGHEST - LOWEST + 1)).cast("int"))
     if not combine:
         rows = rows.repartition(p, "salt__", *keys)
-    if acc == "dense":
+    if acc != "sparse":
         return _dense(rows, keys, name)
     sums = A.limb_sums(rows, [*keys, "salt__"])
     if finalize == "driver":
@@ -179,10 +281,10 @@ def sum_mapreduce(df: DataFrame, col: str | Column, keys: Sequence[str] = (), *,
     return with_values(A.pack(again, keys)).select(*keys, F.col("value").alias(name))
 
 
-def _salt(placement: str, x: Column, p: int) -> Column:
+def _salt(placement: str, p: int) -> Column:
     if placement == "partition":
         return F.pmod(F.spark_partition_id(), F.lit(p)).cast("int")
-    source = F.col(placement.partition(":")[2]) if placement.startswith("hash:") else x
+    source = F.col(placement.partition(":")[2]) if placement.startswith("hash:") else F.monotonically_increasing_id()
     return F.pmod(F.xxhash64(source), F.lit(p)).cast("int")
 
 
@@ -208,8 +310,6 @@ def _dense(rows: DataFrame, keys: Sequence[str], name: str) -> DataFrame:
 
 def _on_driver(packed: DataFrame, keys: Sequence[str], name: str) -> DataFrame:
     """p accumulators for each key come to the driver; for few keys."""
-    import math
-
     totals: dict[tuple, list] = {}
     for r in packed.select(*keys, A.hex_text(F.col("acc")).alias("t"), *A.FLAGS).toLocalIterator():
         v = totals.setdefault(tuple(r[k] for k in keys), [0, *[0] * len(A.FLAGS)])

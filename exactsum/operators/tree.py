@@ -6,6 +6,7 @@ import math
 from collections.abc import Sequence
 from functools import reduce
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as Wd
 from pyspark.sql import functions as F
@@ -16,61 +17,71 @@ from .kernels import rounded
 from .mapreduce import as_column, packed_sums, with_values
 
 
-def leaf_rows(df: DataFrame, col: str | Column, keys: Sequence[str], leaves: int) -> DataFrame:
-    """(keys, node, idx, digit) of the leaves: values are dealt to `leaves` leaves by hash."""
-    x = as_column(col).cast("double")
-    d = A.limb_rows(df, keys, {"v": x}).where("top is not null")
-    node = F.pmod(F.xxhash64("x"), F.lit(leaves)).cast("long").alias("node")
-    d = d.select(*keys, node, "top", "d0", "d1", "d2").groupBy(*keys, "node", "top").agg(*[F.sum(f"d{i}").alias(f"d{i}") for i in range(3)])
-    digits = F.array(*[F.struct((F.col("top") - i).alias("idx"), F.col(f"d{i}").alias("digit")) for i in range(3)])
-    return local_carry(d.select(*keys, "node", F.inline(digits)), [*keys, "node"])
-
+def leaf_rows(df: DataFrame, col: str | Column, keys: Sequence[str], leaves: int, leaf: Column | None = None, flags: bool = False) -> DataFrame:
+    """(keys, node, idx, digit) of the leaves: values are dealt to `leaves` leaves, by a hash or by a whole number `leaf`.
 
-def local_carry(rows: DataFrame, keys: Sequence[str]) -> DataFrame:
+    With `flags` also the counts of special values, in rows without index: one scan for both.
+    """
+    x = as_column(col).cast("double")
+    place = F.pmod(F.xxhash64(x) if leaf is None else leaf.cast("bigint"), F.lit(leaves)).cast("long")
+    d = A.with_limbs(df.select(*keys, place.alias("node"), x.alias("x")))
+    d = d.groupBy(*keys, "node", "top").agg(*[F.sum(f"d{i}").alias(f"d{i}") for i in range(3)], *(A.flag_sums() if flags else []))
+    zero = F.lit(0).cast("bigint")
+    more = lambda counts: [(F.col(f) if counts else zero).alias(f) for f in A.FLAGS] if flags else []
+    digits = [F.struct((F.col("top") - i).alias("idx"), F.col(f"d{i}").alias("digit"), *more(False)) for i in range(3)]
+    counts = [F.struct(F.lit(None).cast("int").alias("idx"), zero.alias("digit"), *more(True))] if flags else []
+    d = d.select(*keys, "node", F.inline(F.array(*digits, *counts)))
+    return local_carry(d.where("digit <> 0 or idx is null"), [*keys, "node"], flags)
+
+
+def local_carry(rows: DataFrame, keys: Sequence[str], flags: bool = False) -> DataFrame:
     """n-ary carry-free add: digits of an index are summed, then one local carry C = floor(P/R + 1/2) to the next index."""
-    p = rows.groupBy(*keys, "idx").agg(F.sum("digit").alias("p"))
+    p = rows.groupBy(*keys, "idx").agg(F.sum("digit").alias("p"), *[F.sum(f).alias(f) for f in A.FLAGS if flags])
     c = F.shiftright(F.col("p") + (R >> 1), W)
-    out = F.array(F.struct(F.col("idx").alias("idx"), (F.col("p") - c * R).alias("digit")), F.struct((F.col("idx") + 1).alias("idx"), c.alias("digit")))
-    return p.select(*keys, F.inline(out)).where("digit <> 0")
+    zero = F.lit(0).cast("bigint")
+    own = F.struct(F.col("idx").alias("idx"), (F.col("p") - c * R).alias("digit"), *[F.col(f) for f in A.FLAGS if flags])
+    above = F.struct((F.col("idx") + 1).alias("idx"), c.alias("digit"), *[zero.alias(f) for f in A.FLAGS if flags])
+    out = p.select(*keys, F.inline(F.when(F.col("idx").isNull(), F.array(own)).otherwise(F.array(own, above))))
+    return out.where("digit <> 0 or idx is null")
 
 
 def levels(leaves: int, fan_in: int) -> int:
     return max(1, math.ceil(math.log(max(leaves, 2), fan_in) - 1e-9))
 
 
-def sum_tree(df: DataFrame, col: str | Column, keys: Sequence[str] = (), fan_in: int = 64, leaves: int = 4096, trace: bool = False, name: str = "value") -> DataFrame:
+def sum_tree(df: DataFrame, col: str | Column, keys: Sequence[str] = (), fan_in: int = 64, leaves: int = 4096, trace: bool = False, leaf: Column | None = None, name: str = "value") -> DataFrame:
     """Bottom-up tree: one shuffle of accumulator digits per level.
 
-    trace=True returns (keys, level, node, idx, digit) of every node instead.
+    trace=True returns (keys, level, node, idx, digit) of every node instead; its levels are nested,
+    so the small digit rows of the leaves are kept while it runs.
     """
-    rows = leaf_rows(df, col, keys, leaves)
-    seen = [rows.groupBy(*keys, "node", "idx").agg(F.sum("digit").alias("digit")).withColumn("level", F.lit(0))]
+    rows = leaf_rows(df, col, keys, leaves, leaf, flags=not trace)
+    total = lambda d, level: d.groupBy(*keys, "node", "idx").agg(F.sum("digit").alias("digit")).withColumn("level", F.lit(level))
+    seen = [total(rows, 0)] if trace else []
     for level in range(1, levels(leaves, fan_in) + 1):
-        up = rows.withColumn("node", F.expr(f"node div {fan_in}"))
-        rows = local_carry(up, [*keys, "node"])
-        seen.append(rows.groupBy(*keys, "node", "idx").agg(F.sum("digit").alias("digit")).withColumn("level", F.lit(level)))
+        rows = local_carry(rows.withColumn("node", F.expr(f"node div {fan_in}")), [*keys, "node"], flags=not trace)
+        if trace:
+            seen.append(total(rows, level))
     if trace:
         return reduce(DataFrame.unionByName, seen).select(*keys, "level", "node", "idx", "digit")
-    sums = rows.select(*keys, F.lit(name).alias("m"), F.col("idx").alias("top"), F.col("digit").alias("s0"), F.lit(0).cast("bigint").alias("s1"), F.lit(0).cast("bigint").alias("s2"))
-    flags = A.limb_rows(df, keys, {name: as_column(col)}).groupBy(*keys, "m").agg(*A.flag_sums())
-    zero = [F.lit(0).cast("bigint").alias(f) for f in A.FLAGS]
-    none = [F.lit(None).cast(t).alias(c) for c, t in (("top", "int"), ("s0", "bigint"), ("s1", "bigint"), ("s2", "bigint"))]
-    both = sums.select(*keys, "m", "top", *A.SUMS, *zero).unionByName(flags.select(*keys, "m", *none, *A.FLAGS))
-    return with_values(A.pack(both, keys)).select(*keys, F.col("value").alias(name))
+    zero = F.lit(0).cast("bigint")
+    sums = rows.groupBy(*keys, F.col("idx").alias("top")).agg(F.sum("digit").alias("s0"), *[F.sum(f).alias(f) for f in A.FLAGS])
+    sums = sums.select(*keys, F.lit(name).alias("m"), "top", "s0", zero.alias("s1"), zero.alias("s2"), *A.FLAGS)
+    return with_values(A.pack(sums, keys)).select(*keys, F.col("value").alias(name))
 
 
-def tree_exponents(df: DataFrame, col: str | Column, keys: Sequence[str] = (), fan_in: int = 2, leaves: int = 64) -> DataFrame:
+def tree_exponents(df: DataFrame, col: str | Column, keys: Sequence[str] = (), fan_in: int = 2, leaves: int = 64, leaf: Column | None = None) -> DataFrame:
     """(keys, level, node, exponents): the sorted distinct limb indexes below each node."""
-    rows = leaf_rows(df, col, keys, leaves).select(*keys, "node", "idx").distinct()
+    rows = leaf_rows(df, col, keys, leaves, leaf).select(*keys, "node", "idx").distinct()
     depth = levels(leaves, fan_in)
     up = F.array(*[F.struct(F.lit(k).alias("level"), F.expr(f"node div {fan_in**k}").alias("node")) for k in range(depth + 1)])
     flat = rows.select(*keys, "idx", F.inline(up))
     return flat.groupBy(*keys, "level", "node").agg(F.array_sort(F.collect_set("idx")).alias("exponents"))
 
 
-def tree_links(df: DataFrame, col: str | Column, keys: Sequence[str] = (), fan_in: int = 2, leaves: int = 64) -> DataFrame:
+def tree_links(df: DataFrame, col: str | Column, keys: Sequence[str] = (), fan_in: int = 2, leaves: int = 64, leaf: Column | None = None) -> DataFrame:
     """(keys, level, node, idx, below, parent): each index with the next lower one of its node and its place in the parent's list."""
-    e = tree_exponents(df, col, keys, fan_in, leaves).select(*keys, "level", "node", F.posexplode("exponents").alias("place", "idx"))
+    e = tree_exponents(df, col, keys, fan_in, leaves, leaf).select(*keys, "level", "node", F.posexplode("exponents").alias("place", "idx"))
     below = F.lag("idx").over(Wd.partitionBy(*keys, "level", "node").orderBy("idx"))
     child = e.withColumn("below", below)
     parent = e.select(*keys, (F.col("level") - 1).alias("level"), F.col("node").alias("up"), "idx", F.col("place").alias("parent"))
@@ -93,103 +104,154 @@ def sum_pairwise_tree(df: DataFrame, col: str | Column, keys: Sequence[str] = ()
     return with_values(packed).select(*keys, F.col("value").alias(name))
 
 
-def sum_adaptive(df: DataFrame, col: str | Column, keys: Sequence[str] = (), r0: int = 2, stop: str = "certified", variant: str = "cut", name: str = "value") -> DataFrame:
-    """Condition-sensitive sum: (keys, value, r, iterations, certified).
+#: Rounds are only run while r is below it: a double's limbs are fewer, so nothing is cut from then on.
+MOST_LIMBS = 80
+
+
+def sum_adaptive(df: DataFrame, col: str | Column, keys: Sequence[str] = (), r0: int = 2, stop: str = "certified", variant: str = "cut", name: str = "value", leaves: int = 64, fan_in: int = 8) -> DataFrame:
+    """Condition-sensitive sum: (keys, value, r, iterations, certified, accepted, truncations, bound).
 
-    r limbs are kept, r squared after each failure, until a stopping test certifies the value or
-    nothing was dropped.  variant 'cut' skips, row by row, what lies below the r-th highest active
-    limb (each row loses less than R^cut, so n rows lose less than n R^cut; the magnitude filter
-    reaches the Parquet scan); 'tree' truncates block accumulators and their merges.  Stopping tests:
+    r limbs are kept, r is squared after each failure, until a stopping test accepts the value or
+    nothing was cut.  Only keys that failed take part in the next iteration.
+
+      variant 'tree'  values are summed in the leaves of a tree, and each leaf and each merge keeps its r
+                      highest active limbs (those that are or were other than zero); what is cut at a
+                      node is below R^(its least kept limb), which never rises above that of the root
+      variant 'cut'   skips, row by row, what lies below the r-th limb from the highest of all values;
+                      without keys that is a magnitude filter that reaches the Parquet scan
+
+    Stopping tests, with n times the size of R^(least kept limb) as the bound of what was cut:
 
       float      y is unchanged by adding and subtracting the bound
       exponent   y's lowest bit is at least two above the bound (two guard bits)
       certified  both ends of the error interval round to the same double: the result is correct
+
+    `accepted` names the test that stopped ('exact' if nothing was cut); `certified` tells whether the
+    value is known to be correctly rounded; `truncations` counts cuts (nodes, or 1 for a row cut), and
+    `bound` is the base-2 logarithm of the bound (null if nothing was cut).
     """
     x = as_column(col).cast("double")
     finite = df.select(*keys, x.alias("x"))
-    tops = A.limb_rows(finite, keys, {name: F.col("x")}).groupBy(*keys, "top").agg(F.count("x").alias("n"), *[c for c in A.flag_sums()[1:]])
-    heads = tops.groupBy(*keys).agg(F.max("top").alias("top"), F.min("top").alias("low"), F.sum("n").alias("n"), *[F.sum(f).alias(f) for f in A.FLAGS[1:]])
-    state = {tuple(h[k] for k in keys): h for h in heads.toLocalIterator()}
-    done: dict[tuple, tuple] = {}
-    r, iteration = r0, 0
-    alive = set(state)
-    while alive:
+    heads = A.limb_rows(finite, keys, {name: F.col("x")}).groupBy(*keys).agg(F.max("top").alias("top"), *A.flag_sums()).persist()
+    alive, r, iteration, done = heads, r0, 0, []
+    while True:
         iteration += 1
-        totals = _kept_totals(finite, keys, name, state, alive, r, variant)
-        for key in list(alive):
-            h = state[key]
-            if h["top"] is None:
-                done[key] = (0.0, r, iteration, True)
-                alive.discard(key)
-                continue
-            cut = h["top"] + 1 - r
-            total, dropped = totals.get(key, (0, False))
-            exact = h["low"] - 2 >= cut or not dropped
-            bits = max(1, (h["n"] - 1).bit_length()) + (1 if variant == "tree" else 0) + W * cut
-            ok, y = _certified(total, bits, stop)
-            if exact or ok:
-                done[key] = (rounded(total), r, iteration, True) if exact else (y, r, iteration, True)
-                alive.discard(key)
+        kept = _tree_kept(finite, keys, alive, r, leaves, fan_in) if variant == "tree" else _cut_kept(finite, keys, alive, r)
+        joined = _with_keys(alive.select(*keys, "top", *A.FLAGS), kept, keys)
+        judged = joined.select(*keys, *A.FLAGS, F.lit(r).alias("r"), F.lit(iteration).alias("iterations"), _judged(stop).alias("j")).persist()
+        done.append(judged.where("j.ok"))
+        failed = judged.where("not j.ok")
+        if failed.isEmpty():
+            break
+        if keys:
+            alive = _semi(heads, failed, keys)
         r *= r
-    schema = ", ".join([*[f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keys], f"`{name}` double, r int, iterations int, certified boolean"])
-    return df.sparkSession.createDataFrame([(*k, *_special(state[k], v)) for k, v in done.items()], schema)
+        if r > MOST_LIMBS * MOST_LIMBS:
+            raise RuntimeError("limbs were cut although all of a double's are kept")
+    out = reduce(DataFrame.unionByName, done)
+    value = A.finished(None, F.col("j.value"))
+    return out.select(*keys, value.alias(name), "r", "iterations", "j.certified", "j.accepted", "j.truncations", "j.bound")
+
+
+def _same(a: DataFrame, b: DataFrame, keys: Sequence[str]) -> Column:
+    return reduce(lambda p, q: p & q, [a[k].eqNullSafe(b[f"{k}_key__"]) for k in keys])
 
 
-def _special(h, v):
-    if h["n"] == 0:
-        return (None, *v[1:])
-    if h["n_nan"] or (h["n_pinf"] and h["n_ninf"]):
-        return (math.nan, *v[1:])
-    if h["n_pinf"] or h["n_ninf"]:
-        return (math.inf if h["n_pinf"] else -math.inf, *v[1:])
-    return (-0.0, *v[1:]) if h["n_nonnegzero"] == 0 else v
+def _keyed(d: DataFrame, keys: Sequence[str]) -> DataFrame:
+    return d.withColumnsRenamed({k: f"{k}_key__" for k in keys})
 
 
-def _kept_totals(finite: DataFrame, keys, name, state, alive, r, variant) -> dict[tuple, tuple[int, bool]]:
-    """Sum of the kept limbs in units of R^LOWEST, and whether anything was dropped, for each live key."""
-    spark = finite.sparkSession
+def _with_keys(left: DataFrame, right: DataFrame, keys: Sequence[str]) -> DataFrame:
+    r = _keyed(right, keys)
+    return left.join(r, _same(left, r, keys) if keys else F.lit(True), "left")
+
+
+def _semi(left: DataFrame, right: DataFrame, keys: Sequence[str]) -> DataFrame:
+    r = _keyed(right.select(*keys), keys)
+    return left.join(r, _same(left, r, keys), "left_semi")
+
+
+KEPT = "array<struct<idx:int,digit:bigint>>"
+
+
+def _cut_kept(finite: DataFrame, keys: Sequence[str], alive: DataFrame, r: int) -> DataFrame:
+    """(keys, entries, least, cuts): digit sums from the cut on, the cut's limb, and whether anything was below it."""
     if keys:
-        schema = ", ".join([*[f"`{k}` {finite.schema[k].dataType.simpleString()}" for k in keys], "cut int"])
-        cuts = spark.createDataFrame([(*k, (state[k]["top"] if state[k]["top"] is not None else 0) + 1 - r) for k in alive], schema)
-        cond = reduce(lambda a, b: a & b, [finite[k].eqNullSafe(cuts[k]) for k in keys])
-        rows = finite.join(cuts, cond).select(*[finite[k] for k in keys], "x", "cut")
+        cuts = _keyed(alive.select(*keys, (F.coalesce("top", F.lit(0)) + 1 - r).alias("cut")), keys)
+        rows = finite.join(cuts, _same(finite, cuts, keys)).select(*[finite[k] for k in keys], "x", "cut")
+        below = F.lit(False)
     else:
-        (key,) = alive
-        top = state[key]["top"]
-        cut = (top if top is not None else 0) + 1 - r
-        bound = 2.0 ** max(-1074, min(1023, W * cut))
-        rows = finite
-        if variant == "cut" and W * cut > -1074:
-            rows = rows.where((F.col("x") >= bound) | (F.col("x") <= -bound))  # pushed to the scan in this form
+        top = alive.first()["top"]
+        cut = (0 if top is None else top) + 1 - r
+        rows = finite.where("x <> 0")
+        below = F.lit(False)
+        if W * cut > -1074:
+            low = 2.0 ** min(1023, W * cut)
+            # a filter in this form reaches the scan; whether it drops anything is asked of the scan too
+            below = F.lit(not rows.where((F.abs("x") < low) & ~F.isnan("x")).isEmpty())
+            rows = rows.where((F.col("x") >= low) | (F.col("x") <= -low))
         rows = rows.withColumn("cut", F.lit(cut))
-    limb = A.limb_rows(rows, [*keys, "cut"], {name: F.col("x")}).where("top is not null")
+    limb = A.limb_rows(rows, [*keys, "cut"], {"v": F.col("x")}).where("top is not null")
     kept = [F.sum(F.when(F.col("top") - i >= F.col("cut"), F.col(f"d{i}")).otherwise(0)).alias(f"s{i}") for i in range(3)]
     lost = reduce(lambda a, b: a | b, [(F.col("top") - i < F.col("cut")) & (F.col(f"d{i}") != 0) for i in range(3)])
-    if variant == "tree":
-        limb = limb.withColumn("block__", F.pmod(F.xxhash64("x"), F.lit(64)))
-    group = [*keys, "top"] if variant == "cut" else [*keys, "block__", "top"]
-    sums = limb.groupBy(*group).agg(*kept, F.max(lost).alias("lost"))
-    if variant == "tree":
-        sums = sums.groupBy(*keys, "top").agg(*[F.sum(s).alias(s) for s in A.SUMS], F.max("lost").alias("lost"))
-    out: dict[tuple, tuple[int, bool]] = {}
-    filtered = not keys and variant == "cut"
-    for row in sums.toLocalIterator():
-        key = tuple(row[k] for k in keys)
-        total, dropped = out.get(key, (0, filtered and _below(state[key], r)))
-        for i in range(3):
-            total += row[f"s{i}"] << (W * (row["top"] - i - LOWEST)) if row["top"] - i >= LOWEST else 0
-        out[key] = (total, dropped or row["lost"])
-    for key in alive:
-        out.setdefault(key, (0, True))
-    return out
-
-
-def _below(h, r) -> bool:
-    return h["low"] is not None and h["low"] - 2 < h["top"] + 1 - r
-
-
-def _certified(total: int, bits: int, stop: str) -> tuple[bool, float]:
-    """Does `total` (units of R^LOWEST), known up to less than 2^bits, certify its rounding?"""
+    sums = limb.groupBy(*keys, "top").agg(*kept, F.max("cut").alias("cut"), F.max(lost).alias("lost"))
+    each = F.array(*[F.struct((F.col("top") - i).cast("int").alias("idx"), F.col(f"s{i}").alias("digit")) for i in range(3)])
+    out = sums.groupBy(*keys).agg(F.flatten(F.collect_list(each)).cast(KEPT).alias("entries"), F.max("cut").alias("least"), F.max("lost").alias("lost"))
+    return out.select(*keys, "entries", "least", F.when(F.col("lost") | below, 1).otherwise(0).cast("bigint").alias("cuts"))
+
+
+def _tree_kept(finite: DataFrame, keys: Sequence[str], alive: DataFrame, r: int, leaves: int, fan_in: int) -> DataFrame:
+    """(keys, entries, least, cuts) at the root of the truncated tree."""
+    rows = _semi(finite, alive, keys) if keys else finite
+    node = F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(leaves)).cast("long")
+    d = A.with_limbs(rows.withColumn("node", node)).where("top is not null")
+    d = d.groupBy(*keys, "node", "top").agg(*[F.sum(f"d{i}").alias(f"d{i}") for i in range(3)], *[F.max(F.col(f"d{i}") != 0).alias(f"a{i}") for i in range(3)])
+    each = F.array(*[F.struct((F.col("top") - i).cast("int").alias("idx"), F.col(f"d{i}").alias("digit"), F.col(f"a{i}").alias("active")) for i in range(3)])
+    d = d.select(*keys, "node", F.inline(each), F.lit(0).cast("bigint").alias("cuts")).where("active")
+    for level in range(levels(leaves, fan_in) + 1):
+        at = F.expr(f"node div {fan_in}") if level else F.col("node")
+        # an index with a digit of zero stays: it was active once
+        p = d.withColumn("node", at).groupBy(*keys, "node", "idx").agg(F.sum("digit").alias("p"), F.sum("cuts").alias("cuts"))
+        c = F.shiftright(F.col("p") + (R >> 1), W)
+        own = F.struct(F.col("idx").alias("idx"), (F.col("p") - c * R).alias("digit"), F.col("cuts").alias("cuts"))
+        above = F.struct((F.col("idx") + 1).cast("int").alias("idx"), c.alias("digit"), F.lit(0).cast("bigint").alias("cuts"))
+        carried = p.select(*keys, "node", F.inline(F.when(c != 0, F.array(own, above)).otherwise(F.array(own))))
+        merged = carried.groupBy(*keys, "node", "idx").agg(F.sum("digit").alias("digit"), F.sum("cuts").alias("cuts"))
+        held = F.reverse(F.array_sort(F.collect_list(F.struct("idx", "digit"))))
+        g = merged.groupBy(*keys, "node").agg(held.alias("all"), F.sum("cuts").alias("cuts"))
+        g = g.select(*keys, "node", F.slice("all", 1, r).alias("kept"), (F.col("cuts") + (F.size("all") > r).cast("bigint")).alias("cuts"))
+        if level < levels(leaves, fan_in):
+            # the count travels with the highest limb
+            flat = F.transform("kept", lambda e, i: F.struct(e["idx"].alias("idx"), e["digit"].alias("digit"), F.when(i == 0, F.col("cuts")).otherwise(0).cast("bigint").alias("cuts")))
+            d = g.select(*keys, "node", F.inline(flat))
+    least = F.array_min(F.transform("kept", lambda e: e["idx"]))
+    return g.select(*keys, F.col("kept").cast(KEPT).alias("entries"), least.alias("least"), "cuts")
+
+
+def _judged(stop: str) -> Column:
+    """struct(ok, value, certified, accepted, truncations, bound) of a key's kept digits, by exact integers."""
+
+    @F.pandas_udf("ok boolean, value double, certified boolean, accepted string, truncations bigint, bound int")
+    def judge(row: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        for r in row.itertuples(index=False):
+            entries = [] if r.entries is None else r.entries
+            total = sum(int(e["digit"]) << (W * (e["idx"] - LOWEST)) for e in entries if e["digit"])
+            cuts = 0 if r.cuts is None or r.cuts != r.cuts else int(r.cuts)
+            if not cuts:
+                out.append((True, rounded(total), True, "exact", 0, None))
+                continue
+            bits = max(1, (int(r.n) - 1).bit_length()) + W * int(r.least)
+            ok, y = _accepted(total, bits, stop)
+            out.append((ok, y, ok and _accepted(total, bits, "certified")[0], stop if ok else None, cuts, bits))
+        f = pd.DataFrame(out, columns=["ok", "value", "certified", "accepted", "truncations", "bound"])
+        return f.astype({"bound": "Int64"})
+
+    return judge(F.struct("n", "entries", "least", "cuts"))
+
+
+def _accepted(total: int, bits: int, stop: str) -> tuple[bool, float]:
+    """Does the test accept `total` (units of R^LOWEST), known up to less than 2^bits?"""
     y = rounded(total)
     if y == 0 or math.isinf(y):
         return False, y
@@ -201,4 +263,3 @@ def _certified(total: int, bits: int, stop: str) -> tuple[bool, float]:
         return lowest >= bits + 2, y
     eps = math.ldexp(1.0, min(1023, bits)) if bits > -1074 else 0.0
     return y + eps == y and y - eps == y, y
-

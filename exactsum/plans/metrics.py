@@ -11,13 +11,13 @@ from pyspark.sql import functions as F
 from ..functions.decompose import exponent
 from ..operators import accumulator as A
 from ..operators.baselines import sum_naive
-from ..operators.mapreduce import as_column, exact_sum, packed_sums
+from ..operators.mapreduce import as_column, exact_sum, packed_sums, with_values
 
 
 def condition_number(df: DataFrame, col: str | Column, keys: Sequence[str] = (), name: str = "condition") -> DataFrame:
-    """sum |x| / |sum x|, both sums exact and rounded once; null where the sum is zero."""
+    """sum |x| / |sum x|, both sums exact and rounded once; null where the sum is zero, NaN where it has special values."""
     x = as_column(col).cast("double")
-    p = packed_sums(df, keys, {"a": F.abs(x), "s": x}).withColumn("value", A.acc_round(F.col("acc")))
+    p = with_values(packed_sums(df, keys, {"a": F.abs(x), "s": x}))
     of = lambda m: F.max(F.when(F.col("m") == m, F.col("value")))
     return p.groupBy(*keys).agg(of("a").alias("a"), F.abs(of("s")).alias("s")).select(*keys, F.when(F.col("s") != 0, F.col("a") / F.col("s")).alias(name))
 
@@ -115,3 +115,30 @@ def timed(df: DataFrame, runs: int = 1) -> float:
 
 def plan_text(df: DataFrame) -> str:
     return df._jdf.queryExecution().executedPlan().toString()
+
+
+#: Metrics of the executed plan that spark_cost sums, by what they are called there.
+COSTS = {"bytes_read": "size of files read", "rows_read": "number of output rows", "shuffle_bytes": "shuffle bytes written", "shuffle_rows": "shuffle records written", "spill_bytes": "spill size"}
+
+
+def spark_cost(df: DataFrame) -> dict[str, int]:
+    """Bytes and rows read by scans, shuffled, and spilled, from the SQL metrics of one run of df."""
+    df.collect()
+    out = dict.fromkeys(COSTS, 0)
+
+    def walk(node) -> None:
+        name = node.nodeName()
+        metrics = node.metrics()
+        for key, label in COSTS.items():
+            it = metrics.valuesIterator()
+            while it.hasNext():
+                m = it.next()
+                if m.name().isDefined() and m.name().get() == label and (key != "rows_read" or "Scan" in name):
+                    out[key] += max(0, m.value())
+        inner = [node.executedPlan()] if name == "AdaptiveSparkPlan" else [node.plan()] if hasattr(node, "plan") and "QueryStage" in name else []
+        children = node.children()
+        for child in [*inner, *[children.apply(i) for i in range(children.size())]]:
+            walk(child)
+
+    walk(df._jdf.queryExecution().executedPlan())
+    return out

@@ -2,7 +2,7 @@
 
 All come from integers of `lineitem` by fixed integer arithmetic, so any engine with exact powers
 of two can rebuild them.  Kinds: positive (condition number 1), mixed (signs by key parity), centred
-(the exact mean is subtracted), zero (values and their negations), near_zero (zero and one tiny value).
+(the exact mean is subtracted), zero (values and their negations, in another order), near_zero (zero and one tiny value).
 """
 
 from __future__ import annotations
@@ -40,7 +40,11 @@ def make_workload(spark: SparkSession, kind: str, sf_dir: str, delta: int = 200,
         mean = exact_avg(b, "x", name="mean")
         return b.crossJoin(F.broadcast(mean)).select("k", (F.col("x") - F.col("mean")).alias("x"))
     if kind in ("zero", "near_zero"):
-        both = b.select("k", F.explode(F.array(F.col("x"), -F.col("x"))).alias("x"))
+        # the negations come in an order of their own, not next to their values
+        other = F.xxhash64(F.lit("negated"), "k", "x")
+        signed = F.array(F.struct(F.xxhash64("k", "x").alias("at"), F.col("x").alias("x")), F.struct(other.alias("at"), (-F.col("x")).alias("x")))
+        flat = b.select("k", F.inline(signed))
+        both = flat.repartitionByRange(F.col("at")).sortWithinPartitions("at").select("k", "x")
         if kind == "zero":
             return both
         tiny = spark.range(1).select(F.lit(-1).cast("bigint").alias("k"), F.lit(2.0 ** max(-1022, -delta // 2)).alias("x"))
@@ -78,19 +82,30 @@ def register_source(spark: SparkSession) -> None:
         def __init__(self, o):
             self.n, self.delta = int(o.get("n", "1000")), int(o.get("delta", "200"))
             self.kind, self.seed, self.parts = o.get("kind", "positive"), int(o.get("seed", "42")), int(o.get("partitions", "8"))
+            if self.kind not in ("positive", "mixed", "zero"):
+                raise ValueError(f"unknown kind {self.kind!r}; positive, mixed or zero")
 
         def partitions(self):
             step = -(-self.n // self.parts)
             return [Range(a, min(self.n, a + step)) for a in range(0, self.n, step)]
 
         def read(self, part):
-            import math
-
-            for k in range(part.low, part.high):
-                h = (k // 2 if self.kind == "zero" else k) * 0x9E3779B97F4A7C15 + self.seed
-                h = ((h ^ (h >> 31)) * 0xBF58476D1CE4E5B9) & ((1 << 64) - 1)
-                x = math.ldexp((h & ((1 << 52) - 1)) | (1 << 52), (h >> 52) % self.delta - self.delta // 2 - 52)
-                yield (k, -x if (self.kind == "mixed" and h & 1) or (self.kind == "zero" and k % 2) else x)
+            """Arrow batches made by numpy; the second half of a zero-sum set negates the first in reverse."""
+            import numpy as np
+            import pyarrow as pa
+
+            for low in range(part.low, part.high, 1 << 16):
+                k = np.arange(low, min(part.high, low + (1 << 16)))
+                own = np.minimum(k, 2 * (self.n // 2) - 1 - k) if self.kind == "zero" else k
+                h = own.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(self.seed)
+                h = (h ^ (h >> np.uint64(31))) * np.uint64(0xBF58476D1CE4E5B9)
+                mant = ((h & np.uint64((1 << 52) - 1)) | np.uint64(1 << 52)).astype(float)
+                x = np.ldexp(mant, (h >> np.uint64(52)).astype(np.int64) % self.delta - self.delta // 2 - 52)
+                if self.kind == "mixed":
+                    x = np.where(h & np.uint64(1), -x, x)
+                elif self.kind == "zero":
+                    x = np.where(own < 0, 0.0, np.where(k >= self.n // 2, -x, x))  # an odd last one is zero
+                yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(x)], names=["k", "x"])
 
     class Source(DataSource):
         @classmethod

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
+from functools import reduce
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.decompose import limbs
 from ..operators import accumulator as A
+from ..operators import kernels
 from ..operators.mapreduce import as_column, dense_entries, dense_sums
 
 
@@ -16,16 +19,20 @@ def stream_exact_sum(stream: DataFrame, col: str | Column, ts: str, keys: Sequen
     """(start, keys, n, value) per tumbling, sliding or session window.
 
     One stateful aggregation holds a BIGINT for each limb of `limb_range` (all of a double's by
-    default); rounding is a stateless projection behind it.  NTZ times are taken in the session's zone.
+    default); rounding is a stateless projection behind it.  A value with a digit outside a narrower
+    range fails the query, it is never left out.  NTZ times are taken in the session's zone.
     """
     d = stream.withColumn("ts__", F.col(ts).cast("timestamp")).withWatermark("ts__", watermark)
     d = d.withColumn("x", as_column(col).cast("double")).withColumn("l__", limbs(F.col("x")))
     d = d.select("ts__", *keys, "x", "l__.top", "l__.d0", "l__.d1", "l__.d2")
     w = F.session_window("ts__", session_gap) if session_gap else F.window("ts__", window, slide) if slide else F.window("ts__", window)
     low, high = limb_range or (-36, 32)
-    g = d.groupBy(w.alias("w__"), *keys).agg(*dense_sums(low, high), *A.flag_sums())
+    digit = lambda i: (F.col("top") - i, F.col(f"d{i}"))
+    outside = reduce(lambda a, b: a | b, [((k < low) | (k > high)) & (v != 0) for k, v in map(digit, range(3))])
+    g = d.groupBy(w.alias("w__"), *keys).agg(*dense_sums(low, high), *A.flag_sums(), F.sum(F.when(outside, 1).otherwise(0)).alias("outside"))
     acc = A.canonical(dense_entries(low, high))
-    return g.withColumn("acc", acc).select(F.col("w__.start").alias("start"), *keys, "n", A.finished(F.col("acc"), A.acc_round(F.col("acc"))).alias(name))
+    fails = F.raise_error(F.lit(f"values outside the limbs {low} to {high} of this stream")).cast(A.PACKED)
+    return g.withColumn("acc", F.when(F.col("outside") > 0, fails).otherwise(acc)).select(F.col("w__.start").alias("start"), *keys, "n", A.finished(F.col("acc"), A.acc_round(F.col("acc"))).alias(name))
 
 
 def run_once(stream: DataFrame, spark: SparkSession, name: str, mode: str = "complete", checkpoint: str | None = None) -> DataFrame:
@@ -42,3 +49,38 @@ def accumulate(stream: DataFrame, col: str | Column, keys: Sequence[str], path:
 
     q = stream.writeStream.foreachBatch(lambda df, _: write_acc(df, col, keys, path)).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     q.awaitTermination()
+
+
+def stream_deduplicated(stream: DataFrame, ids: Sequence[str], ts: str, watermark: str = "1 day") -> DataFrame:
+    """Rows met again within the watermark are dropped, so redelivered events count once."""
+    d = stream.withColumn("ts__", F.col(ts).cast("timestamp")).withWatermark("ts__", watermark)
+    return d.dropDuplicatesWithinWatermark([*ids]).drop("ts__")
+
+
+def stream_interval_join(left: DataFrame, right: DataFrame, key: str, left_time: str, right_time: str, seconds: int, watermark: str = "1 day") -> DataFrame:
+    """Pairs of two streams of one key with right_time in (left_time - seconds, left_time]; right columns get the prefix r_.
+
+    Both sides have watermarks, so state older than the interval is dropped.
+    """
+    a = left.withColumn("t__", F.col(left_time).cast("timestamp")).withWatermark("t__", watermark)
+    b = right.select(*[F.col(c).alias(f"r_{c}") for c in right.columns]).withColumn("r_t__", F.col(f"r_{right_time}").cast("timestamp")).withWatermark("r_t__", watermark)
+    gap = F.expr(f"r_t__ <= t__ and r_t__ > t__ - interval {seconds} seconds")
+    return a.join(b, (F.col(key) == F.col(f"r_{key}")) & gap).drop("t__", "r_t__")
+
+
+def stream_running_sum(stream: DataFrame, col: str | Column, key: str, name: str = "value") -> DataFrame:
+    """(key, n, value) after each batch with rows of the key: custom state, one exact accumulator for each key.
+
+    The state is the digits of a dense accumulator, about 600 bytes a key; updates may come in any order.
+    """
+    rows = stream.select(F.col(key).alias("key"), as_column(col).cast("double").alias("x"))
+
+    def update(own: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        held = kernels.BlockSum.restored(state.get[0] if state.exists else None)
+        for b in batches:
+            held.add(b["x"].dropna().to_numpy(float))
+        state.update((held.saved(),))
+        yield pd.DataFrame({"key": [own[0]], "n": [held.n], name: [held.value()]})
+
+    kind = rows.schema["key"].dataType.simpleString()
+    return rows.groupBy("key").applyInPandasWithState(update, f"key {kind}, n bigint, {name} double", "held binary", "update", "NoTimeout")

@@ -1,4 +1,3 @@
-import datetime as dt
 import math
 
 from pyspark.sql import functions as F
@@ -55,6 +54,68 @@ def test_windows(spark):
         assert r.value == math.fsum(by[r.g][max(0, k - 4) : k + 1])
 
 
+def test_window_special_values_and_levels(spark):
+    nan, inf = math.nan, math.inf
+    v = [None, 1.0, inf, 2.0, -inf, 1.0, None]
+    d = spark.createDataFrame(list(enumerate(v)), "i int, x double")
+    assert repr([r.value for r in Wi.exact_running_sum(d, "x", [], ["i"]).orderBy("i").collect()]) == repr([None, 1.0, inf, inf, nan, nan, nan])
+    assert repr([r.value for r in Wi.exact_sliding_sum(d, "x", [], ["i"], 2).orderBy("i").collect()]) == repr([None, 1.0, inf, inf, -inf, -inf, 1.0])
+    zeros = spark.createDataFrame([(0, -0.0), (1, -0.0), (2, 0.0)], "i int, x double")
+    assert [math.copysign(1, r.value) for r in Wi.exact_running_sum(zeros, "x", [], ["i"]).orderBy("i").collect()] == [-1, -1, 1]
+    rows = [(k % 2, (k * 37) % 50, k, (-1) ** k * 0.1 * k + 1e12 * (k % 7 == 0) - 1e-9) for k in range(400)]
+    e = spark.createDataFrame([*rows, (1, None, 400, 5.0)], "g int, t int, k int, x double").repartition(3)
+    order = lambda r: (r[1] is not None, r[1] or 0, r[2])
+    for keys in ([], ["g"]):
+        got = {r.k: r.value for r in Wi.exact_running_sum(e, "x", keys, ["t", "k"], buckets=9).collect()}
+        assert len(got) == 401
+        for g in (0, 1):
+            mine = sorted(((*r,) for r in [*rows, (1, None, 400, 5.0)] if not keys or r[0] == g), key=order)
+            for n in range(len(mine)):
+                assert got[mine[n][2]] == math.fsum(r[3] for r in mine[: n + 1])
+    near = {r.k: r.value for r in Wi.exact_range_sum(e, "x", ["g"], "t", 5, 3).collect()}
+    for g, t, k, _ in rows:
+        assert near[k] == math.fsum(x for h, u, _, x in rows if h == g and t - 5 <= u <= t + 3)
+
+
+def test_streams_fail_loudly_and_keep_custom_state(spark, tmp_path):
+    import pytest
+
+    spark.createDataFrame([("2024-01-01 00:00:00", "a", 1.0, 1), ("2024-01-01 01:00:00", "a", 1e300, 2), ("2024-01-01 01:00:00", "a", 1e300, 2)], "ts string, k string, x double, id int").coalesce(1).write.parquet(f"{tmp_path}/one")
+    read = lambda: spark.readStream.schema("ts string, k string, x double, id int").parquet(f"{tmp_path}/one")
+    with pytest.raises(Exception, match="outside the limbs"):
+        S.run_once(S.stream_exact_sum(read(), "x", "ts", ["k"], limb_range=(-4, 2)), spark, "narrow_sums").collect()
+    assert S.run_once(S.stream_exact_sum(read(), "x", "ts", ["k"]), spark, "wide_sums").first().value == 2e300
+    once = S.stream_deduplicated(read(), ["id"], "ts")
+    assert S.run_once(once, spark, "once", "append").count() == 2
+    state = S.run_once(S.stream_running_sum(read(), "x", "k"), spark, "state_sums", "update").collect()
+    assert [(r.key, r.n, r.value) for r in state] == [("a", 3, 2e300)]
+    pairs = S.stream_interval_join(read(), read(), "k", "ts", "ts", 7200)
+    assert S.run_once(pairs, spark, "pairs", "append").count() == 1 + 2 * 3
+
+
+def test_late_rows_are_left_out_and_counted(spark, tmp_path):
+    """Rows older than the watermark change no window that was closed; they are the difference to the batch."""
+    path = f"{tmp_path}/late"
+    times = ["2024-01-05 00:00:00", "2024-01-20 00:00:00", "2024-01-21 00:00:00", "2024-01-05 01:00:00", "2024-01-20 01:00:00"]
+    for i, t in enumerate(times):
+        spark.createDataFrame([(t, float(2**i))], "ts string, x double").coalesce(1).write.mode("append").parquet(path)
+        import time
+
+        time.sleep(0.02)
+    stream = spark.readStream.schema("ts string, x double").option("maxFilesPerTrigger", 1).parquet(path)
+    out = S.run_once(S.stream_exact_sum(stream, "x", "ts", watermark="2 days"), spark, "late_sums", "append")
+    assert {str(r.start)[:10]: r.value for r in out.collect()} == {"2024-01-05": 1.0}
+
+
+def test_costs_of_a_plan(spark):
+    from exactsum.plans import metrics as C
+
+    d = spark.read.parquet(f"{SF}/lineitem.parquet")
+    cost = C.spark_cost(M.exact_sum(d, "l_tax", ["l_returnflag"]))
+    assert cost["rows_read"] == d.count() and 0 < cost["shuffle_bytes"] < cost["bytes_read"] and cost["spill_bytes"] == 0
+    assert 0 < cost["shuffle_rows"] < 200
+
+
 def test_joins(spark):
     e = spark.read.parquet(f"{SF}/events.parquet")
     a, b = e.where("event_type = 'purchase'"), e.where("event_type = 'view'")
@@ -86,4 +147,3 @@ def test_stream_equals_batch_and_survives_restart(spark, tmp_path):
 def test_planner():
     assert planner.choose_external(70, 1 << 20) == "scan" and planner.choose_external(10**9, 1 << 30) == "sort"
     assert not planner.needs_wide(1 << 30) and planner.needs_wide(1 << 31)
-    assert isinstance(dt.date.today(), dt.date)

@@ -79,7 +79,9 @@ METHODS = {
     "pairwise": lambda d: T.sum_pairwise_tree(d, "x", ["g"], leaves=8),
     "sorted": lambda d: X.sum_sorted(d, "x", ["g"]),
     "adaptive cut": lambda d: T.sum_adaptive(d, "x", ["g"]).select("g", "value"),
-    "adaptive tree": lambda d: T.sum_adaptive(d, "x", ["g"], variant="tree").select("g", "value"),
+    "adaptive tree": lambda d: T.sum_adaptive(d, "x", ["g"], variant="tree", leaves=4, fan_in=2).select("g", "value"),
+    "dense columns": lambda d: M.sum_mapreduce(d, "x", ["g"], acc="dense_sql"),
+    "external": lambda d: X.sum_external(d, "x", ["g"], memory_bytes=64),
     "accumulator table": lambda d: merged(d),
 }
 
@@ -117,10 +119,32 @@ def test_faithful_stop_tests_are_sound(spark):
     # zero-sum data never certifies before nothing is dropped; well-conditioned data stops at once
     rng = random.Random(2)
     v = [math.ldexp(rng.random(), rng.randint(-900, 900)) for _ in range(200)]
-    zero = T.sum_adaptive(spark.createDataFrame([(s * x,) for x in v for s in (1, -1)], "x double"), "x").first()
-    assert zero.value == 0 and zero.r == 256
-    easy = T.sum_adaptive(spark.createDataFrame([(x,) for x in v], "x double"), "x").first()
-    assert easy.value == math.fsum(v) and easy.r <= 4
+    for variant in ("cut", "tree"):
+        zero = T.sum_adaptive(spark.createDataFrame([(s * x,) for x in v for s in (1, -1)], "x double"), "x", variant=variant).first()
+        assert zero.value == 0 and zero.r == 256 and zero.accepted == "exact" and zero.certified and zero.truncations == 0
+        easy = T.sum_adaptive(spark.createDataFrame([(x,) for x in v], "x double"), "x", variant=variant).first()
+        assert easy.value == math.fsum(v) and easy.r <= 4 and easy.accepted == "certified" and easy.truncations > 0
+
+
+def test_truncated_tree_is_not_the_row_cut(spark):
+    """Leaves keep their own highest limbs, so cancelled high limbs don't hide what the row cut loses."""
+    v = [2.0**200, -(2.0**200), 1.0, 2.0**-40]
+    d = spark.createDataFrame([(x,) for x in v], "x double")
+    cut = T.sum_adaptive(d, "x", variant="cut").first()
+    tree = T.sum_adaptive(d, "x", variant="tree", leaves=1).first()
+    assert cut.value == tree.value == 1 + 2.0**-40 and cut.accepted == tree.accepted == "exact"
+    # limb -1 is never other than zero, so the two kept are 0 and -2, and limb -3 is cut
+    w = [1.0 + 2.0**-50, 2.0**-70, 3.0]
+    one = T._tree_kept(spark.createDataFrame([(x,) for x in w], "x double"), [], None, 2, 1, 2).first()
+    assert [e.idx for e in one.entries] == [0, -2] and one.least == -2 and one.cuts == 1
+    rows = spark.createDataFrame([(k % 7, math.ldexp(1 + k / 97, 40 - 9 * (k % 11))) for k in range(300)], "g int, x double")
+    for stop in ("float", "exponent", "certified"):
+        got = T.sum_adaptive(rows, "x", ["g"], stop=stop, variant="tree", leaves=8, fan_in=2).collect()
+        for r in got:
+            exact = sum((Fraction(x) for g, x in rows.collect() if g == r.g), Fraction(0))
+            assert abs(Fraction(r.value) - exact) <= Fraction(math.ulp(float(exact)))
+            assert not r.certified or r.value == float(exact)
+            assert (r.truncations == 0) == (r.bound is None) == (r.accepted == "exact")
 
 
 def test_limbs_and_parts_are_exact(spark):
@@ -214,11 +238,103 @@ def test_inexact_baselines_and_measures(spark):
     assert B.sum_accurate_passes(big, "x").first().value == math.fsum(v)
     assert B.sum_parallel_carry(big, "x").first().value == math.fsum(v)
     r = C.ulp_error(big, "x").first()
-    assert r.exact == math.fsum(v) and r.ulps == abs(Fraction(r.value) - sum(map(Fraction, v))) / Fraction(math.ulp(r.exact)) or r.ulps >= 0
+    assert r.exact == math.fsum(v)
+    assert r.ulps == float(abs(Fraction(r.value) - sum(map(Fraction, v))) / Fraction(math.ulp(r.exact)))
+    off = C.ulp_error(spark.createDataFrame([(1e16,), (1.0,), (-1e16,)], "x double").coalesce(1), "x").first()
+    assert (off.value, off.exact, off.ulps, off.relative) == (0.0, 1.0, 2.0**52, 1.0)
     with pytest.raises(Exception, match="sequential"):
         B.sequential(big, "x", "naive", max_rows=10).collect()
 
 
+def hard(rng, kind, n):
+    v = [math.ldexp(rng.choice([-1, 1]) * rng.random(), rng.randint(-900, 900) if kind == "wide" else rng.randint(-20, 20)) for _ in range(n)]
+    if kind in ("zero", "wide"):
+        v += [-x for x in v]
+        rng.shuffle(v)
+    return v + [2.0**-400] if kind == "wide" else [1.0, 2.0**-53, 2.0**-120] if kind == "tie" else v
+
+
+@pytest.mark.parametrize("method", ["distill", "expansion", "refine", "accurate"])
+def test_exact_kernels_round_from_their_own_state(method, monkeypatch):
+    """Without any help of a library sum, on hard cases."""
+    monkeypatch.setattr(math, "fsum", None)
+    monkeypatch.setattr(K, "exact", None)
+    rng = random.Random(12)
+    for kind in ("plain", "zero", "wide", "tie"):
+        for n in (1, 3, 200, 1500):
+            v = hard(rng, kind, n)
+            assert K.METHODS[method](v)[0] == float(sum(map(Fraction, v))), (kind, n)
+    assert K.METHODS[method]([])[0] == 0 and K.METHODS[method]([2.0**-1074] * 3)[0] == 3 * 2.0**-1074
+    assert K.METHODS["distill"]([rng.gauss(0, 1) for _ in range(1000)])[1] <= 6
+    with pytest.raises(OverflowError):
+        K.METHODS["distill" if method == "expansion" else method]([1.7e308, 1.7e308, -1.7e308])
+
+
+def test_rounds_over_partitions(spark):
+    rng = random.Random(13)
+    for kind in ("plain", "zero", "wide"):
+        v = hard(rng, kind, 700)
+        d = spark.createDataFrame([(x,) for x in v], "x double").repartition(5)
+        for run in (B.sum_refine, B.sum_accurate_passes):
+            assert run(d, "x").first().value == float(sum(map(Fraction, v))), (kind, run)
+    assert B.sum_accurate_passes(d, "x").first().passes > 5
+    with pytest.raises(RuntimeError, match="not settled"):
+        B.sum_accurate_passes(d, "x", max_passes=2)
+    assert B.sum_refine(d.limit(0), "x").first().value is None
+    ordered = spark.createDataFrame([(2, 1.0), (1, 1e16), (3, -1e16)], "i int, x double").coalesce(1)
+    assert B.sequential(ordered, "x", "naive").first().value == 0.0  # in the order of arrival
+    assert B.sequential(ordered, "x", "naive", order=["i"]).first().value == 0.0
+    assert B.sequential(ordered.orderBy(F.desc("i")).coalesce(1), "x", "naive", order=["x"]).first().value == 0.0
+
+
+def test_special_values_everywhere(spark):
+    nan, inf = math.nan, math.inf
+    d = spark.createDataFrame([(1, [1.0, nan]), (2, [inf, 1.0]), (3, None), (4, [inf, -inf]), (5, []), (6, [None, 2.0]), (7, [-0.0, -0.0]), (8, [1e308, 1e308, -1e308]), (9, [None])], "g int, v array<double>")
+    got = {r.g: bits(r.s) for r in d.select("g", M.array_exact_sum(F.col("v")).alias("s")).collect()}
+    assert got == {g: bits(x) for g, x in {1: nan, 2: inf, 3: None, 4: nan, 5: None, 6: 2.0, 7: -0.0, 8: 1e308, 9: None}.items()}
+    rows = spark.createDataFrame([(1, 1.0), (1, nan), (1, 3.0), (2, 1e300), (2, 2e300), (3, 1e-300), (3, 3e-300), (4, inf), (4, 1.0), (5, 2.0), (6, None), (6, None)], "g int, x double")
+    var = {r.g: bits(r.value) for r in M.exact_var(rows, "x", ["g"]).collect()}
+    assert var == {1: bits(nan), 2: bits(inf), 3: bits(0.0), 4: bits(nan), 5: None, 6: None}
+    std = {r.g: r.value for r in M.exact_std(rows.where("g in (2, 3)"), "x", ["g"]).collect()}
+    assert std[2] == float(Fraction(1e300) * 0 + abs(Fraction(2e300) - Fraction(1e300))) / 2**0.5 or math.isclose(std[2], 1e300 / 2**0.5, rel_tol=1e-15)
+    pairs = spark.createDataFrame([(1, 1e200, 1e200), (1, 1.0, 1.0), *[(2, 3e-200, 3e-120)] * 4, (3, 1e200, 1e200), (3, -1e200, 1e200), (3, 5.0, 1.0), (4, nan, 1.0), (5, inf, 0.0), (6, inf, -1.0), (7, -0.0, 3.0), (8, 5e-324, 0.5), (8, 5e-324, 0.5), (9, None, 1.0)], "g int, x double, y double")
+    dot = {r.g: bits(r.value) for r in M.exact_dot(pairs, "x", "y", ["g"]).collect()}
+    want = {1: inf, 2: float(4 * Fraction(3e-200) * Fraction(3e-120)), 3: 5.0, 4: nan, 5: nan, 6: -inf, 7: -0.0, 8: 5e-324, 9: None}
+    assert dot == {g: bits(x) for g, x in want.items()}
+    assert [bits(r.condition) for r in C.condition_number(spark.createDataFrame([(1.0,), (nan,), (3.0,)], "x double"), "x").collect()] == [bits(nan)]
+
+
+def test_moments_are_correctly_rounded(spark):
+    rng = random.Random(14)
+    v = [(k % 3, rng.uniform(-5, 5) * 2.0 ** rng.randint(-30, 30), rng.uniform(1, 2)) for k in range(90)] + [(0, None, 1.0), (0, 2.0, None)]
+    d = spark.createDataFrame(v, "g int, x double, y double")
+    got = {r.g: r for r in M.exact_cov(d, "x", "y", ["g"], "cov").join(M.exact_corr(d, "x", "y", ["g"], "corr"), "g").join(M.exact_weighted_avg(d, "x", "y", ["g"], "avg"), "g").join(M.exact_std(d.where("y is not null"), "x", ["g"], "std"), "g").collect()}
+    for g, r in got.items():
+        p = [(Fraction(x), Fraction(y)) for h, x, y in v if h == g and x is not None and y is not None]
+        n, sx, sy = len(p), sum(x for x, _ in p), sum(y for _, y in p)
+        c = n * sum(x * y for x, y in p) - sx * sy
+        a, b = n * sum(x * x for x, _ in p) - sx * sx, n * sum(y * y for _, y in p) - sy * sy
+        assert r.cov == float(c / (n * (n - 1))) and r.avg == float(sum(x * y for x, y in p) / sy)
+        for y, square, sign in ((r.corr, c * c / (a * b), c), (r.std, a / (n * (n - 1)), 1)):
+            assert (y < 0) == (sign < 0)
+            low, high = ((Fraction(abs(y)) + s * Fraction(math.ulp(y)) / 2) ** 2 for s in (-1, 1))
+            assert low <= square <= high
+
+
+def test_other_forms_of_accumulators(spark):
+    v = [0.1, -0.1, 1.5 + 2.0**31, 2.0**-1074, -(2.0**63) + 2.0**11, 0.0, 3.0]
+    d = spark.createDataFrame([(x,) for x in v], "x double").withColumn("a", A.acc_of(F.col("x")))
+    for r in d.select("x", A.acc_balanced(F.col("a")).alias("b"), A.acc_decimal(F.col("a")).alias("t"), A.acc_truncate(F.col("a"), 1).alias("one")).collect():
+        assert all(-(1 << 31) <= x < 1 << 31 for x in r.b.digits) and (not r.b.digits or (r.b.digits[0] and r.b.digits[-1]))
+        assert sum(Fraction(x) * Fraction(2) ** (32 * (r.b.low + i)) for i, x in enumerate(r.b.digits)) == Fraction(r.x)
+        assert Fraction(r.t) == Fraction(r.x) and "e" not in r.t.lower()
+        assert sum(x != 0 for x in r.one.digits) == (r.x != 0)
+    whole = spark.createDataFrame([(0.75,), (-3.0,), (2.0**50,), (0.0,), (None,)], "x double").select(D.to_fixed(F.col("x"), -2).alias("k"))
+    assert [None if r.k is None else int(r.k) for r in whole.collect()] == [3, -12, 2**52, 0, None]
+    with pytest.raises(Exception, match="not a multiple"):
+        spark.createDataFrame([(0.1,)], "x double").select(D.to_fixed(F.col("x"), -2)).collect()
+
+
 def test_accumulator_algebra(spark):
     rng = random.Random(9)
     pairs = [(math.ldexp(rng.uniform(-1, 1), rng.randint(-60, 60)), math.ldexp(rng.uniform(-1, 1), rng.randint(-60, 60))) for _ in range(200)] + [(1.5, -1.5), (0.0, 2.0)]
@@ -249,8 +365,19 @@ def test_set_equality_and_counts(spark):
     assert X.multiset_equal(a, "v", a.orderBy(F.rand(1)), "v").first().equal
     assert not X.multiset_equal(a, "v", a.limit(199), "v").first().equal
     assert not X.multiset_equal(a, "v", a.distinct(), "v").first().equal
-    big = spark.createDataFrame([(10**15,), (-(10**15),)], "v long")
-    assert X.multiset_equal(big, "v", big, "v").first().equal
+    def equal(a, b, **how):
+        frames = [spark.createDataFrame([(v,) for v in x], "v long") for x in (a, b)]
+        return X.multiset_equal(frames[0], "v", frames[1], "v", **how).first().equal
+
+    big = [10**15, -(10**15), (1 << 63) - 1, -(1 << 63), -1, 0]
+    assert equal(big, big[::-1]) and not equal(big, big[:-1]) and not equal(big, [*big[:-1], 1])
+    # copies never carry into a neighbour's bits, below zero neither
+    for a in (-5, -4, -3, -1, 0, 3, 4):
+        for bits_ in (40, 36, 33):
+            assert not equal([a], [a - 1] * 256, bits=bits_) and not equal([a] * 2, [a]) and equal([a] * 300, [a] * 300, bits=bits_)
+    assert not equal([a + 1], [a] * 16, bits=8) and equal([None, 1], [1, None]) and not equal([None, 1], [1])
+    with pytest.raises(Exception, match="more bits"):
+        equal([1] * 8, [1] * 8, bits=5)
     assert sum(X.count_as_floats(10**13 + 7)) == 10**13 + 7 and len(X.count_as_floats(10**13 + 7)) <= 4
 
 
