@@ -352,7 +352,7 @@ query("q_exact_centroid", "SELECT label, i, CAST(CAST(sum(CAST(embedding[i]::DOU
 query("q_acc_map", f"WITH RECURSIVE {Q.canonical('SELECT c_acctbal AS x FROM customer')} SELECT idx::INTEGER AS idx, (sgn * norm)::BIGINT AS digit FROM c")(lambda s, d: M.packed_sums(io.load(s, d, "customer"), [], {"v": F.col("c_acctbal")}).select(F.explode(A.acc_map(F.col("acc"))).alias("idx", "digit")))
 query("q_to_fixed", "SELECT c_custkey, CAST(c_acctbal * pow(2, 60) AS HUGEINT)::VARCHAR AS fixed FROM customer")(lambda s, d: io.load(s, d, "customer").select("c_custkey", D.to_fixed(F.col("c_acctbal"), -60).cast("string").alias("fixed")))
 query("q_balanced", "SELECT CAST(sum(CAST(c_acctbal * pow(2, 60) AS HUGEINT)) AS VARCHAR) AS total, true AS balanced FROM customer")(balanced_total)
-query("q_decimal_text", "SELECT c_mktsegment, CAST(sum(CAST(c_acctbal * 16 AS HUGEINT)) AS VARCHAR) AS sixteenths FROM (SELECT c_mktsegment, floor(c_acctbal * 16) / 16 AS c_acctbal FROM customer) GROUP BY 1")(lambda s, d: M.packed_sums(io.load(s, d, "customer").withColumn("x", F.floor(F.col("c_acctbal") * 16) / 16), ["c_mktsegment"], {"v": F.col("x")}).select("c_mktsegment", A.acc_decimal(F.col("acc")).alias("t")).select("c_mktsegment", (F.col("t").cast("decimal(30,4)") * 16).cast("decimal(30,0)").cast("string").alias("sixteenths")))
+query("q_decimal_text", r"SELECT c_mktsegment, regexp_replace(CAST((sum(CAST(floor(c_acctbal * 16) AS HUGEINT))::DECIMAL(30,0) * 0.0625)::DECIMAL(38,4) AS VARCHAR), '\.?0+$', '') AS total FROM customer GROUP BY 1")(lambda s, d: M.packed_sums(io.load(s, d, "customer").withColumn("x", F.floor(F.col("c_acctbal") * 16) / 16), ["c_mktsegment"], {"v": F.col("x")}).select("c_mktsegment", A.acc_decimal(F.col("acc")).alias("total")))
 query("q_acc_json", f"SELECT c_mktsegment, {exact_sql('c_acctbal', 60)} AS value FROM customer GROUP BY 1")(lambda s, d: M.packed_sums(io.load(s, d, "customer"), ["c_mktsegment"], {"v": F.col("c_acctbal")}).select("c_mktsegment", A.acc_round(A.acc_from_json(A.acc_to_json(F.col("acc")))).alias("value")))
 query("q_json_weighted", f"SELECT event_type, {exact_sql('value * CAST(json_extract(props, chr(36) || chr(46) || chr(107)) AS BIGINT)', 70)} AS value FROM events GROUP BY 1")(lambda s, d: M.exact_dot(io.load(s, d, "events").withColumn("k", F.get_json_object("props", "$.k").cast("double")), "value", "k", ["event_type"]))
 
