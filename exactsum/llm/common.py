@@ -42,6 +42,8 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+#: Partitions that one shuffle is cut into at most, where their number follows the data.
+MOST_PARTITIONS = 50_000
 #: Stands for a null doc_id, before all others.
 NO_ID = -(1 << 63)
 
@@ -77,5 +79,7 @@ def hub_join(facts: DataFrame, sums: DataFrame, key: str, count: str, total: int
     return facts.join(hot, key).unionByName(rest)
 
 
-def shuffle_partitions(spark: SparkSession) -> int:
-    return int(spark.conf.get("spark.sql.shuffle.partitions"))
+def dealt(df: DataFrame, bucket: str, buckets: int):
+    """Rows grouped by bucket 0 .. buckets - 1, dealt evenly: one to each partition, or as many to each as there must be."""
+    parts = min(buckets, MOST_PARTITIONS)
+    return df.withColumn("part__", F.pmod(F.col(bucket), F.lit(parts)).cast("int")).repartitionById(parts, "part__").groupBy("part__", bucket)

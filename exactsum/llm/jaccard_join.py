@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import NO_ID, checkpointed, hub_join, numbered
+from .common import NO_ID, checkpointed, dealt, hub_join, numbered
 from .superkmer import ROOT, mixed, spread
 
 CHUNK_BYTES, BUCKET_BYTES = 8 << 20, 16 << 20
@@ -422,7 +422,7 @@ def nodes_with_components(rows: DataFrame, names: DataFrame | None, repeats: boo
         yield out()
 
     sent = rows.select("node", "text").mapInPandas(send, "bucket long, kind int, blob binary")
-    found = checkpointed(sent.groupBy("bucket").applyInPandas(bucket_rows, FOUND))
+    found = checkpointed(dealt(sent, "bucket", buckets).applyInPandas(bucket_rows, FOUND))
     documents = found.where("kind = 0").select(F.col("x").alias("node_"), "n", F.col("p").alias("lead"))
     looked_up = found.where("kind = 2").select(F.col("x").alias("chunk"), F.col("p").alias("h"), "holders")
     pivots = found.where("kind = 3").select(F.col("x").alias("h"), "p")
