@@ -79,6 +79,26 @@ def hub_join(facts: DataFrame, sums: DataFrame, key: str, count: str, total: int
     return facts.join(hot, key).unionByName(rest)
 
 
+#: Bits of the filter of likely(), 8 MB whatever the data; and of each of its rows, a fixed value of Spark's bitmaps.
+FILTER_BITS, BITMAP_BITS = 1 << 26, 32_768
+
+
+def likely(rows: DataFrame, key: str, wanted: DataFrame, name: str) -> DataFrame:
+    """rows without most of those whose key isn't among wanted.name, so that fewer are shuffled to a join with them.
+
+    The hashes of wanted keys are set in a bitmap of fixed size, which is broadcast; keys that share
+    a hash with a wanted one stay too, so more of the rest stay the fuller the bitmap is.
+    """
+    place = lambda c: F.pmod(F.xxhash64(F.col(c)), F.lit(FILTER_BITS))
+    bits = wanted.select(place(name).alias("h")).groupBy(F.floor(F.col("h") / BITMAP_BITS).alias("word__"))
+    bits = bits.agg(F.bitmap_construct_agg(F.col("h") % BITMAP_BITS).alias("bits__"))
+    bit = place(key) % BITMAP_BITS
+    byte = F.conv(F.hex(F.substring(F.col("bits__"), F.floor(bit / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    held = rows.withColumn("word__", F.floor(place(key) / BITMAP_BITS)).join(F.broadcast(bits), "word__")
+    mask = F.call_function("shiftleft", F.lit(1), (bit % 8).cast("int"))
+    return held.where(byte.bitwiseAND(mask) != 0).select(*rows.columns)
+
+
 def dealt(df: DataFrame, bucket: str, buckets: int):
     """Rows grouped by bucket 0 .. buckets - 1, dealt evenly: one to each partition, or as many to each as there must be."""
     parts = min(buckets, MOST_PARTITIONS)

@@ -40,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import NO_ID, checkpointed, dealt, hub_join, numbered
+from .common import NO_ID, checkpointed, dealt, hub_join, likely, numbered
 from .superkmer import ROOT, mixed, spread
 
 CHUNK_BYTES, BUCKET_BYTES = 8 << 20, 16 << 20
@@ -333,7 +333,7 @@ def region_solver(near: int):
 def grouped_links(rows: DataFrame, placed: DataFrame, width: int, near: int) -> DataFrame:
     """Solve the groups (p, slices, a, b) that `placed` puts documents x in."""
     by_doc = placed.groupBy("x").agg(F.collect_list(F.struct("p", "slices", "a", "b")).alias("gs"))
-    members = rows.join(by_doc, F.col("node") == F.col("x")).select("node", "text", "gs")
+    members = likely(rows, "node", placed, "x").join(by_doc, F.col("node") == F.col("x")).select("node", "text", "gs")
 
     def sets(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -376,7 +376,7 @@ def links_of_regions(rows: DataFrame, regions: DataFrame, width: int, near: int,
     wanted = outside.join(blocks, "p").withColumn("b", F.pmod(F.xxhash64(F.lit("block"), "x"), F.col("blocks")).cast("int"))
     wanted = wanted.select("x", "p", "slices", F.explode(F.sequence(one, F.col("slices") - 1)).alias("a"), "b")
     held = placed.where("slices > 1").join(blocks, "p").select("x", "p", "slices", "a", F.explode(F.sequence(one, F.col("blocks") - 1)).alias("b"))
-    again = grouped_links(rows, wanted.unionByName(held).distinct(), width, near)
+    again = grouped_links(rows, checkpointed(wanted.unionByName(held).distinct()), width, near)
     return links.unionByName(again.where("not out").select("u", "v"))
 
 

@@ -3,7 +3,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
-from exactsum.llm import jaccard_join
+from exactsum.llm import common, jaccard_join
 
 
 def brute(rows, width=5, near=75):
@@ -91,3 +91,13 @@ def test_empty_table_and_null_ids(spark):
 def test_low_thresholds_are_refused(spark):
     with pytest.raises(ValueError):
         jaccard_join.near_duplicates(spark.createDataFrame([(1, "a")], "doc_id long, text string"), near=60)
+
+
+def test_filter_keeps_all_that_is_wanted(spark):
+    rows = spark.range(-5000, 5000).withColumnRenamed("id", "node").withColumn("text", F.lit("x"))
+    wanted = rows.where("node % 7 = 0").select(F.col("node").alias("x"))
+    kept = common.likely(rows, "node", wanted, "x")
+    assert kept.columns == rows.columns
+    got = {r.node for r in kept.collect()}
+    assert {r.x for r in wanted.collect()} <= got and len(got) < 1.01 * wanted.count()
+    assert common.likely(rows, "node", wanted.limit(0), "x").count() == 0
