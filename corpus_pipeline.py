@@ -35,8 +35,8 @@ def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces with their ids, sequence and place: sequences are the ids of their pieces in the order of offset."""
-    return best_fit.pack(docs, tokenizer_path(), capacity=2048, separator=0, with_ids=True)
+    """Pieces with their sequence and place; best_fit.pack(with_ids=True) adds their ids, for more memory."""
+    return best_fit.pack(docs, tokenizer_path(), capacity=2048, separator=0)
 
 
 STAGES = [
