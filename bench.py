@@ -1,6 +1,7 @@
 """Headline queries and the sweeps of the experiments; prints one JSON line.
 
-BENCH_SF_DIR (default /root/testdata/sf0.1), BENCH_CPUS (default 8), BENCH_FULL=1 for all sweeps.
+BENCH_SF_DIR (default /root/testdata/sf0.1), BENCH_CPUS (default 8), BENCH_FULL=1 for all exponent ranges
+and larger sizes.  The sequential competitor runs on all values, on one core.
 Inputs are cached before a method is timed, results go to a sink that keeps nothing.
 """
 
@@ -14,8 +15,7 @@ from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 CPUS, SF = os.environ.get("BENCH_CPUS", "8"), os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
-#: Values for the sequential competitor, which is a Python kernel.
-SEQUENTIAL = 60_000
+FULL = bool(os.environ.get("BENCH_FULL"))
 
 
 def session(cpus: str) -> SparkSession:
@@ -53,39 +53,46 @@ def main() -> None:
     methods = {
         "sparse": lambda d: M.exact_sum(d, "x"),
         "dense": lambda d: M.sum_mapreduce(d, "x", acc="dense"),
-        "scan_kernel": lambda d: M.sum_scan(d, "x"),
+        "distill": lambda d: B.sequential(d, "x", "distill"),
         "tree": lambda d: T.sum_tree(d, "x"),
         "plain_sum": lambda d: B.sum_naive(d, "x"),
     }
     sizes: dict[str, int] = {}
+    relations: dict[str, float] = {}
+
+    def compare(name, w, which, runs=2):
+        n = w.count()
+        for m in which:
+            run(f"{name}_{m}", methods[m](w), 1 if m == "distill" else runs)
+        t = {m: times[f"{name}_{m}"] for m in which}
+        best = min(t["sparse"], t["dense"])
+        relations[f"{name}_values_per_second"] = round(n / best)
+        if "distill" in t:
+            relations[f"{name}_speedup_over_distill"] = round(t["distill"] / best, 2)
+        return n
+
+    # the four distributions, exponent ranges at a fixed size, all three algorithms on the same values
     for kind in ("positive", "mixed", "centred", "zero"):
-        for delta in (10, 500, 2000) if os.environ.get("BENCH_FULL") else (2000,):
+        for delta in Wl.DELTAS if FULL else (10, 2000) if kind in ("positive", "zero") else (2000,):
             w = Wl.make_workload(spark, kind, SF, delta).select("x").cache()
-            sizes[kind] = w.count()
-            for m, f in methods.items():
-                run(f"w_{kind}_{delta}_{m}", f(w))
-            few = w.limit(SEQUENTIAL).cache()
-            run(f"w_{kind}_{delta}_distill_{few.count()}", B.sequential(few, "x", "distill"), 1)
-            run(f"w_{kind}_{delta}_sparse_{SEQUENTIAL}", M.exact_sum(few, "x"))
-            few.unpersist()
+            sizes[kind] = compare(f"w_{kind}_{delta}", w, ("sparse", "dense", "distill", *(("tree", "plain_sum") if delta == 2000 else ())))
             w.unpersist()
-    replicate = (1, 4, 16) if os.environ.get("BENCH_FULL") else (4,)
-    for k in replicate:
+    # sizes: one core's distillation against all cores
+    for k in (4, 16, 64) if FULL else (4, 16):
         w = Wl.make_workload(spark, "positive", SF, 2000, k).select("x").cache()
         n = w.count()
-        for m in ("sparse", "dense", "scan_kernel", "plain_sum"):
-            run(f"n_{n}_{m}", methods[m](w))
+        sizes[f"positive x {k}"] = compare(f"n_{n}", w, ("sparse", "dense", "plain_sum", *(("distill",) if n <= 5_000_000 else ())))
         w.unpersist()
-    if os.environ.get("BENCH_FULL"):
+    spark.stop()
+    for c in [c for c in ("1", "2", "4", "8") if int(c) <= int(CPUS)]:
+        spark = session(c)
+        w = Wl.make_workload(spark, "positive", SF, 2000, 8).select("x").repartition(16).cache()
+        w.agg(F.count("x")).first()
+        for m in ("sparse", "dense"):
+            run(f"cores_{c}_{m}", methods[m](w))
+            relations[f"cores_{c}_{m}_efficiency"] = round(times[f"cores_1_{m}"] / times[f"cores_{c}_{m}"] / int(c), 2)
         spark.stop()
-        for c in ("1", "2", "4", "8"):
-            spark = session(c)
-            w = Wl.make_workload(spark, "positive", SF, 2000, 4).select("x").repartition(8).cache()
-            w.agg(F.count("x")).first()
-            run(f"cores_{c}_sparse", M.exact_sum(w, "x"))
-            run(f"cores_{c}_dense", M.sum_mapreduce(w, "x", acc="dense"))
-            spark.stop()
-    print(json.dumps({"metric": "total_seconds", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": SF.rsplit("sf", 1)[-1], "rows": sizes, "cpus": CPUS}))
+    print(json.dumps({"metric": "total_seconds", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": SF.rsplit("sf", 1)[-1], "rows": sizes, "relations": relations, "cpus": CPUS}))
 
 
 if __name__ == "__main__":
