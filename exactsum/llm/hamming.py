@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 from .common import checkpointed, hub_join
 
 #: Entries of an index cell's slice, and queries that are sent to it together.
-CELL_CODES, QUERY_BLOCK = 2048, 512
+CELL_CODES, QUERY_BLOCK = 32_768, 512
 #: Lookups of a batch of queries in a cell at a time.
 LOOKUPS = 1 << 20
 BEST = "array<struct<distance:int,least:bigint,code:bigint,copies:int>>"
@@ -70,6 +70,8 @@ def ring(codes: np.ndarray, queries: np.ndarray, apart: np.ndarray, shift: int,
     cell's prefix differ from each query's.  Distances over a query's bound are left out.
     """
     low = (codes >> np.uint64(shift)) & np.uint64((1 << free) - 1)
+    # where each value starts: a table while it is small, else by bisection
+    table = np.searchsorted(low, np.arange((1 << free) + 1, dtype=np.uint64)) if free <= 20 else None
     out = []
     for rest in np.unique(radius - apart):
         if rest > free:
@@ -80,8 +82,11 @@ def ring(codes: np.ndarray, queries: np.ndarray, apart: np.ndarray, shift: int,
         for begin in range(0, len(all_here), step):
             here = all_here[begin : begin + step]
             value = (((queries[here] >> np.uint64(shift)) & np.uint64((1 << free) - 1))[:, None] ^ flips[None, :]).ravel()
-            first = np.searchsorted(low, value, "left")
-            count = np.searchsorted(low, value, "right") - first
+            if table is None:
+                first, last = np.searchsorted(low, value, "left"), np.searchsorted(low, value, "right")
+            else:
+                first, last = table[value], table[value + np.uint64(1)]
+            count = last - first
             hit = np.flatnonzero(count)
             count, first = count[hit], first[hit]
             ends = np.cumsum(count)
