@@ -304,10 +304,11 @@ def acc_decimal(a: Column) -> Column:
     """The exact value as a decimal text, all digits; an Arrow UDF over one row for each sum."""
 
     @F.pandas_udf("string")
-    def text(literal: pd.Series) -> pd.Series:
+    def text(literal: pd.Series, low: pd.Series) -> pd.Series:
         return literal.map(lambda t: None if t is None else decimal_text(*parsed(t)))
 
-    return text(hex_text(a))
+    # used twice, the accumulator stays a column of its own below the UDF
+    return text(hex_text(a), a["low"])
 
 
 def decimal_text(n: int, exp: int) -> str:
