@@ -2,9 +2,16 @@
 
 from __future__ import annotations
 
+import math
+import random
+
+import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
+from exactsum.operators import baselines as B
 from exactsum.operators import joins as J
+from exactsum.operators import kernels as K
 
 SF = "/root/testdata/sf0.001"
 
@@ -14,3 +21,43 @@ def test_salted_join_never_broadcasts_the_repeated_side(spark):
     j = J.salted(o, o.select("o_orderkey", F.lit(1).alias("one")), "o_orderkey")
     assert "Broadcast" not in j._jdf.queryExecution().executedPlan().toString()
     assert j.count() == o.count()
+
+
+@pytest.mark.parametrize("method", K.METHODS)
+def test_methods_on_blocks(method):
+    rng = random.Random(21)
+    plain = [round(rng.uniform(800, 500_000), 2) for _ in range(1000)]
+    mixed = [rng.choice([-1, 1]) * rng.random() * 2.0 ** rng.randint(-200, 200) for _ in range(999)]
+    for v in (plain, [-x for x in plain], mixed, [*mixed, *[-x for x in mixed]], [0.0] * 100):
+        if method == "doubly_compensated":
+            v = sorted(v, key=abs, reverse=True)
+        if method == "by_exponent":
+            v = sorted(v, key=lambda x: -math.frexp(x)[1])
+        arrays = [np.array(v[a : a + 70]) for a in range(0, len(v), 70)]
+        value, counter = K.run_blocks(method, K.dealt_blocks(arrays, 64))
+        want, counted = K.METHODS[method](v)
+        assert value == want, method
+        if method in ("pairwise", "compensated", "doubly_compensated", "superacc_carry", "expansion", "fixed", "bucketed"):
+            assert counter == counted
+    if method in ("distill", "expansion", "refine", "accurate"):
+        with pytest.raises(OverflowError):
+            K.run_blocks(method, K.dealt_blocks([np.array([1.7e308] * 4)], 2))
+
+
+def test_sequential_has_no_limit_of_rows(spark):
+    x = (F.pmod(F.col("id") * 7919, F.lit(1000)) / 8).alias("x")
+    d = spark.range(0, 5_000_100, 1, 4).select("id", x)
+    for method in ("reference", "distill", "naive"):
+        assert B.sequential(d, "x", method).first().value == d.agg(F.sum("x")).first()[0], method
+
+
+def test_sequential_keeps_order_over_blocks(spark):
+    rng = random.Random(22)
+    data = [(k % 3 if k % 5 else None, k, rng.choice([-1, 1]) * rng.random() * 2.0 ** rng.randint(-60, 60)) for k in range(3000)]
+    d = spark.createDataFrame(data, "g int, i int, x double").repartition(4)
+    for method in K.METHODS:
+        want = {g: K.METHODS[method]([x for k, _, x in data if k == g])[0] for g in (0, 1, 2, None)}
+        got = B.sequential(d, "x", method, ["g"], ["i"], block=64).collect()
+        assert {r.g: r.value for r in got} == want, method
+        assert B.sequential(d, "x", method, order=["i"], block=64).first().value == K.METHODS[method]([x for _, _, x in data])[0], method
+    assert B.sequential(d.limit(0), "x", "naive").count() == 0
