@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 from exactsum.operators import baselines as B
 from exactsum.operators import joins as J
 from exactsum.operators import kernels as K
+from exactsum.operators import mapreduce as M
+from exactsum.sources import workloads as Wl
 
 SF = "/root/testdata/sf0.001"
 
@@ -61,3 +63,9 @@ def test_sequential_keeps_order_over_blocks(spark):
         assert {r.g: r.value for r in got} == want, method
         assert B.sequential(d, "x", method, order=["i"], block=64).first().value == K.METHODS[method]([x for _, _, x in data])[0], method
     assert B.sequential(d.limit(0), "x", "naive").count() == 0
+
+
+@pytest.mark.parametrize("kind", ["positive", "mixed"])
+def test_distill_over_blocks_of_wide_workloads(spark, kind):
+    w = Wl.make_workload(spark, kind, SF, 500)
+    assert B.sequential(w, "x", "distill", block=256).select("value").first() == M.exact_sum(w, "x").first()
