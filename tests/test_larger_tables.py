@@ -69,3 +69,21 @@ def test_sequential_keeps_order_over_blocks(spark):
 def test_distill_over_blocks_of_wide_workloads(spark, kind):
     w = Wl.make_workload(spark, kind, SF, 500)
     assert B.sequential(w, "x", "distill", block=256).select("value").first() == M.exact_sum(w, "x").first()
+
+
+def test_moments_of_repeated_pairs(spark):
+    """Equal pairs are taken once with their number, whatever they are."""
+    rng = random.Random(23)
+    pairs = [(g, rng.choice([None, 0.1, -3.7e-5, 1e300 if g == 1 else 2.5, math.nan if g == 2 else 7.0]), rng.choice([0.3, 1e-7, -0.0, 0.0, None])) for g in range(3) for _ in range(400)]
+    many = spark.createDataFrame(pairs, "g int, x double, y double")
+    one = many.withColumn("g", F.struct("g", F.monotonically_increasing_id().alias("i")))  # each row a group: nothing to combine
+    assert "times__" in M._pairs(many, "x", "y", ["g"]).columns and "times__" not in M._pairs(one, "x", "y", ["g"]).columns
+    for run in (M.exact_cov, M.exact_corr, M.exact_weighted_avg):
+        got = {r.g: r.value for r in run(many, "x", "y", ["g"]).collect()}
+        plain = M._pairs
+        try:
+            M._pairs = lambda df, a, b, keys: df.select(*keys, F.col(a).alias("a__"), F.col(b).alias("b__")).where("a__ is not null and b__ is not null")
+            want = {r.g: r.value for r in run(many, "x", "y", ["g"]).collect()}
+        finally:
+            M._pairs = plain
+        assert {g: repr(v) for g, v in got.items()} == {g: repr(v) for g, v in want.items()}, run
