@@ -87,3 +87,18 @@ def test_moments_of_repeated_pairs(spark):
         finally:
             M._pairs = plain
         assert {g: repr(v) for g, v in got.items()} == {g: repr(v) for g, v in want.items()}, run
+
+
+def test_interval_rounds_seconds_as_its_sql(spark, tmp_path):
+    import duckdb
+
+    from exactsum import queries as Q
+
+    cases = [(0.4, 3599.6), (0.6, 3599.4), (0.5, 3600.5), (1.5, 3600.5), (0.5, 3599.5), (0.6, 0.4), (0.4, 0.45), (0.55, 0.5)]  # view and purchase, in seconds
+    rows = [(2 * u + k, 1.7e9 + t, u, kind, 0.25 + u) for u, (b, a) in enumerate(cases) for k, (t, kind) in enumerate([(b, "view"), (a, "purchase")])]
+    e = spark.createDataFrame(rows, "event_id long, t double, user_id long, event_type string, value double")
+    e.select("event_id", F.timestamp_seconds("t").cast("timestamp_ntz").alias("ts"), "user_id", "event_type", "value").coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    with duckdb.connect() as c:
+        c.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+        want = dict(c.execute(Q.ORACLES["q_interval"]).fetchall())
+    assert {r.user_id: r.value for r in Q.QUERIES["q_interval"](spark, str(tmp_path)).collect()} == want
