@@ -43,6 +43,16 @@ def run_once(stream: DataFrame, spark: SparkSession, name: str, mode: str = "com
     return spark.table(name)
 
 
+def run_to_files(stream: DataFrame, spark: SparkSession, name: str) -> DataFrame:
+    """All rows that are there now as Parquet files in the session's shared folder: none goes through the driver's memory."""
+    from ..sources.io import shared_folder
+
+    path = f"{shared_folder(spark)}/streams/{name}"
+    w = stream.writeStream.format("parquet").queryName(name).outputMode("append").trigger(availableNow=True)
+    w.option("checkpointLocation", f"{path}/checkpoint").start(f"{path}/rows").awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{path}/rows")
+
+
 def accumulate(stream: DataFrame, col: str | Column, keys: Sequence[str], path: str, checkpoint: str) -> None:
     """foreachBatch: each micro-batch appends its packed accumulators to a table."""
     from ..sources.io import write_acc

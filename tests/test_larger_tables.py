@@ -102,3 +102,12 @@ def test_interval_rounds_seconds_as_its_sql(spark, tmp_path):
         c.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
         want = dict(c.execute(Q.ORACLES["q_interval"]).fetchall())
     assert {r.user_id: r.value for r in Q.QUERIES["q_interval"](spark, str(tmp_path)).collect()} == want
+
+
+def test_deduplicated_stream_goes_around_the_driver(spark):
+    from exactsum import queries as Q
+
+    got = {r.event_type: r.value for r in Q.QUERIES["q_stream_deduplicated"](spark, SF).collect()}
+    assert not [t.name for t in spark.catalog.listTables() if t.name.startswith("deduplicated_")]  # no memory table
+    e = spark.read.parquet(f"{SF}/events.parquet").groupBy("user_id", "event_type").agg(F.max("value").alias("value"))
+    assert got == {r.event_type: r.value for r in M.exact_sum(e, "value", ["event_type"]).collect()}
