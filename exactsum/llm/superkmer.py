@@ -19,23 +19,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import dealt, numbered
+from .common import checkpointed, dealt, numbered
 
 #: Text that is turned into super-k-mers at a time, and text whose super-k-mers share a bucket.
 CHUNK_BYTES, BUCKET_BYTES = 12 << 20, 8 << 20
+#: Text that is hashed at a time where grams are counted.
+PIECE_BYTES = 1 << 20
 ROOT = np.uint64(0x9E3779B97F4A7C15)  # odd, so powers of it can be undone modulo 2^64
 UNROOT = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 #: Set in the order of frequent grams.
 LATE = np.uint64(1 << 63)
 #: A gram is frequent from so many occurrences on; at most so many grams are (eight bytes each, broadcast).
 FREQUENT_FROM, MOST_FREQUENT = 10_000, 1 << 20
-#: Documents in which grams are counted: text of so many bytes, or this share of all if that is more.
-COUNTED_BYTES, COUNTED_SHARE = 16 << 20, 1 / 256
 
 
 def mixed(x: np.ndarray) -> np.ndarray:
@@ -45,6 +44,10 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+#: What a byte counts for in the hash of a word.
+BYTES = mixed(np.arange(1, 257, dtype=np.uint64) * ROOT)
+
+
 def run_hash(values: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarray:
     """Hashes of values[begin:end], each from two prefix sums."""
     n = len(values)
@@ -106,6 +109,24 @@ def unpacked_blob(blob: bytes):
     return doc, start.astype(np.int64), size.astype(np.int64), words, local
 
 
+def word_hashes(text: bytes) -> np.ndarray:
+    """A hash of each word of a text, in order, without a Python object for any."""
+    b = np.frombuffer(text, np.uint8)
+    gap = np.ones(len(b) + 2, bool)
+    gap[1:-1] = (b == 32) | (b - np.uint8(9) < 5)
+    edges = np.flatnonzero(gap[1:] != gap[:-1])
+    return run_hash(BYTES[b], edges[::2], edges[1::2])
+
+
+def gram_hashes(value: np.ndarray, seed: int) -> np.ndarray:
+    """Hashes below 2^63 of the `seed` words from each on, across the borders of texts."""
+    n = max(0, len(value) - seed + 1)
+    gram = value[:n].copy()
+    for k in range(1, seed):
+        gram = mixed(gram * ROOT + value[k : n + k])
+    return gram & ~LATE
+
+
 class Words:
     """Texts as arrays: distinct words, their numbers, a hash of each, and how many words each text has."""
 
@@ -119,14 +140,8 @@ class Words:
         index = dict(zip(self.words, range(len(self.words)), strict=True))
         self.flat = np.fromiter(map(index.__getitem__, itertools.chain.from_iterable(split)), np.int64, int(self.sizes.sum()))
         del split, index  # millions of small objects
-        self.value = np.fromiter(map(xxhash.xxh3_64_intdigest, self.words), np.uint64, len(self.words))[self.flat]
-
-    def grams(self, seed: int) -> np.ndarray:
-        """Hashes below 2^63 of the `seed` words from each on, across the borders of texts."""
-        gram = self.value[: len(self.value) - seed + 1].copy()
-        for k in range(1, seed):
-            gram = mixed(gram * ROOT + self.value[k : len(self.value) - seed + 1 + k])
-        return gram & ~LATE
+        parts = [word_hashes(b" ".join(self.words[low : low + (1 << 16)])) for low in range(0, len(self.words), 1 << 16)]
+        self.value = np.concatenate([*parts, np.zeros(0, np.uint64)])[self.flat]
 
 
 def chunk_rows(ids: list[int], texts: list[bytes], width: int, seed: int, buckets: int, frequent: np.ndarray) -> Iterator[tuple]:
@@ -137,7 +152,7 @@ def chunk_rows(ids: list[int], texts: list[bytes], width: int, seed: int, bucket
         return
     owner = np.array([ids[i] for i in order], np.int64)[read.enough]
     words, flat, value, sizes = read.words, read.flat, read.value, read.sizes
-    gram = read.grams(seed)
+    gram = gram_hashes(value, seed)
     if len(frequent):
         at = np.minimum(np.searchsorted(frequent, gram), len(frequent) - 1)
         gram[frequent[at] == gram] |= LATE
@@ -205,19 +220,42 @@ def bucket_spans(blobs: list[bytes], width: int) -> pd.DataFrame:
 
 
 def frequent_grams(rows: DataFrame, total: int, seed: int, frequent_from: int = FREQUENT_FROM) -> np.ndarray:
-    """Sorted hashes of the grams that occur about `frequent_from` times or more in `total` bytes of text."""
-    share = min(1.0, max(COUNTED_BYTES / max(total, 1), COUNTED_SHARE))
-    counted = rows.where(F.pmod(F.xxhash64(F.lit("counted"), "node"), F.lit(1 << 20)) < int(share * (1 << 20)))
+    """Sorted hashes of the grams that occur `frequent_from` times or more in all texts, `total` bytes of them.
+
+    Every text is counted, chunk by chunk; a chunk leaves out what it has fewer than `least` times, so some
+    grams that occur less often are found as well, by up to least - 1 for each chunk.
+    """
+    least = max(2, int(frequent_from / (4 * (total / CHUNK_BYTES + 64))))
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        found, texts, held, counted = [], [], 0, 0
+
+        def grams() -> np.ndarray:
+            return gram_hashes(word_hashes(b" ".join(texts)), seed)
+
+        def out() -> pd.DataFrame:
+            gram, n = np.unique(np.concatenate([*found, grams()]), return_counts=True)
+            often = n >= least
+            return pd.DataFrame({"gram": np.append(gram[often].view(np.int64), -1), "n": np.append(n[often], 1)})
+
         for batch in batches:
-            texts = [t.encode() for t in batch["text"] if t]
-            gram, n = np.unique(Words(texts, seed).grams(seed) if texts else np.zeros(0, np.uint64), return_counts=True)
-            often = n > 1
-            yield pd.DataFrame({"gram": gram[often].view(np.int64), "n": n[often]})
+            for t in batch["text"]:
+                if t:
+                    texts.append(t.encode())
+                    held += len(texts[-1])
+                if held >= PIECE_BYTES:
+                    found.append(grams())
+                    counted, texts, held = counted + held, [], 0
+                if counted >= CHUNK_BYTES:
+                    yield out()
+                    found, counted = [], 0
+        yield out()
 
-    sums = counted.select("text").mapInPandas(count, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-    found = sums.where(F.col("n") >= max(8, frequent_from * share)).orderBy(F.desc("n"), "gram").limit(MOST_FREQUENT)
+    sums = rows.select("text").mapInPandas(count, "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    sums = checkpointed(sums)  # read twice, counted once
+    chunks = sums.where("gram = -1").select(F.col("n").alias("chunks"))
+    found = sums.where("gram <> -1").crossJoin(F.broadcast(chunks)).where(F.col("n") >= frequent_from - F.col("chunks") * (least - 1))
+    found = found.orderBy(F.desc("n"), "gram").limit(MOST_FREQUENT)
     return np.sort(found.select("gram").toPandas()["gram"].to_numpy("int64").view(np.uint64))
 
 
