@@ -27,8 +27,8 @@ from .common import checkpointed, dealt, numbered
 
 #: Text that is turned into super-k-mers at a time, and text whose super-k-mers share a bucket.
 CHUNK_BYTES, BUCKET_BYTES = 12 << 20, 8 << 20
-#: Text that is hashed at a time where grams are counted.
-PIECE_BYTES = 1 << 20
+#: Text, words and runs that are hashed or compared at a time.
+PIECE_BYTES, PIECE_WORDS, RUNS = 1 << 20, 1 << 15, 1 << 14
 ROOT = np.uint64(0x9E3779B97F4A7C15)  # odd, so powers of it can be undone modulo 2^64
 UNROOT = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
 #: Set in the order of frequent grams.
@@ -57,6 +57,15 @@ def run_hash(values: np.ndarray, begin: np.ndarray, end: np.ndarray) -> np.ndarr
     return mixed((sums[end] - sums[begin]) * down[begin])
 
 
+def run_hashes(values: np.ndarray, begin: np.ndarray, end: np.ndarray, made=lambda v: v) -> np.ndarray:
+    """run_hash of made(values) for rising begins and ends, some runs at a time, so that no prefix sums of all values are held."""
+    out = np.empty(len(begin), np.uint64)
+    for low in range(0, len(begin), RUNS):
+        b, e = begin[low : low + RUNS], end[low : low + RUNS]
+        out[low : low + RUNS] = run_hash(made(values[b[0] : e[-1]]), b - b[0], e - b[0])
+    return out
+
+
 def sliding_min(x: np.ndarray, width: int) -> np.ndarray:
     step, out = 1, x
     while step * 2 <= width:
@@ -83,13 +92,13 @@ def merged(doc: np.ndarray, start: np.ndarray, stop: np.ndarray) -> pd.DataFrame
     return pd.DataFrame({"doc_id": doc[first], "start": start[first], "stop": reach[last] - offset[last]})
 
 
-def packed_blob(doc, start, size, ids, words) -> bytes:
+def packed_blob(doc, start, size, ids, words: Words) -> bytes:
     """Super-k-mers of one bucket: heads, a dictionary of their words, and the words as its entries."""
     used, local, often = np.unique(ids, return_inverse=True, return_counts=True)
     by_use = np.argsort(-often, kind="stable")  # small entries for frequent words, which compress
     rank = np.empty(len(used), np.int64)
     rank[by_use] = np.arange(len(used))
-    text = b" ".join([words[i] for i in used[by_use].tolist()])
+    text = words.joined(used[by_use])
     planes = 2 if len(used) < 1 << 16 else 4
     local = rank[local].astype(f"<u{planes}").view(np.uint8).reshape(-1, planes).T
     head = np.array([len(doc), len(used), len(text), planes], "<i8")
@@ -109,39 +118,103 @@ def unpacked_blob(blob: bytes):
     return doc, start.astype(np.int64), size.astype(np.int64), words, local
 
 
-def word_hashes(text: bytes) -> np.ndarray:
-    """A hash of each word of a text, in order, without a Python object for any."""
-    b = np.frombuffer(text, np.uint8)
+def word_edges(b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Where the words of a text begin and end, in order."""
     gap = np.ones(len(b) + 2, bool)
     gap[1:-1] = (b == 32) | (b - np.uint8(9) < 5)
     edges = np.flatnonzero(gap[1:] != gap[:-1])
-    return run_hash(BYTES[b], edges[::2], edges[1::2])
+    return edges[::2], edges[1::2]
+
+
+def word_hashes(text: bytes) -> np.ndarray:
+    """A hash of each word of a text, in order, without a Python object for any."""
+    b = np.frombuffer(text, np.uint8)
+    return run_hashes(b, *word_edges(b), BYTES.__getitem__)
 
 
 def gram_hashes(value: np.ndarray, seed: int) -> np.ndarray:
     """Hashes below 2^63 of the `seed` words from each on, across the borders of texts."""
-    n = max(0, len(value) - seed + 1)
-    gram = value[:n].copy()
-    for k in range(1, seed):
-        gram = mixed(gram * ROOT + value[k : n + k])
-    return gram & ~LATE
+    out = np.empty(max(0, len(value) - seed + 1), np.uint64)
+    for low in range(0, len(out), PIECE_WORDS):
+        high = min(len(out), low + PIECE_WORDS)
+        gram = value[low:high]
+        for k in range(1, seed):
+            gram = mixed(gram * ROOT + value[low + k : high + k])
+        out[low:high] = gram & ~LATE
+    return out
 
 
 class Words:
-    """Texts as arrays: distinct words, their numbers, a hash of each, and how many words each text has."""
+    """Texts as arrays, without a Python object for any word: each word's place in `body`, its length, hash (value)
+    and number (flat), one word of each number (first), and how many words each text has.
+
+    Texts of fewer than `at_least` words are left out.  Words of one hash get one number after their bytes were compared.
+    """
 
     def __init__(self, texts: list[bytes], at_least: int):
-        split = [t.split() for t in texts]
-        sizes = np.fromiter(map(len, split), np.int64, len(split))
+        text_end = np.cumsum(np.fromiter(map(len, texts), np.int64, len(texts)) + 1)
+        joined = b" ".join([*texts, b""])
+        self.body = np.frombuffer(joined, np.uint8)
+        place = np.int32 if len(joined) < 1 << 31 else np.int64
+        at, length, value, low = [], [], [], 0
+        while low < len(joined):
+            high = int(text_end[min(len(texts) - 1, np.searchsorted(text_end, low + PIECE_BYTES))])
+            begin, end = word_edges(self.body[low:high])
+            value.append(run_hashes(self.body[low:high], begin, end, BYTES.__getitem__))
+            at.append((begin + low).astype(place))
+            length.append((end - begin).astype(place))
+            low = high
+        at, length, value = (np.concatenate([np.zeros(0, t), *x]) for t, x in ((place, at), (place, length), (np.uint64, value)))
+        sizes = np.diff(np.searchsorted(at, text_end), prepend=0)
         self.enough = sizes >= at_least
         self.sizes = sizes[self.enough]
-        split = list(itertools.compress(split, self.enough.tolist()))
-        self.words = list(set().union(*split))
-        index = dict(zip(self.words, range(len(self.words)), strict=True))
-        self.flat = np.fromiter(map(index.__getitem__, itertools.chain.from_iterable(split)), np.int64, int(self.sizes.sum()))
-        del split, index  # millions of small objects
-        parts = [word_hashes(b" ".join(self.words[low : low + (1 << 16)])) for low in range(0, len(self.words), 1 << 16)]
-        self.value = np.concatenate([*parts, np.zeros(0, np.uint64)])[self.flat]
+        if not self.enough.all():
+            held = np.repeat(self.enough, sizes)
+            at, length, value = at[held], length[held], value[held]
+        self.at, self.length, self.value = at, length, value
+        order = np.argsort(value)
+        opens = np.ones(len(order), bool)
+        by_value = value[order]
+        opens[1:] = by_value[1:] != by_value[:-1]
+        del by_value
+        self.first = order[opens]
+        self.flat = np.empty(len(order), np.int32)
+        self.flat[order] = np.cumsum(opens, dtype=np.int32) - 1
+        del order, opens
+        self._settle()
+
+    def _settle(self) -> None:
+        """Words that only share the hash of their number's first word get numbers of their own."""
+        odd = []
+        for low in range(0, len(self.at), PIECE_WORDS):
+            here = np.arange(low, min(len(self.at), low + PIECE_WORDS))
+            lead = self.first[self.flat[here]]
+            here, lead = here[here != lead], lead[here != lead]
+            alike = self.length[here] == self.length[lead]
+            odd.append(here[~alike])
+            here, lead = here[alike], lead[alike]
+            length = self.length[here]
+            unlike = np.flatnonzero(self.body[spread(self.at[here], length)] != self.body[spread(self.at[lead], length)])
+            if len(unlike):
+                odd.append(np.unique(here[np.searchsorted(np.cumsum(length), unlike, "right")]))
+        odd = np.concatenate([*odd, np.zeros(0, np.int64)])
+        if len(odd):
+            met: dict[bytes, int] = {}
+            firsts = self.first.tolist()
+            for i in odd.tolist():
+                number = met.setdefault(self.body[self.at[i] : self.at[i] + self.length[i]].tobytes(), len(firsts))
+                if number == len(firsts):
+                    firsts.append(i)
+                self.flat[i] = number
+            self.first = np.array(firsts)
+
+    def joined(self, numbers: np.ndarray) -> bytes:
+        """The words of these numbers, with a space between."""
+        i = self.first[numbers]
+        length = self.length[i] + 1  # there is a gap behind each word
+        out = self.body[spread(self.at[i], length)]
+        out[np.cumsum(length) - 1] = 32
+        return out[:-1].tobytes()
 
 
 def chunk_rows(ids: list[int], texts: list[bytes], width: int, seed: int, buckets: int, frequent: np.ndarray) -> Iterator[tuple]:
@@ -151,21 +224,29 @@ def chunk_rows(ids: list[int], texts: list[bytes], width: int, seed: int, bucket
     if not read.enough.any():
         return
     owner = np.array([ids[i] for i in order], np.int64)[read.enough]
-    words, flat, value, sizes = read.words, read.flat, read.value, read.sizes
+    flat, value, sizes = read.flat, read.value, read.sizes
     gram = gram_hashes(value, seed)
     if len(frequent):
         at = np.minimum(np.searchsorted(frequent, gram), len(frequent) - 1)
         gram[frequent[at] == gram] |= LATE
     least = sliding_min(gram, width - seed + 1)  # of the window that starts here
     ends = np.cumsum(sizes)
-    windows = spread(ends - sizes, sizes - width + 1)
-    opens = np.concatenate([[True], (windows[1:] != windows[:-1] + 1) | (least[windows[1:]] != least[windows[:-1]])])
-    begin = windows[opens]
-    count = np.diff(np.concatenate([np.flatnonzero(opens), [len(windows)]]))
+    del gram
+    window = np.zeros(len(least) + 1, np.int8)  # does one start here?
+    window[ends - sizes] += 1
+    window[ends - width + 1] -= 1
+    window = np.cumsum(window, dtype=np.int8)[:-1].view(bool)
+    opens = window.copy()
+    opens[1:] &= ~window[:-1] | (least[1:] != least[:-1])
+    begin = np.flatnonzero(opens)
+    least = least[begin]
+    before = np.cumsum(window, dtype=np.int64 if len(window) >= 1 << 31 else np.int32)
+    count = np.diff(before[begin] - 1, append=before[-1])
+    del window, opens, before
     size = count + width - 1
     which = np.searchsorted(ends, begin, "right")
     doc, start = owner[which], begin - (ends - sizes)[which]
-    _, first, same = np.unique(run_hash(value, begin, begin + size), return_index=True, return_inverse=True)
+    _, first, same = np.unique(run_hashes(value, begin, begin + size), return_index=True, return_inverse=True)
     earliest = first[same]  # np.unique gives the first in (doc, start) order
     again = np.flatnonzero(earliest != np.arange(len(begin)))
     equal = [size[a] == size[b] and np.array_equal(flat[begin[a] : begin[a] + size[a]], flat[begin[b] : begin[b] + size[b]]) for a, b in zip(again, earliest[again], strict=True)]
@@ -176,11 +257,11 @@ def chunk_rows(ids: list[int], texts: list[bytes], width: int, seed: int, bucket
     if len(later):
         found = merged(doc[later], start[later], start[later] + size[later])
         yield int(doc[later[0]]) % buckets, zstandard.compress(found.to_numpy("<i8").tobytes()), None
-    bucket = (mixed(least[begin]) % np.uint64(buckets)).astype(np.int64)
+    bucket = (mixed(least) % np.uint64(buckets)).astype(np.int64)
     sent = np.flatnonzero(send)
     sent = sent[np.argsort(bucket[sent], kind="stable")]
     for here in np.split(sent, np.flatnonzero(np.diff(bucket[sent])) + 1):
-        yield int(bucket[here[0]]), None, packed_blob(doc[here], start[here], size[here], flat[spread(begin[here], size[here])], words)
+        yield int(bucket[here[0]]), None, packed_blob(doc[here], start[here], size[here], flat[spread(begin[here], size[here])], read)
 
 
 def bucket_spans(blobs: list[bytes], width: int) -> pd.DataFrame:
@@ -196,11 +277,13 @@ def bucket_spans(blobs: list[bytes], width: int) -> pd.DataFrame:
     begin = np.cumsum(size) - size
     order = np.lexsort((start, doc))
     doc, start, size, begin = doc[order], start[order], size[order], begin[order]
+    flat = np.concatenate([flat[spread(begin[low : low + RUNS], size[low : low + RUNS])] for low in range(0, len(begin), RUNS)])
+    begin = np.cumsum(size) - size
     count = size - width + 1
     at = spread(begin, count)
     which = np.repeat(np.arange(len(doc)), count)
     place = at - begin[which] + start[which]
-    key = run_hash(mixed(flat.astype(np.uint64) + ROOT), at, at + width)
+    key = run_hashes(flat, at, at + width, lambda v: mixed(v.astype(np.uint64) + ROOT))
     by_key = np.argsort(key, kind="stable")
     opens = np.concatenate([[True], key[by_key][1:] != key[by_key][:-1]])
     lead = by_key[np.flatnonzero(opens)[np.cumsum(opens) - 1]]
