@@ -71,6 +71,22 @@ def test_distill_over_blocks_of_wide_workloads(spark, kind):
     assert B.sequential(w, "x", "distill", block=256).select("value").first() == M.exact_sum(w, "x").first()
 
 
+@pytest.mark.parametrize("kind", ["positive", "mixed"])
+def test_distill_queries_shuffle_lists_only(spark, kind):
+    """What a partition sends to the one task doesn't grow with its rows."""
+    from exactsum import queries as Q
+
+    d = Q.QUERIES[f"q_w_{kind}_500_distill"](spark, SF)
+    plan = d._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInPandas") == 2 and plan.index("MapInPandas") < plan.index("Exchange") < plan.rindex("MapInPandas")
+    w = Wl.make_workload(spark, kind, SF, 500)
+    want = M.exact_sum(w, "x").first()
+    assert d.first() == want
+    assert B.sum_distill(w.repartition(5), "x", block=64).select("value").first() == want
+    assert B.sum_distill(w.limit(0), "x").count() == 0
+    assert B.sum_distill(spark.createDataFrame([(0.0,), (None,), (-0.0,)], "x double"), "x").first().value == 0.0
+
+
 def test_moments_of_repeated_pairs(spark):
     """Equal pairs are taken once with their number, whatever they are."""
     rng = random.Random(23)
