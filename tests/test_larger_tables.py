@@ -87,6 +87,23 @@ def test_distill_queries_shuffle_lists_only(spark, kind):
     assert B.sum_distill(spark.createDataFrame([(0.0,), (None,), (-0.0,)], "x double"), "x").first().value == 0.0
 
 
+@pytest.mark.parametrize("name", ["q_tree_levels", "q_tree_cost", "q_tree_exponents", "q_tree_links"])
+def test_trees_of_odd_keys(spark, tmp_path, name):
+    """Keys below zero, none, beyond 32 bits; balances that cancel, none, beyond half a digit."""
+    import duckdb
+
+    from exactsum import queries as Q
+
+    rng = random.Random(24)
+    keys = [*range(-40, 40), None, None, -(2**40) - 5, 2**40 + 3]
+    rows = [(k, rng.choice([None, 0.0, -0.01, 0.25, -7.5, 2.0**31, -(2.0**31), 3e9 + 0.1])) for k in keys for _ in range(3)]
+    spark.createDataFrame(rows, "c_custkey long, c_acctbal double").coalesce(1).write.parquet(f"{tmp_path}/customer.parquet")
+    with duckdb.connect() as c:
+        c.execute(f"CREATE VIEW customer AS SELECT * FROM '{tmp_path}/customer.parquet/*.parquet'")
+        want = c.execute(Q.ORACLES[name]).fetchall()
+    assert sorted(map(repr, map(tuple, Q.QUERIES[name](spark, str(tmp_path)).collect()))) == sorted(map(repr, want))
+
+
 def test_moments_of_repeated_pairs(spark):
     """Equal pairs are taken once with their number, whatever they are."""
     rng = random.Random(23)
