@@ -54,8 +54,8 @@ def exact_over(df: DataFrame, col: str | Column, window, name: str = "value") ->
     return _rounded(d, names, low, df.columns, name)
 
 
-def exact_running_sum(df: DataFrame, col: str | Column, keys: Sequence[str], order: Sequence[str], name: str = "value", buckets: int = 0) -> DataFrame:
-    """Exact sum from the first row of `keys` in `order` up to each row.
+def exact_running_sum(df: DataFrame, col: str | Column, keys: Sequence[str], order: Sequence[str | Column], name: str = "value", buckets: int = 0) -> DataFrame:
+    """Exact sum from the first row of `keys` in `order` (names: nulls first; or ordered columns, without buckets) up to each row.
 
     With `buckets` the sum is taken in two levels: rows are dealt to about that many ranges of the
     first order column (a number, date or time; nulls first), a range's totals run over the ranges,

@@ -104,6 +104,27 @@ def test_trees_of_odd_keys(spark, tmp_path, name):
     assert sorted(map(repr, map(tuple, Q.QUERIES[name](spark, str(tmp_path)).collect()))) == sorted(map(repr, want))
 
 
+def test_running_sums_of_odd_rows(spark, tmp_path):
+    """Nulls in every column that a running sum is kept by, is in the order of, or adds: last, as in its SQL."""
+    import datetime
+
+    import duckdb
+
+    from exactsum import queries as Q
+
+    rng = random.Random(26)
+    day = datetime.datetime(2024, 1, 1)
+    pick = lambda *v: rng.choice([None, *v])
+    rows = [(pick(2, 7, 50, 51, -50), pick(1, 2), pick(1, 2, 3), pick(1, 2), day + datetime.timedelta(days=i), 0.5 + i, pick(1.0, 2.0, 30.0)) for i in range(400)]
+    rows = [(*r[:4], rng.choice([None, r[4]]) if r[2] == 3 else r[4], *r[5:]) for r in rows]
+    d = spark.createDataFrame(rows, "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_shipdate timestamp_ntz, l_extendedprice double, l_quantity double")
+    d.coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    with duckdb.connect() as c:
+        c.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet'")
+        want = c.execute(Q.ORACLES["q_running_special"]).fetchall()
+    assert sorted(map(repr, map(tuple, Q.QUERIES["q_running_special"](spark, str(tmp_path)).collect()))) == sorted(map(repr, want))
+
+
 def test_moments_of_repeated_pairs(spark):
     """Equal pairs are taken once with their number, whatever they are."""
     rng = random.Random(23)
